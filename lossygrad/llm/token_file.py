@@ -184,7 +184,8 @@ def write_shards(docs: DataFrame, folder: str, vocabulary_path: str | None = Non
         .repartitionByRange(parts, F.col("doc_id").asc_nulls_first())
         .sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.col("text").asc_nulls_first())
     )
-    return [r.asDict() for r in ordered.mapInArrow(run, SHARDS).orderBy("shard").collect()]
+    # Sorted here: ordering by Spark would sample, and so run, the writing tasks twice.
+    return sorted((r.asDict() for r in ordered.mapInArrow(run, SHARDS).collect()), key=lambda s: s["shard"])
 
 
 def read_documents(spark: SparkSession, shards: list[dict]) -> DataFrame:
