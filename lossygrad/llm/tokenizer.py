@@ -13,7 +13,7 @@ import os
 
 import numpy as np
 
-#: Distinct words whose ids a worker keeps before it starts anew (bounds memory).
+#: Distinct words whose ids a worker keeps; later ones live for a round only (bounds memory).
 CACHE_WORDS = 600_000
 #: ASCII punctuation that may end a word; it never shares a pre-token with an ASCII letter before it.
 _TAIL = bytes(c for c in range(33, 127) if not chr(c).isalnum())
@@ -39,6 +39,15 @@ def drops_white_space(spec: dict) -> bool:
     )
 
 
+class _Known(dict):
+    """Ids by word; words that came when it was full are in ``extra``."""
+
+    extra: dict[bytes, bytes]
+
+    def __missing__(self, word: bytes) -> bytes:
+        return self.extra[word]
+
+
 class Encoder:
     """Encodes UTF-8 texts into little-endian unsigned 32-bit ids, as bytes."""
 
@@ -52,8 +61,7 @@ class Encoder:
         marks = [t for t in spec.get("added_tokens", []) if not (t["normalized"] or t["lstrip"] or t["rstrip"] or t["single_word"])]
         self.mark, self.mark_id = (marks[0]["content"], marks[0]["id"]) if marks else ("", -1)
         self.by_word = bool(marks) and drops_white_space(spec)
-        self.known: dict[bytes, bytes] = {}
-        self.pieces: dict[bytes, bytes] = {}
+        self.known, self.pieces = _Known(), _Known()
 
     def _plain(self, texts: list[str]) -> list[np.ndarray]:
         return [np.asarray(e.ids, dtype="<u4") for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
@@ -71,9 +79,10 @@ class Encoder:
 
     def _learn(self, words: list[bytes]) -> None:
         parts = [self._parts(w) for w in words]
-        if len(self.pieces) > CACHE_WORDS // 2:
-            self.pieces.clear()
-        fresh = list({x for p in parts for x in p}.difference(self.pieces))
+        known, pieces = self.known, self.pieces
+        known.extra, pieces.extra = {}, {}
+        new = pieces if len(pieces) < CACHE_WORDS // 2 else pieces.extra
+        fresh = [x for x in {x for p in parts for x in p} if x not in pieces]
         odd = [w for w in fresh if b"<" in w]
         usual = [w for w in fresh if b"<" not in w] if odd else fresh
         for at in range(0, len(usual), 8192):
@@ -82,13 +91,13 @@ class Encoder:
             cuts = np.flatnonzero(ids == self.mark_id)
             raw, begin = ids.tobytes(), 0
             for w, stop in zip(part, [*(4 * cuts).tolist(), len(raw)], strict=True):
-                self.pieces[w] = raw[begin:stop]
+                new[w] = raw[begin:stop]
                 begin = stop + 4
         for w, ids in zip(odd, self._plain([w.decode() for w in odd]), strict=True) if odd else ():
-            self.pieces[w] = ids.tobytes()
-        pieces = self.pieces
+            new[w] = ids.tobytes()
+        new = known if len(known) < CACHE_WORDS else known.extra
         for w, p in zip(words, parts, strict=True):
-            self.known[w] = pieces[p[0]] if len(p) == 1 else pieces[p[0]] + pieces[p[1]]
+            new[w] = pieces[p[0]] if len(p) == 1 else pieces[p[0]] + pieces[p[1]]
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
         """Ids of each text, with the end id."""
@@ -98,12 +107,9 @@ class Encoder:
         known = self.known
         for at in range(0, len(texts), 256):
             split = [t.split() for t in texts[at : at + 256]]
-            fresh = set().union(*split).difference(known)
+            fresh = [w for w in set().union(*split) if w not in known]
             if fresh:
-                if len(known) + len(fresh) > CACHE_WORDS:
-                    known.clear()
-                    fresh = set().union(*split)
-                self._learn(list(fresh))
+                self._learn(fresh)
             out += [b"".join(map(known.__getitem__, words)) + self.end for words in split]
         return out
 
