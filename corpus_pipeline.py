@@ -1,4 +1,8 @@
-"""The corpus pipeline: quality rules, quality classifier, near-duplicates, mixing, packing."""
+"""The corpus pipeline: quality rules, quality classifier, near-duplicates, mixing, packing.
+
+Each stage takes (spark, docs, sf_dir), works on all rows its predecessor kept, and all
+but the last return the columns of ``documents``.
+"""
 
 from __future__ import annotations
 
@@ -6,15 +10,48 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = []
+from lossygrad.llm import common, mixing, packing, quality_classifier, quality_rules, simhash
+
+
+def follow_quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality rules keep."""
+    return quality_rules.passing(docs)
+
+
+def pass_quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that a classifier, trained on the labelled ones among them, predicts good."""
+    return quality_classifier.passing(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near-duplicates, the one with the smallest id."""
+    return simhash.one_of_each(docs)
 
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Whole documents, as many times as the mixture takes them."""
+    return mixing.mixed_documents(docs)
+
+
+def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of sequences of 4096 tokens."""
+    return packing.pack(docs)
+
+
+STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
+    ("quality_rules", follow_quality_rules),
+    ("quality_classifier", pass_quality_classifier),
+    ("simhash_near_dedup", drop_near_duplicates),
+    ("source_mixing", mix_sources),
+    ("harmonic_packing", pack_sequences),
+]
+
+#: Learned weights and 64-bit hashes are beyond SQL; tests hold the stages against brute force.
 ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The stages over ``documents``, each written and read again before the next."""
-    from lossygrad.llm import common
-
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
