@@ -121,8 +121,8 @@ def pack(docs: DataFrame, vocabulary_path: str | None = None, capacity: int = CA
         for batch in batches:
             names = batch.column("doc_id").to_pylist()
             texts = common.utf8_bytes(batch, "text")
-            for at in range(0, len(texts), 64):
-                for d, x in zip(names[at : at + 64], enc.encode(texts[at : at + 64]), strict=True):
+            for at in range(0, len(texts), tokenizer.ROUND):
+                for d, x in zip(names[at : at + tokenizer.ROUND], enc.encode(texts[at : at + tokenizer.ROUND]), strict=True):
                     doc_ids.append(d)
                     ids.append(x)
                     held += len(x) // 4

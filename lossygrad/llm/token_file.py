@@ -161,8 +161,8 @@ def write_shards(docs: DataFrame, folder: str, vocabulary_path: str | None = Non
                 writer = ShardWriter(sink, sequence, dtype)
             names += batch.column("doc_id").to_pylist()
             texts = common.utf8_bytes(batch, "text")
-            for at in range(0, len(texts), 64):
-                for ids in enc.encode(texts[at : at + 64]):
+            for at in range(0, len(texts), tokenizer.ROUND):
+                for ids in enc.encode(texts[at : at + tokenizer.ROUND]):
                     sizes.append(len(ids) // 4)
                     writer.add(ids)
         if writer is None:

@@ -13,8 +13,10 @@ import os
 
 import numpy as np
 
-#: Distinct words whose ids a worker keeps; later ones live for a round only (bounds memory).
-CACHE_WORDS = 600_000
+#: Distinct words, and pieces of words, whose ids a worker keeps; later ones live for a round only (bounds memory).
+CACHE_WORDS, CACHE_PIECES = 600_000, 300_000
+#: Texts that are encoded together.
+ROUND = 128
 #: ASCII punctuation that may end a word; it never shares a pre-token with an ASCII letter before it.
 _TAIL = bytes(c for c in range(33, 127) if not chr(c).isalnum())
 _LETTERS = frozenset(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ")
@@ -39,15 +41,6 @@ def drops_white_space(spec: dict) -> bool:
     )
 
 
-class _Known(dict):
-    """Ids by word; words that came when it was full are in ``extra``."""
-
-    extra: dict[bytes, bytes]
-
-    def __missing__(self, word: bytes) -> bytes:
-        return self.extra[word]
-
-
 class Encoder:
     """Encodes UTF-8 texts into little-endian unsigned 32-bit ids, as bytes."""
 
@@ -61,7 +54,8 @@ class Encoder:
         marks = [t for t in spec.get("added_tokens", []) if not (t["normalized"] or t["lstrip"] or t["rstrip"] or t["single_word"])]
         self.mark, self.mark_id = (marks[0]["content"], marks[0]["id"]) if marks else ("", -1)
         self.by_word = bool(marks) and drops_white_space(spec)
-        self.known, self.pieces = _Known(), _Known()
+        self.known: dict[bytes, bytes] = {}
+        self.pieces: dict[bytes, bytes] = {}
 
     def _plain(self, texts: list[str]) -> list[np.ndarray]:
         return [np.asarray(e.ids, dtype="<u4") for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
@@ -77,12 +71,12 @@ class Encoder:
             return (core, tail) if tail else (core,)
         return (word,)
 
-    def _learn(self, words: list[bytes]) -> None:
+    def _learn(self, words: list[bytes]) -> list[bytes]:
+        """Ids of new words; kept while there is room."""
         parts = [self._parts(w) for w in words]
-        known, pieces = self.known, self.pieces
-        known.extra, pieces.extra = {}, {}
-        new = pieces if len(pieces) < CACHE_WORDS // 2 else pieces.extra
-        fresh = [x for x in {x for p in parts for x in p} if x not in pieces]
+        distinct = list({x for p in parts for x in p})
+        found = dict(zip(distinct, map(self.pieces.get, distinct), strict=True))
+        fresh = [x for x, ids in found.items() if ids is None]
         odd = [w for w in fresh if b"<" in w]
         usual = [w for w in fresh if b"<" not in w] if odd else fresh
         for at in range(0, len(usual), 8192):
@@ -91,26 +85,30 @@ class Encoder:
             cuts = np.flatnonzero(ids == self.mark_id)
             raw, begin = ids.tobytes(), 0
             for w, stop in zip(part, [*(4 * cuts).tolist(), len(raw)], strict=True):
-                new[w] = raw[begin:stop]
+                found[w] = raw[begin:stop]
                 begin = stop + 4
         for w, ids in zip(odd, self._plain([w.decode() for w in odd]), strict=True) if odd else ():
-            new[w] = ids.tobytes()
-        new = known if len(known) < CACHE_WORDS else known.extra
-        for w, p in zip(words, parts, strict=True):
-            new[w] = pieces[p[0]] if len(p) == 1 else pieces[p[0]] + pieces[p[1]]
+            found[w] = ids.tobytes()
+        if len(self.pieces) < CACHE_PIECES:
+            self.pieces.update((x, found[x]) for x in fresh)
+        learned = [found[p[0]] if len(p) == 1 else found[p[0]] + found[p[1]] for p in parts]
+        if len(self.known) < CACHE_WORDS:
+            self.known.update(zip(words, learned, strict=True))
+        return learned
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
         """Ids of each text, with the end id."""
         if not self.by_word:
             return [ids.tobytes() + self.end for ids in self._plain([t.decode() for t in texts])]
         out = []
-        known = self.known
-        for at in range(0, len(texts), 256):
-            split = [t.split() for t in texts[at : at + 256]]
-            fresh = [w for w in set().union(*split) if w not in known]
+        for at in range(0, len(texts), ROUND):
+            split = [t.split() for t in texts[at : at + ROUND]]
+            words = list(set().union(*split))
+            ids = dict(zip(words, map(self.known.get, words), strict=True))  # of this round: small, so lookups stay in cache
+            fresh = [w for w, x in ids.items() if x is None]
             if fresh:
-                self._learn(fresh)
-            out += [b"".join(map(known.__getitem__, words)) + self.end for words in split]
+                ids.update(zip(fresh, self._learn(fresh), strict=True))
+            out += [b"".join(map(ids.__getitem__, words)) + self.end for words in split]
         return out
 
 
