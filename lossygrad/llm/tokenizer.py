@@ -13,8 +13,8 @@ import os
 
 import numpy as np
 
-#: Distinct words, and pieces of words, whose ids a worker keeps; later ones live for a round only (bounds memory).
-CACHE_WORDS, CACHE_PIECES = 600_000, 300_000
+#: Distinct words, and pieces of words, whose ids a worker keeps before it starts anew (bounds memory).
+CACHE_WORDS, CACHE_PIECES = 600_000, 900_000
 #: Texts that are encoded together.
 ROUND = 128
 #: ASCII punctuation that may end a word; it never shares a pre-token with an ASCII letter before it.
@@ -72,7 +72,7 @@ class Encoder:
         return (word,)
 
     def _learn(self, words: list[bytes]) -> list[bytes]:
-        """Ids of new words; kept while there is room."""
+        """Ids of new words, which are then kept."""
         parts = [self._parts(w) for w in words]
         distinct = list({x for p in parts for x in p})
         found = dict(zip(distinct, map(self.pieces.get, distinct), strict=True))
@@ -89,11 +89,13 @@ class Encoder:
                 begin = stop + 4
         for w, ids in zip(odd, self._plain([w.decode() for w in odd]), strict=True) if odd else ():
             found[w] = ids.tobytes()
-        if len(self.pieces) < CACHE_PIECES:
-            self.pieces.update((x, found[x]) for x in fresh)
+        if len(self.pieces) > CACHE_PIECES:
+            self.pieces.clear()
+        self.pieces.update((x, found[x]) for x in fresh)
         learned = [found[p[0]] if len(p) == 1 else found[p[0]] + found[p[1]] for p in parts]
-        if len(self.known) < CACHE_WORDS:
-            self.known.update(zip(words, learned, strict=True))
+        if len(self.known) > CACHE_WORDS:
+            self.known.clear()
+        self.known.update(zip(words, learned, strict=True))
         return learned
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
