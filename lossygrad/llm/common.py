@@ -8,37 +8,22 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-import zipfile
-from collections.abc import Callable, Iterator
-from pathlib import Path
+from collections.abc import Callable
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from lossygrad.session import map_arrow, ship_package  # noqa: F401
+
 #: Java pattern of one word.
 WORD = r"[^\x20\x09-\x0D]+"
-_SHIPPED: set[str] = set()
 
 
 def session_of(df: DataFrame) -> SparkSession:
     return df.sparkSession
 
 
-def ship_package(spark: SparkSession) -> None:
-    """Send this package to the Python workers once per Spark application."""
-    sc = spark.sparkContext
-    if sc.applicationId in _SHIPPED:
-        return
-    root = Path(__file__).resolve().parents[1]
-    target = Path(tempfile.mkdtemp(prefix="lossygrad-")) / "lossygrad_pkg.zip"
-    with zipfile.ZipFile(target, "w", zipfile.ZIP_DEFLATED) as z:
-        for path in sorted(root.rglob("*.py")):
-            z.write(path, str(path.relative_to(root.parent)))
-    sc.addPyFile(str(target))
-    _SHIPPED.add(sc.applicationId)
-
-
 def shared_folder(spark: SparkSession) -> str:
     """URI of the folder that driver and executors share (``spark.checkpoint.dir``).
 
@@ -66,11 +51,6 @@ def cut_lineage(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def map_arrow(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
-    ship_package(session_of(df))
-    return df.mapInArrow(fn, schema)
-
-
 def utf8_bytes(batch: pa.RecordBatch, name: str) -> list[bytes]:
     """The texts of a column as UTF-8; null is empty."""
     return [b"" if x is None else x for x in batch.column(name).cast(pa.binary()).to_pylist()]
