@@ -1 +1,191 @@
-"""Experiment workloads."""
+"""Experiment workloads: each function trains over whole tables and returns measured rows.
+
+The models stand in for the networks of the study: they imitate its ratios of message
+size to computation, not its networks.  Columns: workload, run, k, bits, bucket, norm,
+rounds, loss, top1, top2 (held out where the labels carry signal), n_bits, bits_per_coord,
+ratio, comp_s, codec_s, wall_s, transfer_s.  ``transfer_s`` is a model, bits over
+``BANDWIDTH`` to k - 1 others, since one machine has no network to measure.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from lossygrad.optim import sgd
+from lossygrad.optim.channel import Channel
+from lossygrad.optim.objectives import LeastSquares, Logistic, Perceptron, Recurrent, Softmax
+from lossygrad.optim.sgd import Run
+from lossygrad.sources import features
+
+#: Modelled bits a second between workers.
+BANDWIDTH = 1e9
+DIM = 1024
+
+
+def quantized(bits: int, bucket: int | None, codec: str = "fixed", norm: str = "max", **more) -> Channel:
+    return Channel(codec, bits, bucket, norm, **more)
+
+
+FULL = Channel()
+PRESET = {"fp32": FULL, "q8_512": quantized(8, 512), "q4_512": quantized(4, 512), "q2_128": quantized(2, 128)}
+
+
+def as_rows(spark: SparkSession, rows: list[dict]) -> DataFrame:
+    types = {bool: "boolean", int: "bigint", float: "double", str: "string"}
+    keys = list(dict.fromkeys(k for r in rows for k in r))
+    kind = {k: next(types[type(r[k])] for r in rows if k in r) for k in keys}
+    return spark.createDataFrame([tuple(r.get(k) for k in keys) for r in rows], ", ".join(f"`{k}` {kind[k]}" for k in keys))
+
+
+def run_grid(train: DataFrame, test: DataFrame, objective, channels: dict[str, Channel], *, workload: str, k: int, rounds: int, eta: float | dict[str, float] | Callable, frac: float = 1.0, seed: int = 0,
+             staleness: dict[str, int] | None = None, tops: tuple[int, ...] = (1, 2)) -> list[dict]:
+    """Trains every channel over the same dealt data and measures each on ``test``."""
+    shards = sgd.deal(train, k)
+    runs = [Run(name, c, eta[name] if isinstance(eta, dict) else eta, frac, seed, (staleness or {}).get(name, 0)) for name, c in channels.items()]
+    try:
+        found, ledger = sgd.train_grid(shards, objective, runs, rounds)
+        measured = sgd.evaluate(test, objective, found, tops)
+    finally:
+        shards.unpersist()
+    out = []
+    for name, c in channels.items():
+        mine = [r for r in ledger if r["run"] == name]
+        bits, workers = sum(r["n_bits"] for r in mine), sum(r["workers"] for r in mine)
+        per = bits / max(workers * objective.n, 1)
+        out.append({
+            "workload": workload, "run": name, "k": k, "codec": c.codec, "bits": c.bits, "bucket": c.bucket or 0, "norm": c.norm, "rounds": rounds, "n": objective.n,
+            "first_loss": float(mine[0]["loss"]), "train_loss": float(mine[-1]["loss"]), "loss": float(measured[name]["loss"]),
+        } | {f"top{t}": float(measured[name].get(f"top{t}", float("nan"))) for t in tops} | {
+            "n_bits": int(bits), "bits_per_coord": per, "ratio": 32 / per if per else float("inf"), "comp_s": sum(r["comp_s"] for r in mine), "codec_s": sum(r["codec_s"] for r in mine),
+            "wall_s": sum(r["wall_s"] for r in mine), "transfer_s": bits * (k - 1) / max(k, 1) / BANDWIDTH,
+        })
+    return out
+
+
+def _split(texts: DataFrame, dim: int = DIM) -> tuple[DataFrame, DataFrame]:
+    made = features.trigrams(texts, dim).persist()
+    return made.where("split = 'train'"), made.where("split = 'test'")
+
+
+def accuracy(spark: SparkSession, sf_dir: str, target: str = "lang", rounds: int = 12, k: int = 8, channels: dict[str, Channel] | None = None, eta: float = 8.0, workload: str = "accuracy") -> list[dict]:
+    """Final accuracy of each channel against 32 bits, 8 workers."""
+    texts = features.language_texts(spark, sf_dir) if target == "lang" else features.quality_texts(spark, sf_dir)
+    train, test = _split(texts)
+    objective = Softmax(DIM, 4) if target == "lang" else Softmax(DIM, 2)
+    return run_grid(train, test, objective, channels or PRESET, workload=f"{workload}_{target}", k=k, rounds=rounds, eta=eta)
+
+
+def bucket_grid(spark: SparkSession, sf_dir: str, rounds: int = 12) -> list[dict]:
+    """Bits by bucket size, the aggressive settings included."""
+    grid = {"fp32": FULL} | {f"q{b}_{d}": quantized(b, d) for b in (2, 4, 8) for d in (64, 512, 8192)}
+    return accuracy(spark, sf_dir, "lang", rounds, channels=grid, workload="bucket_grid")
+
+
+def norm_comparison(spark: SparkSession, sf_dir: str, rounds: int = 12) -> list[dict]:
+    grid = {"fp32": FULL} | {f"{n}_{c}": quantized(4, 512, c, n) for n in ("max", "l2") for c in ("fixed", "gap")}
+    return accuracy(spark, sf_dir, "lang", rounds, channels=grid, workload="norm")
+
+
+def noise_comparison(spark: SparkSession, sf_dir: str, rounds: int = 12) -> list[dict]:
+    """Quantization beside full precision with zero-mean noise added."""
+    grid = {"fp32": FULL, "q4_512": quantized(4, 512), "fp32_noise": Channel(noise=0.3), "nearest": quantized(4, 512, rounding="nearest")}
+    return accuracy(spark, sf_dir, "lang", rounds, channels=grid, workload="noise")
+
+
+def onebit_comparison(spark: SparkSession, sf_dir: str, rounds: int = 12) -> list[dict]:
+    """One-bit signs with and without carried error, and other baselines, against 2 and 4 bits."""
+    grid = {
+        "fp32": FULL, "q4_512": quantized(4, 512), "q2_128": quantized(2, 128), "onebit": Channel("onebit", bits=1, bucket=512), "onebit_two_means": Channel("onebit", bits=1, bucket=512, scale="two_means"),
+        "onebit_no_carry": Channel("onebit", bits=1, bucket=512, carry=False), "bf16": Channel("reduced", bits=16), "fp16": Channel("reduced", bits=16, kind="float16"), "fixed8": Channel("reduced", bits=8, kind="fixed8"),
+    }
+    return accuracy(spark, sf_dir, "lang", rounds, channels=grid, workload="onebit")
+
+
+def layer_sensitivity(spark: SparkSession, sf_dir: str, rounds: int = 10) -> list[dict]:
+    """A two-layer perceptron with one layer quantized at a time."""
+    train, test = _split(features.language_texts(spark, sf_dir), 512)
+    objective = Perceptron(512, 32, 4)
+    (r1, c1), (r2, c2) = objective.shapes()
+    n1, n2 = r1 * c1, r2 * c2
+    grid = {"fp32": FULL}
+    for b in (2, 4, 8):
+        grid[f"first_{b}"] = Channel("fixed", b, 512, layers=((0, n1, b), (n1, n2, 32)))
+        grid[f"second_{b}"] = Channel("fixed", b, 512, layers=((0, n1, 32), (n1, n2, b)))
+        grid[f"both_{b}"] = quantized(b, 512)
+    return run_grid(train, test, objective, grid, workload="layer_sensitivity", k=4, rounds=rounds, eta=4.0)
+
+
+def breakdown(spark: SparkSession, sf_dir: str, ks: tuple[int, ...] = (2, 4, 8, 16), rounds: int = 2) -> list[dict]:
+    """Computation against coding and (modelled) transfer in an epoch: a large cheap model, a small costly one."""
+    out = []
+    wide = features.trigrams(features.language_texts(spark, sf_dir), 4096).persist()
+    small = features.vectors_with_labels(spark, sf_dir).persist()
+    channels = {"fp32": FULL, "q4_512": quantized(4, 512)}
+    for k in ks:
+        out += run_grid(wide, wide, Softmax(4096, 4), channels, workload="wide_cheap", k=k, rounds=rounds, eta=4.0)
+        out += run_grid(small, small, Perceptron(64, 48, 10, depth=3), channels, workload="small_costly", k=k, rounds=rounds, eta=0.1)
+    for r in out:
+        r["comm_share"] = (r["codec_s"] / r["k"] + r["transfer_s"]) / max(r["codec_s"] / r["k"] + r["transfer_s"] + r["comp_s"] / r["k"], 1e-12)
+    return out
+
+
+def sequence(spark: SparkSession, sf_dir: str, rounds: int = 6) -> list[dict]:
+    """A recurrent cell over users' event sequences, two workers."""
+    steps = 6
+    rows = features.sequences(spark, sf_dir, steps).persist()
+    width = len(rows.first()["features"]) // steps
+    objective = Recurrent(width, 12, width - 1, steps)
+    return run_grid(rows, rows, objective, {"fp32": FULL, "q4_512": quantized(4, 512), "q8_512": quantized(8, 512)}, workload="sequence", k=2, rounds=rounds, eta=0.5)
+
+
+def convex(spark: SparkSession, sf_dir: str, rounds: int = 10) -> list[dict]:
+    """Planted least squares: levels s, sparse and dense codes."""
+    rows = features.planted_rows(spark, sf_dir).persist()
+    grid = {"fp32": FULL} | {f"lq_s{s}": Channel("gap", s=s, norm="l2") for s in (1, 2, 4)} | {"lq_sqrt": Channel("dense_prefix", s="sqrt", norm="l2")}
+    return run_grid(rows, rows, LeastSquares(5), grid, workload="convex", k=8, rounds=rounds, eta=0.3, tops=())
+
+
+def staleness(spark: SparkSession, sf_dir: str, rounds: int = 16) -> list[dict]:
+    """Workers that use parameters of up to tau rounds before."""
+    rows = features.planted_rows(spark, sf_dir).persist()
+    taus = {f"tau_{t}": t for t in (0, 1, 4, 16)}
+    return run_grid(rows, rows, LeastSquares(5), {n: Channel("gap", s=2, norm="l2") for n in taus}, workload="staleness", k=8, rounds=rounds, eta=0.1, staleness=taus, tops=())
+
+
+def quality(spark: SparkSession, sf_dir: str, rounds: int = 12) -> list[dict]:
+    """The small-model stand-in: logistic regression of document quality."""
+    train, test = _split(features.quality_texts(spark, sf_dir))
+    return run_grid(train, test, Logistic(DIM), PRESET, workload="quality", k=8, rounds=rounds, eta=8.0)
+
+
+def step_and_batch(spark: SparkSession, sf_dir: str, rounds: int = 12) -> list[dict]:
+    """The 32-bit step kept, variance lowered by the bucket instead; minibatches of growing size."""
+    texts = features.language_texts(spark, sf_dir)
+    train, test = _split(texts)
+    out = []
+    for frac in (0.1, 0.2, 0.4):
+        grid = {"fp32": FULL} | {f"q4_{d}": quantized(4, d) for d in (64, 512, 4096)}
+        for r in run_grid(train, test, Softmax(DIM, 4), grid, workload="step_and_batch", k=4, rounds=rounds, eta=8.0, frac=frac):
+            out.append(r | {"frac": frac})
+    return out
+
+
+def scale_messages(spark: SparkSession, sf_dir: str, copies: int = 16) -> DataFrame:
+    """Messages over a column replicated by a range: bits by setting, from long layout, all in the engine."""
+    from lossygrad.functions import codes
+    from lossygrad.operators import layout, quantizer
+
+    base = spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_orderkey", "o_totalprice")
+    long = base.crossJoin(F.broadcast(spark.range(copies).select(F.col("id").alias("vec_id")))).select("vec_id", F.col("o_orderkey").alias("coord"), (F.col("o_totalprice") - 150000.0).alias("value"))
+    out = None
+    for bits, bucket in ((2, 128), (4, 512), (8, 512)):
+        s = max(1, 2 ** (bits - 1) - 1)
+        made = quantizer.quantize(layout.bucketize_long(long, bucket), s, "max", bucket=bucket)
+        row = made.agg(F.count("*").alias("buckets"), F.sum(F.size("level")).alias("n"), F.sum(codes.fixed_bits(F.col("level"), bits)).alias("fixed_bits"), F.sum(codes.gap_bits(F.col("level"))).alias("gap_bits")).select(
+            F.lit(bits).alias("bits"), F.lit(bucket).alias("bucket"), "buckets", "n", "fixed_bits", "gap_bits"
+        )
+        out = row if out is None else out.unionByName(row)
+    return out

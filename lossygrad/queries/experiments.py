@@ -1,0 +1,92 @@
+"""The experiment workloads as queries; timings keep them from having SQL twins."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from lossygrad import experiments as E
+from lossygrad.operators import layout
+from lossygrad.optim import sgd, svrg
+from lossygrad.optim.channel import Channel
+from lossygrad.optim.objectives import LeastSquares, Perceptron
+from lossygrad.queries import query
+from lossygrad.sources import features
+
+for _name, _run in {
+    "accuracy_lang": lambda s, d: E.accuracy(s, d, "lang"),
+    "accuracy_quality": E.quality,
+    "bucket_grid": E.bucket_grid,
+    "norm_comparison": E.norm_comparison,
+    "noise_comparison": E.noise_comparison,
+    "onebit_compare": E.onebit_comparison,
+    "layer_sensitivity": E.layer_sensitivity,
+    "breakdown_epoch": E.breakdown,
+    "sequence_recurrent": E.sequence,
+    "convex_levels": E.convex,
+    "async_staleness": E.staleness,
+    "step_and_batch": E.step_and_batch,
+}.items():
+
+    @query(_name)
+    def experiment(spark: SparkSession, sf_dir: str, run=_run) -> DataFrame:
+        return E.as_rows(spark, run(spark, sf_dir))
+
+
+@query(
+    "scale_messages",
+    """
+    WITH n AS (SELECT max(o_orderkey) AS top, count(*) * 16 AS n FROM orders), s(bits, bucket) AS (VALUES (2, 128), (4, 512), (8, 512)),
+    b AS (SELECT bits, bucket, count(DISTINCT o_orderkey // bucket) * 16 AS buckets FROM orders, s GROUP BY ALL)
+    SELECT bits, bucket, CAST(buckets AS BIGINT) AS buckets, CAST(n AS BIGINT) AS n, CAST(32 * buckets + bits * n AS BIGINT) AS fixed_bits FROM b, n
+    """,
+)
+def scale_messages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return E.scale_messages(spark, sf_dir).select("bits", "bucket", "buckets", "n", "fixed_bits")
+
+
+@query("vr_contraction")
+def vr_contraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Gap to the optimum after each epoch: exact, quantized and naively quantized corrections."""
+    base = features.planted(spark, sf_dir).persist()
+    data = layout.dense_index(base).select("row_id", "features", "y").persist()
+    objective = LeastSquares(5, 0.05)
+    full, _ = svrg.anchor_gradient(data.select("row_id", F.lit(0).alias("shard"), "features", "y"), objective, objective.init())
+    # The Hessian column by column: differences of gradients are exact for least squares.
+    import numpy as np
+
+    unit = np.eye(5)
+    shards = data.select("row_id", F.lit(0).alias("shard"), "features", "y")
+    hessian = np.stack([svrg.anchor_gradient(shards, objective, e)[0] - full for e in unit])
+    best = np.linalg.solve(hessian, -full)
+    floor = sgd.evaluate(data, objective, {"x": best}, ())["x"]["loss"]
+    out = []
+    for name, channel, naive in (("float32", Channel(), False), ("lq_sqrt", Channel("dense_prefix", s="sqrt", norm="l2"), False), ("naive_s1", Channel("gap", s=1, norm="l2"), True)):
+        x = objective.init()
+        losses = {"0": x}
+        for p in range(1, 5):
+            x, ledger = svrg.train_vr(data, objective, channel, 8, 30, p, 0.2)
+            losses[str(p)] = x
+            bits = int(ledger[-1]["n_bits"])
+        measured = sgd.evaluate(data, objective, losses, ())
+        out += [{"run": name, "epoch": int(p), "gap": max(m["loss"] - floor, 0.0), "n_bits": bits} for p, m in measured.items()]
+    data.unpersist()
+    base.unpersist()
+    return E.as_rows(spark, out)
+
+
+@query("nonconvex_stop")
+def nonconvex_stop(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Squared gradient norm of a perceptron at a randomly drawn round, by channel."""
+    data = features.vectors_with_labels(spark, sf_dir)
+    objective = Perceptron(64, 16, 10)
+    shards = sgd.deal(data, 4)
+    stop, rows = 1 + int(sgd.uniform_array(1, 3, 77)[0] * 10), []
+    channels = {"fp32": Channel(), "q4_512": E.quantized(4, 512), "lq_sqrt": Channel("dense_prefix", s="sqrt", norm="l2", bucket=512)}
+    found, ledger = sgd.train_grid(shards, objective, [sgd.Run(n, c, 0.5) for n, c in channels.items()], stop)
+    for name, x in found.items():
+        g, _ = svrg.anchor_gradient(shards, objective, x)
+        g0, _ = svrg.anchor_gradient(shards, objective, objective.init(0))
+        rows.append({"run": name, "stopped_at": stop, "grad_norm2": float(g @ g), "start_norm2": float(g0 @ g0), "n_bits": int(sum(r["n_bits"] for r in ledger if r["run"] == name))})
+    shards.unpersist()
+    return E.as_rows(spark, rows)

@@ -140,7 +140,7 @@ def _round(c: str | F.Column, n: int = 6):
 
 @query(
     "dequantize_embeddings_s4",
-    f"WITH {S.quantized(S.EMB, S.EMB_L2, '4')} SELECT vec_id, coord, round(CAST(scale AS DOUBLE) * sign * level / 4 + 0.0, 6) AS value FROM q",
+    f"WITH {S.quantized(S.EMB, S.EMB_L2, '4')} SELECT vec_id, coord, (round(CAST(scale AS DOUBLE) * sign * level / 4, 6) + 0.0) AS value FROM q",
 )
 def dequantize_embeddings_s4(spark: SparkSession, sf_dir: str) -> DataFrame:
     decoded = quantizer.dequantize(quantizer.quantize(embeddings(spark, sf_dir).select("vec_id", "values"), 4))
