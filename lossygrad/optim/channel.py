@@ -42,7 +42,8 @@ class Channel:
     def spans(self, n: int) -> list[tuple[int, int, int]]:
         """(first, length, bits) of every bucket."""
         out = []
-        for first, length, bits in self.layers or ((0, n, self.bits),):
+        whole = 0 if self.s is not None and self.bits == 32 else self.bits  # 0: the levels are given by s
+        for first, length, bits in self.layers or ((0, n, whole),):
             d = self.bucket or length
             if bits == 32:
                 out.append((first, length, 32))

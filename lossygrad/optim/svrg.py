@@ -96,7 +96,7 @@ def train_vr(data: DataFrame, objective, channel: Channel, k: int, t: int, epoch
             wanted = spark.createDataFrame([(int(i),) for i in np.unique(at)], "row_id bigint")  # at most t x k rows
             got = {r["row_id"]: (np.array(r["features"])[None], np.array([r["y"]])) for r in shards.join(F.broadcast(wanted), "row_id").collect()}
             anchor, bits = inner(objective, anchor, full, lambda r, i, at=at, got=got: got[int(at[r, i])], channel, t, k, eta, p, naive, states)
-            out.append({"epoch": p + 1, "n_bits": bits + 32 * len(anchor) * k})
+            out.append({"epoch": p + 1, "n_bits": bits + 32 * len(anchor) * k, "anchor": anchor})
     finally:
         shards.unpersist()
     return anchor, out

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -53,8 +54,6 @@ def vr_contraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     objective = LeastSquares(5, 0.05)
     full, _ = svrg.anchor_gradient(data.select("row_id", F.lit(0).alias("shard"), "features", "y"), objective, objective.init())
     # The Hessian column by column: differences of gradients are exact for least squares.
-    import numpy as np
-
     unit = np.eye(5)
     shards = data.select("row_id", F.lit(0).alias("shard"), "features", "y")
     hessian = np.stack([svrg.anchor_gradient(shards, objective, e)[0] - full for e in unit])
@@ -62,12 +61,9 @@ def vr_contraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     floor = sgd.evaluate(data, objective, {"x": best}, ())["x"]["loss"]
     out = []
     for name, channel, naive in (("float32", Channel(), False), ("lq_sqrt", Channel("dense_prefix", s="sqrt", norm="l2"), False), ("naive_s1", Channel("gap", s=1, norm="l2"), True)):
-        x = objective.init()
-        losses = {"0": x}
-        for p in range(1, 5):
-            x, ledger = svrg.train_vr(data, objective, channel, 8, 30, p, 0.2)
-            losses[str(p)] = x
-            bits = int(ledger[-1]["n_bits"])
+        _, ledger = svrg.train_vr(data, objective, channel, 8, 30, 5, 0.2, naive=naive)
+        losses = {"0": objective.init()} | {str(r["epoch"]): r["anchor"] for r in ledger}
+        bits = int(ledger[-1]["n_bits"])
         measured = sgd.evaluate(data, objective, losses, ())
         out += [{"run": name, "epoch": int(p), "gap": max(m["loss"] - floor, 0.0), "n_bits": bits} for p, m in measured.items()]
     data.unpersist()

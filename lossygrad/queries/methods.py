@@ -231,9 +231,9 @@ def vr_epoch_small(spark: SparkSession, sf_dir: str) -> DataFrame:
     objective = LeastSquares(5, 0.01)
     out = []
     for name, channel in (("float32", Channel()), ("lq_sqrt", Channel("dense_prefix", s="sqrt", norm="l2"))):
-        x, ledger = svrg.train_vr(data, objective, channel, 4, 20, 2, 0.2)
-        loss = sgd.evaluate(data, objective, {"x": x})["x"]["loss"]
-        out += [{"channel": name, "epoch": r["epoch"], "n_bits": int(r["n_bits"]), "loss_after": loss} for r in ledger]
+        _, ledger = svrg.train_vr(data, objective, channel, 4, 20, 2, 0.2)
+        measured = sgd.evaluate(data, objective, {str(r["epoch"]): r["anchor"] for r in ledger})
+        out += [{"channel": name, "epoch": r["epoch"], "n_bits": int(r["n_bits"]), "loss": measured[str(r["epoch"])]["loss"]} for r in ledger]
     data.unpersist()
     base.unpersist()
     return _rows(spark, out)
