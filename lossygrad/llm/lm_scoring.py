@@ -194,20 +194,33 @@ class Traversal:
         reached = longest if longest in a.backoff and state else (word if word in a.backoff else 0)
         return weight, reached, not history
 
-    def score(self, ids: list[int]) -> tuple[float, np.ndarray]:
-        """Sum of arc and backoff weights, and which tokens are left to the unigrams."""
-        step, state, total, left = self.step, 0, 0.0, np.ones(len(ids), bool)
-        for i, word in enumerate(ids):
-            if not (state or word):
-                continue
-            key = (state, word)
-            found = step.get(key)
-            if found is None:
-                found = step[key] = self._follow(state, word)
-            weight, state, unigram = found
+    def _take(self, state: int, word: int) -> tuple[float, int, bool]:
+        key = (state, word)
+        found = self.step.get(key)
+        if found is None:
+            found = self.step[key] = self._follow(state, word)
+        return found
+
+    def score(self, ids: np.ndarray) -> tuple[float, np.ndarray]:
+        """Sum of arc and backoff weights, and which tokens are left to the unigrams.
+
+        Words that aren't frequent lead to the root, so only the frequent ones are visited.
+        """
+        state, total, left, last = 0, 0.0, np.ones(len(ids), bool), -1
+        at = np.flatnonzero(ids)
+        take, inside = self._take, []
+        for i, word in zip(at.tolist(), ids[at].tolist(), strict=True):
+            if state and i > last + 1:
+                weight, state, _ = take(state, 0)
+                total += weight
+            weight, state, unigram = take(state, word)
             total += weight
             if not unigram:
-                left[i] = False
+                inside.append(i)
+            last = i
+        if state and last < len(ids) - 1:
+            total += take(state, 0)[0]
+        left[inside] = False
         return total, left
 
 
@@ -250,16 +263,22 @@ def score(docs: DataFrame) -> DataFrame:
 
     def walk(texts: pa.Table, known: pa.Table) -> pa.Table:
         automaton, number = sent.value
-        count = dict(zip(known.column("word").to_pylist(), known.column("c").to_pylist(), strict=True))
+        words = known.column("word").to_pylist()
+        place = dict(zip(words, range(len(words)), strict=True))
+        none = len(words)  # the place of words that training hasn't seen
+        all_counts = np.append(known.column("c").to_numpy(), 0)
+        all_numbers = np.fromiter((number.get(w, 0) for w in words), np.int64, len(words))
+        all_numbers = np.append(all_numbers, 0)
         walker = Traversal(automaton)
         n_all, v = automaton.total, automaton.distinct
         floor = math.log10(n_all + 0.5 * (v + 1))
         out: list[tuple] = []
         for doc_id, held_out, text in zip(*(texts.column(c).to_pylist() for c in ("doc_id", "held_out", "text")), strict=True):
             words = tokens(text or b"")
-            counts = np.fromiter((count.get(w, 0) for w in words), np.int64, len(words))
+            at = np.fromiter((place.get(w, none) for w in words), np.int64, len(words))
+            counts = all_counts[at]
             base = float(np.log10(counts + 0.5).sum() - len(words) * floor)
-            total, left = walker.score([number.get(w, 0) for w in words])
+            total, left = walker.score(all_numbers[at])
             full = total + float(automaton.unigram(counts[left]).sum()) if n_all else base
             out.append((doc_id, held_out, len(words), int((counts > 0).sum()), n_all, base, full))
         kinds = [pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64()]
