@@ -1,0 +1,20 @@
+"""Streaming queries, run over the table as a stream of files."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from lossygrad.queries import query
+from lossygrad.streaming import online
+
+
+@query("stream_daily_rounds", "SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, count(*) AS n, CAST(sum(CAST(round(value * 1000) AS BIGINT)) AS BIGINT) AS total FROM events GROUP BY 1")
+def stream_daily_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = online.drain(online.daily_rounds(online.event_stream(spark, sf_dir)))
+    return got.select(F.col("window.start").cast("date").cast("string").alias("day"), "n", "total")
+
+
+@query("stream_onebit_state")
+def stream_onebit_state(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return online.drain(online.carried_onebit(online.event_stream(spark, sf_dir)), "append")
