@@ -79,3 +79,14 @@ def only(df: DataFrame, *columns: str) -> DataFrame:
     """The named columns; a missing one is null, so odd tables don't crash."""
     have = set(df.columns)
     return df.select(*[F.col(f"`{c}`") if c in have else F.lit(None).cast("string").alias(c) for c in columns])
+
+
+def guarded(docs: DataFrame) -> DataFrame:
+    """``docs`` with all columns that operators don't read renamed, so that none clashes with a computed one."""
+    read = ("doc_id", "text", "source")
+    return docs.select(*[F.col(f"`{c}`").alias(c if c in read else f"kept_{i}_") for i, c in enumerate(docs.columns)])
+
+
+def restored(df: DataFrame, docs: DataFrame) -> DataFrame:
+    """The columns of ``guarded(docs)`` in ``df`` under their own names."""
+    return df.select(*[F.col(f"`{a}`").alias(b) for a, b in zip(guarded(docs).columns, docs.columns, strict=True)])

@@ -10,7 +10,7 @@
    that line, going round again for repeats.  So a document is taken floor or ceil of
    the same number of times, at most ``repeats``, wholly but for the last block's cut.
 
-Shards hold about ``SHARD_ROWS`` rows whatever the input, so a hot source is many cells.
+Shards hold ``SHARD_ROWS`` rows on average whatever the input, so a hot source is many cells.
 The only data on the driver are one row for each source, which is a small dimension
 whose count is checked against ``MAX_SOURCES``.
 
@@ -31,7 +31,7 @@ from lossygrad.llm import common
 WEIGHTS = (3, 1, 2)
 RATIO = Fraction(3, 2)
 REPEATS = 2
-SHARD_ROWS = 4096
+SHARD_ROWS = 1024
 MAX_SOURCES = 1_000_000
 
 
@@ -144,6 +144,7 @@ def mix(docs: DataFrame, seed: int = 17, whole: bool = False, keep: tuple[str, .
 
 def mixed_documents(docs: DataFrame, seed: int = 17) -> DataFrame:
     """The documents of the mixture, whole, each as many times as it is taken."""
-    chosen = mix(docs, seed, whole=True, keep=tuple(docs.columns))
+    safe = common.guarded(docs)
+    chosen = mix(safe, seed, whole=True, keep=tuple(safe.columns))
     times = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size")).cast("int")).otherwise(0)
-    return chosen.where(times > 0).select(*docs.columns, F.explode(F.array_repeat(F.lit(1), times)).alias("copy_")).drop("copy_")
+    return common.restored(chosen.where(times > 0).withColumn("copy_", F.explode(F.array_repeat(F.lit(1), times))), docs)

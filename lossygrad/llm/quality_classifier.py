@@ -254,5 +254,6 @@ def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def passing(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of ``docs`` predicted 1, with the columns of ``docs``."""
-    columns = tuple(docs.columns)
-    return score(docs, fit(docs, labels), columns).where(F.col("score") >= THRESHOLD).select(*columns)
+    safe = common.guarded(docs)
+    scored = score(safe, fit(docs, labels), tuple(safe.columns))
+    return common.restored(scored.where(F.col("score") >= THRESHOLD), docs)

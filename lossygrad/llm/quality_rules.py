@@ -229,6 +229,5 @@ def judge(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
 
 def passing(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` that are kept, with the columns of ``docs``."""
-    columns = tuple(docs.columns)
-    renamed = docs.select(*[F.col(f"`{c}`") for c in columns])
-    return judge(renamed, columns).where("kept").select(*columns)
+    safe = common.guarded(docs)
+    return common.restored(judge(safe, tuple(safe.columns)).where("kept"), docs)

@@ -311,10 +311,10 @@ def near_duplicates(docs: DataFrame, hot_key: int = HOT_KEY) -> DataFrame:
 
 def one_of_each(docs: DataFrame) -> DataFrame:
     """``docs`` with one row of each component: its smallest doc_id (null last; of equal ids, any one)."""
-    columns = tuple(docs.columns)
-    marked = with_fingerprints(docs, columns).withColumn("row_", F.monotonically_increasing_id())
+    safe = common.guarded(docs)
+    marked = with_fingerprints(safe, tuple(safe.columns)).withColumn("row_", F.monotonically_increasing_id())
     marked = common.cut_lineage(marked)
     order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id"), F.col("row_"))
     ids = marked.select("fp", order.alias("place"))
     chosen = components(ids, "place").select(F.col("first.row_").alias("row_")).distinct()
-    return marked.join(chosen, "row_", "left_semi").select(*columns)
+    return common.restored(marked.join(chosen, "row_", "left_semi"), docs)

@@ -113,14 +113,20 @@ class ShardReader:
         about = json.loads(self.file.schema.metadata[b"tokens"])
         self.sequence, self.per_batch = about["sequence"], about["batch_sequences"]
 
-    def _values(self, batch: int, column: int) -> pa.Array:
-        return self.file.get_batch(batch).column(column).flatten()
+        self.held: tuple[int, np.ndarray, pa.Array] | None = None  # the batch last read
+
+    def _batch(self, batch: int) -> tuple[np.ndarray, pa.Array]:
+        """All ids of a record batch, as a view of the file, and its masks."""
+        if self.held is None or self.held[0] != batch:
+            b = self.file.get_batch(batch)
+            self.held = batch, b.column(0).flatten().to_numpy(zero_copy_only=True), b.column(1)
+        return self.held[1:]
 
     def sequence_at(self, i: int) -> tuple[np.ndarray, np.ndarray]:
         """Ids (a view of the file) and mask of sequence i."""
         b, at = divmod(i, self.per_batch)
-        span = slice(at * self.sequence, (at + 1) * self.sequence)
-        return self._values(b, 0).to_numpy(zero_copy_only=True)[span], self._values(b, 1).to_numpy(zero_copy_only=False)[span]
+        ids, mask = self._batch(b)
+        return ids[at * self.sequence : (at + 1) * self.sequence], mask[at].values.to_numpy(zero_copy_only=False)
 
     def views(self, start: int, length: int) -> Iterator[np.ndarray]:
         """The ids of a span as views, one for each record batch it touches."""
@@ -128,7 +134,7 @@ class ShardReader:
         while length:
             b, at = divmod(start, size)
             n = min(length, size - at)
-            yield self._values(b, 0).to_numpy(zero_copy_only=True)[at : at + n]
+            yield self._batch(b)[0][at : at + n]
             start, length = start + n, length - n
 
 

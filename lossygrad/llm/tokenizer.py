@@ -54,6 +54,11 @@ class Encoder:
         marks = [t for t in spec.get("added_tokens", []) if not (t["normalized"] or t["lstrip"] or t["rstrip"] or t["single_word"])]
         self.mark, self.mark_id = (marks[0]["content"], marks[0]["id"]) if marks else ("", -1)
         self.by_word = bool(marks) and drops_white_space(spec)
+        suffix = spec.get("model", {}).get("end_of_word_suffix")
+        self.splits_by_end = bool(suffix)
+        self.ends_word = np.zeros(self.model.get_vocab_size(with_added_tokens=True) + 1, bool)
+        if suffix:
+            self.ends_word[[i for t, i in self.model.get_vocab().items() if t.endswith(suffix)]] = True
         self.known: dict[bytes, bytes] = {}
         self.pieces: dict[bytes, bytes] = {}
 
@@ -62,6 +67,8 @@ class Encoder:
 
     def _parts(self, word: bytes) -> tuple[bytes, ...]:
         """Pieces that the library encodes alike alone and together: core and trailing punctuation, lower-cased where ASCII."""
+        if word.isalpha():
+            return (word.lower(),)
         if b"<" in word:
             return (word,)
         core = word.rstrip(_TAIL)
@@ -77,8 +84,26 @@ class Encoder:
         distinct = list({x for p in parts for x in p})
         found = dict(zip(distinct, map(self.pieces.get, distinct), strict=True))
         fresh = [x for x, ids in found.items() if ids is None]
-        odd = [w for w in fresh if b"<" in w]
-        usual = [w for w in fresh if b"<" not in w] if odd else fresh
+        single, usual, odd = [], [], []
+        for w in fresh:
+            if w.isalpha() or w.decode().isalpha():
+                single.append(w)
+            elif b"<" in w:
+                odd.append(w)
+            else:
+                usual.append(w)
+        for at in range(0, len(single), 8192):
+            # Each is one pre-token, whose last id alone ends a word.
+            part = single[at : at + 8192]
+            ids = self._plain([b" ".join(part).decode()])[0]
+            ends = np.flatnonzero(self.ends_word[ids]) + 1
+            if not self.splits_by_end or len(ends) != len(part):
+                usual += part
+                continue
+            raw, begin = ids.tobytes(), 0
+            for w, stop in zip(part, (4 * ends).tolist(), strict=True):
+                found[w] = raw[begin:stop]
+                begin = stop
         for at in range(0, len(usual), 8192):
             part = usual[at : at + 8192]
             ids = self._plain([self.mark.join([w.decode() for w in part])])[0]
