@@ -173,32 +173,33 @@ class Automaton:
 
 
 class Traversal:
-    """Left-to-right walks; what a (state, word) leads to is worked out once."""
+    """Left-to-right walks; what a state and a word lead to is worked out once and kept."""
+
+    #: Steps kept at most; beyond, they are worked out anew.
+    KEPT = 2_000_000
 
     def __init__(self, automaton: Automaton):
         self.a = automaton
-        self.step: dict[tuple[int, int], tuple[float, int, bool]] = {}
+        self.step: dict[int, tuple[float, int, bool]] = {}
 
     def _follow(self, state: int, word: int) -> tuple[float, int, bool]:
         """Weight, next state, and whether the unigram is still to be added."""
         a, weight, history = self.a, 0.0, state
+        last = (1 << 21) - 1
         while history:
-            if word and (g := (history << 21) | word) in a.arc:
-                weight += a.arc[g]
+            arc = a.arc.get(history << 21 | word) if word else None
+            if arc is not None:
+                weight += arc
                 break
             weight += a.backoff[history]
-            history = history & ((1 << 21) - 1) if history >> 21 else 0  # the failure arc
-            while history and history not in a.backoff:
-                history = history & ((1 << 21) - 1) if history >> 21 else 0
-        longest = ((state & ((1 << 21) - 1)) << 21 | word) if word else 0
-        reached = longest if longest in a.backoff and state else (word if word in a.backoff else 0)
-        return weight, reached, not history
-
-    def _take(self, state: int, word: int) -> tuple[float, int, bool]:
-        key = (state, word)
-        found = self.step.get(key)
-        if found is None:
-            found = self.step[key] = self._follow(state, word)
+            history = history & last if history >> 21 else 0  # the failure arc
+            if history and history not in a.backoff:
+                history = 0
+        longest = (state & last) << 21 | word if word and state else 0
+        reached = longest if longest in a.backoff else word if word in a.backoff else 0
+        if len(self.step) >= self.KEPT:
+            self.step.clear()
+        found = self.step[state << 21 | word] = weight, reached, not history
         return found
 
     def score(self, ids: np.ndarray) -> tuple[float, np.ndarray]:
@@ -208,22 +209,34 @@ class Traversal:
         """
         state, total, left, last = 0, 0.0, np.ones(len(ids), bool), -1
         at = np.flatnonzero(ids)
-        take, inside = self._take, []
+        get, follow, inside = self.step.get, self._follow, []
         for i, word in zip(at.tolist(), ids[at].tolist(), strict=True):
             if state and i > last + 1:
-                weight, state, _ = take(state, 0)
-                total += weight
-            weight, state, unigram = take(state, word)
+                total += (get(state << 21) or follow(state, 0))[0]
+                state = 0
+            weight, state, unigram = get(state << 21 | word) or follow(state, word)
             total += weight
             if not unigram:
                 inside.append(i)
             last = i
         if state and last < len(ids) - 1:
-            total += take(state, 0)[0]
+            total += (get(state << 21) or follow(state, 0))[0]
         left[inside] = False
         return total, left
 
 
+_WALKERS: dict[int, Traversal] = {}
+
+
+def _walker(automaton: Automaton) -> Traversal:
+    """One walker a worker process, for the automaton it last met."""
+    found = _WALKERS.get(id(automaton))
+    if found is None or found.a is not automaton:
+        _WALKERS.clear()
+        found = _WALKERS[id(automaton)] = Traversal(automaton)
+    return found
+
+
 def fit(docs: DataFrame) -> tuple[DataFrame, Automaton, list[bytes]]:
     """The written unigram table (word, c), the automaton and its frequent words."""
     training = _training(docs)
@@ -269,13 +282,15 @@ def score(docs: DataFrame) -> DataFrame:
         all_counts = np.append(known.column("c").to_numpy(), 0)
         all_numbers = np.fromiter((number.get(w, 0) for w in words), np.int64, len(words))
         all_numbers = np.append(all_numbers, 0)
-        walker = Traversal(automaton)
+        walker = _walker(automaton)
         n_all, v = automaton.total, automaton.distinct
         floor = math.log10(n_all + 0.5 * (v + 1))
         out: list[tuple] = []
-        for doc_id, held_out, text in zip(*(texts.column(c).to_pylist() for c in ("doc_id", "held_out", "text")), strict=True):
-            words = tokens(text or b"")
-            at = np.fromiter((place.get(w, none) for w in words), np.int64, len(words))
+        split = [tokens(text or b"") for text in texts.column("text").to_pylist()]
+        for w in set().union(*split).difference(place):
+            place[w] = none
+        for doc_id, held_out, words in zip(texts.column("doc_id").to_pylist(), texts.column("held_out").to_pylist(), split, strict=True):
+            at = np.fromiter(map(place.__getitem__, words), np.int64, len(words))
             counts = all_counts[at]
             base = float(np.log10(counts + 0.5).sum() - len(words) * floor)
             total, left = walker.score(all_numbers[at])
