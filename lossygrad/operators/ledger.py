@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from lossygrad.functions import quantization as Q
@@ -74,3 +74,22 @@ def speedup(times: DataFrame, base_codec: str = "float32") -> DataFrame:
     """Epoch time of the base codec over each codec's, and the share of communication."""
     base = times.where(F.col("codec") == base_codec).select("workload", "k", F.col("epoch_s").alias("base_s"))
     return times.join(base, ["workload", "k"]).withColumn("speedup", F.col("base_s") / F.col("epoch_s")).withColumn("comm_share", F.col("comm_s") / (F.col("comm_s") + F.col("comp_s")))
+
+
+def time_spread(times: DataFrame, by: list[str]) -> DataFrame:
+    """Coefficient of variation of epoch times."""
+    return times.groupBy(*by).agg(F.avg("wall_s").alias("mean_s"), (F.stddev_samp("wall_s") / F.avg("wall_s")).alias("spread"))
+
+
+def accuracy_gap(accuracies: DataFrame, base_run: str = "fp32") -> DataFrame:
+    """Accuracy of each run less that of the full-precision run of its workload."""
+    base = accuracies.where(F.col("run") == base_run).select("workload", F.col("top1").alias("base_top1"))
+    return accuracies.join(base, "workload").withColumn("gap", F.col("top1") - F.col("base_top1"))
+
+
+def written_shuffle_bytes(spark: SparkSession) -> int:
+    """Bytes that this application's stages have written to shuffles so far, by Spark's own count."""
+    jvm, gateway = spark._jvm, spark.sparkContext._gateway
+    none = jvm.java.util.ArrayList()
+    stages = spark.sparkContext._jsc.sc().statusStore().stageList(none, False, False, gateway.new_array(jvm.double, 0), none)
+    return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))

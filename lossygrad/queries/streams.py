@@ -18,3 +18,32 @@ def stream_daily_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("stream_onebit_state")
 def stream_onebit_state(spark: SparkSession, sf_dir: str) -> DataFrame:
     return online.drain(online.carried_onebit(online.event_stream(spark, sf_dir)), "append")
+
+
+@query(
+    "stream_sliding_rounds",
+    "SELECT strftime(make_timestamp((epoch_us(ts) // 21600000000 - i) * 21600000000), '%Y-%m-%d %H') AS start, count(*) AS n FROM events, (SELECT unnest(range(4)) AS i) GROUP BY 1",
+)
+def stream_sliding_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = online.drain(online.sliding_rounds(online.event_stream(spark, sf_dir)))
+    return got.select(F.date_format("window.start", "yyyy-MM-dd HH").alias("start"), "n")
+
+
+@query("stream_distinct_events", "SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type")
+def stream_distinct_events(spark: SparkSession, sf_dir: str) -> DataFrame:
+    got = online.drain(online.distinct_events(online.event_stream(spark, sf_dir)).select("event_id", "event_type"), "append")
+    return got.groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+@query("stream_static_join", "SELECT event_type, CAST(sum(CAST(round(value * 1000) AS BIGINT) * length(event_type)) AS BIGINT) AS total FROM events GROUP BY event_type")
+def stream_static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from lossygrad.sources import table
+
+    kinds = table(spark, sf_dir, "events").select("event_type").distinct().select("event_type", F.length("event_type").cast("bigint").alias("weight"))
+    return online.drain(online.against_parameters(online.event_stream(spark, sf_dir), kinds))
+
+
+@query("stream_sessions")
+def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sessions that the watermark has closed."""
+    return online.drain(online.sessions(online.event_stream(spark, sf_dir)), "append").select("user_id", "n")

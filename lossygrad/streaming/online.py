@@ -44,6 +44,27 @@ def daily_rounds(events: DataFrame, delay: str = "1 hour") -> DataFrame:
     return events.withWatermark("ts", delay).groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"), F.approx_count_distinct("user_id").alias("workers"), F.sum(unit).alias("total"))
 
 
+def sliding_rounds(events: DataFrame, size: str = "1 day", slide: str = "6 hours", delay: str = "1 hour") -> DataFrame:
+    """Overlapping rounds: rows of each sliding window."""
+    return events.withWatermark("ts", delay).groupBy(F.window("ts", size, slide)).agg(F.count("*").alias("n"))
+
+
+def sessions(events: DataFrame, gap: str = "12 hours", delay: str = "1 hour") -> DataFrame:
+    """Rows of each user's sessions, which a gap ends."""
+    return events.withWatermark("ts", delay).groupBy("user_id", F.session_window("ts", gap)).agg(F.count("*").alias("n"))
+
+
+def distinct_events(events: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """Each event once: gradients that arrive twice count once."""
+    return events.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def against_parameters(events: DataFrame, parameters: DataFrame) -> DataFrame:
+    """A stream joined with a static parameter table (event_type, weight) of a few rows, summed by type."""
+    joined = events.join(F.broadcast(parameters), "event_type")
+    return joined.groupBy("event_type").agg(F.sum(F.round(F.col("value") * 1000).cast("bigint") * F.col("weight")).alias("total"))
+
+
 def carried_onebit(events: DataFrame, bucket: int = 16) -> DataFrame:
     """Each user's values in buckets of ``bucket``; the error of a bucket carries into the next as state."""
     ship_package(events.sparkSession)
