@@ -120,12 +120,10 @@ def pack(docs: DataFrame, vocabulary_path: str | None = None, capacity: int = CA
 
         for batch in batches:
             names = batch.column("doc_id").to_pylist()
-            texts = common.utf8_bytes(batch, "text")
-            for at in range(0, len(texts), tokenizer.ROUND):
-                for d, x in zip(names[at : at + tokenizer.ROUND], enc.encode(texts[at : at + tokenizer.ROUND]), strict=True):
-                    doc_ids.append(d)
-                    ids.append(x)
-                    held += len(x) // 4
+            for at, raw, ends in enc.rounds(batch.column("text").cast(pa.string())):
+                doc_ids += names[at : at + len(ends) - 1]
+                ids += [raw[a:b] for a, b in zip(ends[:-1], ends[1:], strict=True)]
+                held += len(raw) // 4
                 if held >= block_tokens:
                     yield close()
         if ids:

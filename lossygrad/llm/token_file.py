@@ -166,11 +166,9 @@ def write_shards(docs: DataFrame, folder: str, vocabulary_path: str | None = Non
                 sink = store.open_output_stream(f"{rough}.arrow")
                 writer = ShardWriter(sink, sequence, dtype)
             names += batch.column("doc_id").to_pylist()
-            texts = common.utf8_bytes(batch, "text")
-            for at in range(0, len(texts), tokenizer.ROUND):
-                for ids in enc.encode(texts[at : at + tokenizer.ROUND]):
-                    sizes.append(len(ids) // 4)
-                    writer.add(ids)
+            for _, raw, ends in enc.rounds(batch.column("text").cast(pa.string())):
+                sizes += (np.diff(ends) // 4).tolist()
+                writer.add(raw)
         if writer is None:
             return
         writer.close()

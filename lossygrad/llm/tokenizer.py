@@ -1,8 +1,8 @@
 """Exact, cached encoding with the tokenizers library.
 
 For tokenizers that split on white space and drop it, the ids of a text are the
-ids of its words in order, so each distinct word is encoded once by the library
-and the ids of a text are a join of cached byte strings.  Other tokenizers encode
+ids of its words in order.  Arrow splits texts and numbers their distinct words, the
+library encodes each distinct piece once, and numpy gathers the ids of the texts.  Other tokenizers encode
 whole texts.  Either way the ids are those of ``encode(text)``.
 """
 
@@ -10,16 +10,20 @@ from __future__ import annotations
 
 import json
 import os
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
-#: Distinct words, and pieces of words, whose ids a worker keeps before it starts anew (bounds memory).
-CACHE_WORDS, CACHE_PIECES = 600_000, 900_000
-#: Texts that are encoded together.
-ROUND = 128
+#: Distinct pieces of words whose ids a worker keeps before it starts anew (bounds memory).
+CACHE_PIECES = 900_000
+#: Bytes of text that are encoded together; a longer text is a round of its own.
+ROUND_BYTES = 8 << 20
 #: ASCII punctuation that may end a word; it never shares a pre-token with an ASCII letter before it.
-_TAIL = bytes(c for c in range(33, 127) if not chr(c).isalnum())
-_LETTERS = frozenset(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ")
+_TAIL = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum())
+_LETTERS = np.zeros(256, bool)
+_LETTERS[list(b"abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ")] = True
 
 
 def vocabulary(path: str | None = None) -> str:
@@ -59,86 +63,139 @@ class Encoder:
         self.ends_word = np.zeros(self.model.get_vocab_size(with_added_tokens=True) + 1, bool)
         if suffix:
             self.ends_word[[i for t, i in self.model.get_vocab().items() if t.endswith(suffix)]] = True
-        self.known: dict[bytes, bytes] = {}
         self.pieces: dict[bytes, bytes] = {}
 
     def _plain(self, texts: list[str]) -> list[np.ndarray]:
         return [np.asarray(e.ids, dtype="<u4") for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _parts(self, word: bytes) -> tuple[bytes, ...]:
-        """Pieces that the library encodes alike alone and together: core and trailing punctuation, lower-cased where ASCII."""
-        if word.isalpha():
-            return (word.lower(),)
-        if b"<" in word:
-            return (word,)
-        core = word.rstrip(_TAIL)
-        if core and core[-1] in _LETTERS:
-            tail = word[len(core) :]
-            core = core.lower() if core.isascii() else core
-            return (core, tail) if tail else (core,)
-        return (word,)
-
-    def _learn(self, words: list[bytes]) -> list[bytes]:
-        """Ids of new words, which are then kept."""
-        parts = [self._parts(w) for w in words]
-        distinct = list({x for p in parts for x in p})
-        found = dict(zip(distinct, map(self.pieces.get, distinct), strict=True))
-        fresh = [x for x, ids in found.items() if ids is None]
-        single, usual, odd = [], [], []
-        for w in fresh:
+    def _piece_ids(self, pieces: list[bytes]) -> list[bytes]:
+        """Ids of distinct pieces, from the cache or the library."""
+        found = list(map(self.pieces.get, pieces))
+        fresh = [i for i, x in enumerate(found) if x is None]
+        if not fresh:
+            return found
+        single, usual = [], []
+        for i in fresh:
+            w = pieces[i]
             if w.isalpha() or w.decode().isalpha():
-                single.append(w)
-            elif b"<" in w:
-                odd.append(w)
+                single.append(i)
+            elif b"<" in w or not w:
+                found[i] = self._plain([w.decode()])[0].tobytes()
             else:
-                usual.append(w)
+                usual.append(i)
         for at in range(0, len(single), 8192):
             # Each is one pre-token, whose last id alone ends a word.
             part = single[at : at + 8192]
-            ids = self._plain([b" ".join(part).decode()])[0]
+            ids = self._plain([b" ".join([pieces[i] for i in part]).decode()])[0]
             ends = np.flatnonzero(self.ends_word[ids]) + 1
             if not self.splits_by_end or len(ends) != len(part):
                 usual += part
                 continue
-            raw, begin = ids.tobytes(), 0
-            for w, stop in zip(part, (4 * ends).tolist(), strict=True):
-                found[w] = raw[begin:stop]
-                begin = stop
+            self._cut(found, part, ids, 4 * ends, 0)
         for at in range(0, len(usual), 8192):
             part = usual[at : at + 8192]
-            ids = self._plain([self.mark.join([w.decode() for w in part])])[0]
-            cuts = np.flatnonzero(ids == self.mark_id)
-            raw, begin = ids.tobytes(), 0
-            for w, stop in zip(part, [*(4 * cuts).tolist(), len(raw)], strict=True):
-                found[w] = raw[begin:stop]
-                begin = stop + 4
-        for w, ids in zip(odd, self._plain([w.decode() for w in odd]), strict=True) if odd else ():
-            found[w] = ids.tobytes()
+            ids = self._plain([self.mark.join([pieces[i].decode() for i in part])])[0]
+            self._cut(found, part, ids, 4 * np.append(np.flatnonzero(ids == self.mark_id), len(ids)), 4)
         if len(self.pieces) > CACHE_PIECES:
             self.pieces.clear()
-        self.pieces.update((x, found[x]) for x in fresh)
-        learned = [found[p[0]] if len(p) == 1 else found[p[0]] + found[p[1]] for p in parts]
-        if len(self.known) > CACHE_WORDS:
-            self.known.clear()
-        self.known.update(zip(words, learned, strict=True))
-        return learned
+        self.pieces.update((pieces[i], found[i]) for i in fresh)
+        return found
+
+    @staticmethod
+    def _cut(found: list, part: list[int], ids: np.ndarray, stops: np.ndarray, skip: int) -> None:
+        raw, begin = ids.tobytes(), 0
+        for i, stop in zip(part, stops.tolist(), strict=True):
+            found[i] = raw[begin:stop]
+            begin = stop + skip
+
+    def _distinct(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Of distinct words: all their ids, and each word's first place and number of them.
+
+        A word whose last letter before final punctuation is ASCII is a core, lower-cased
+        if all ASCII, and a tail; the library encodes both alike alone and together.
+        """
+        cores = pc.ascii_rtrim(words, characters=_TAIL)
+        data = np.frombuffer(cores.buffers()[2] or b"\0", np.uint8)
+        ends = np.frombuffer(cores.buffers()[1], np.int32)[cores.offset : cores.offset + len(cores) + 1]
+        sizes = np.diff(ends)
+        cut = (sizes > 0) & _LETTERS[data[np.maximum(ends[1:] - 1, 0)]]
+        cut &= ~pc.match_substring(words, "<").to_numpy(zero_copy_only=False)
+        folded = pc.if_else(pc.and_(pa.array(cut), pc.string_is_ascii(cores)), pc.ascii_lower(cores), pc.if_else(pa.array(cut), cores, words))
+        whole = np.diff(np.frombuffer(words.buffers()[1], np.int32)[words.offset : words.offset + len(words) + 1])
+        tailed = np.flatnonzero(cut & (whole > sizes))
+        # Tails: what is left of the word, read from its bytes.
+        raw = np.frombuffer(words.buffers()[1], np.int32)[words.offset : words.offset + len(words) + 1]
+        text = words.buffers()[2]
+        view = memoryview(text) if text is not None else memoryview(b"")
+        tails = [bytes(view[a:b]) for a, b in zip((raw[tailed] + sizes[tailed]).tolist(), raw[tailed + 1].tolist(), strict=True)]
+        both = pa.concat_arrays([folded.cast(pa.binary()), pa.array(tails, pa.binary())]).dictionary_encode()
+        at = both.indices.to_numpy(zero_copy_only=False)
+        ids = self._piece_ids(both.dictionary.to_pylist())
+        length = np.fromiter(map(len, ids), np.int64, len(ids)) // 4
+        flat, first = np.frombuffer(b"".join(ids), "<u4"), np.cumsum(length) - length
+        # Pieces in word order: each word's core, then its tail.
+        n = len(words)
+        counts = np.ones(n, np.int64)
+        counts[tailed] = 2
+        place = np.cumsum(counts) - counts
+        order = np.empty(counts.sum(), np.int64)
+        order[place] = at[:n]
+        order[place[tailed] + 1] = at[n:]
+        out = flat[_spans(first[order], length[order])]
+        per_word = np.add.reduceat(length[order], place) if n else np.zeros(0, np.int64)
+        return out, np.cumsum(per_word) - per_word, per_word
+
+    def encode_array(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of a string array, with the end ids, and each text's bounds (n + 1 places)."""
+        n = len(texts)
+        if not self.by_word:
+            made = [np.frombuffer(i.tobytes() + self.end, "<u4") for i in self._plain([t or "" for t in texts.to_pylist()])]
+            return (np.concatenate(made) if made else np.zeros(0, "<u4")), np.cumsum([0, *map(len, made)])
+        split = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
+        bounds = split.offsets.to_numpy().astype(np.int64) - split.offsets[0].as_py() if n else np.zeros(1, np.int64)
+        words = split.flatten()
+        filled = pc.greater(pc.binary_length(words), 0)
+        if not pc.all(filled).as_py():
+            kept = np.concatenate([[0], np.cumsum(filled.to_numpy(zero_copy_only=False))])
+            words, bounds = words.filter(filled), kept[bounds]
+        coded = words.dictionary_encode()
+        number = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
+        flat, first, length = self._distinct(coded.dictionary)
+        sizes = length[number]
+        ids = flat[_spans(first[number], sizes)] if len(number) else np.zeros(0, "<u4")
+        ends = np.concatenate([[0], np.cumsum(sizes)])[bounds]
+        if self.end:
+            ids = np.insert(ids, ends[1:], np.frombuffer(self.end, "<u4")[0])
+            ends = ends + np.arange(n + 1)
+        return ids.astype("<u4", copy=False), ends
+
+    def rounds(self, texts: pa.Array) -> Iterator[tuple[int, bytes, list[int]]]:
+        """(first text, ids as bytes, byte bounds of each text) for runs of texts of bounded size."""
+        sizes = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False))
+        at = 0
+        while at < len(texts):
+            before = sizes[at - 1] if at else 0
+            stop = max(at + 1, int(np.searchsorted(sizes, before + ROUND_BYTES, side="right")))
+            part = texts.slice(at, stop - at)
+            if int(sizes[stop - 1] - before) > 1 << 30:
+                part = part.cast(pa.large_string())
+            ids, ends = self.encode_array(pa.concat_arrays([part]))
+            yield at, ids.tobytes(), (4 * ends).tolist()
+            at = stop
 
     def encode(self, texts: list[bytes]) -> list[bytes]:
         """Ids of each text, with the end id."""
-        if not self.by_word:
-            return [ids.tobytes() + self.end for ids in self._plain([t.decode() for t in texts])]
         out = []
-        for at in range(0, len(texts), ROUND):
-            split = [t.split() for t in texts[at : at + ROUND]]
-            words = list(set().union(*split))
-            ids = dict(zip(words, map(self.known.get, words), strict=True))  # of this round: small, so lookups stay in cache
-            fresh = [w for w, x in ids.items() if x is None]
-            if fresh:
-                ids.update(zip(fresh, self._learn(fresh), strict=True))
-            out += [b"".join(map(ids.__getitem__, words)) + self.end for words in split]
+        for _, raw, ends in self.rounds(pa.array([t.decode() for t in texts], pa.string())):
+            out += [raw[a:b] for a, b in zip(ends[:-1], ends[1:], strict=True)]
         return out
 
 
+def _spans(first: np.ndarray, length: np.ndarray) -> np.ndarray:
+    """Places first, first + 1, ... of each span, one after the other."""
+    return np.repeat(first - (np.cumsum(length) - length), length) + np.arange(length.sum())
+
+
 _BUILT: dict[tuple[int, int | None], Encoder] = {}
 
 
