@@ -42,7 +42,7 @@ def test_other_tokenizers_encode_whole_texts():
 
 
 def test_small_caches_change_nothing(monkeypatch):
-    monkeypatch.setattr(tokenizer, "CACHE_WORDS", 3)
+    monkeypatch.setattr(tokenizer, "ROUND_BYTES", 30)
     monkeypatch.setattr(tokenizer, "CACHE_PIECES", 2)
     e = tokenizer.Encoder(tokenizer.vocabulary())
     texts = [f"alpha beta{i}. gamma{i}, alpha!" for i in range(50)]
