@@ -7,10 +7,13 @@ from pyspark.sql import functions as F
 
 from lossygrad import sources
 from lossygrad.operators import layout, messages, quantizer
-from lossygrad.queries import QUERIES
+from lossygrad.queries import QUERIES, load
 from lossygrad.streaming import online
 
 
+load()
+
+
 def plan_of(df) -> str:
     return df._jdf.queryExecution().executedPlan().toString()
 
