@@ -176,7 +176,7 @@ class Traversal:
     """Left-to-right walks; what a state and a word lead to is worked out once and kept."""
 
     #: Steps kept at most; beyond, they are worked out anew.
-    KEPT = 2_000_000
+    KEPT = 300_000
 
     def __init__(self, automaton: Automaton):
         self.a = automaton
