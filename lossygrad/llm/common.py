@@ -10,7 +10,9 @@ import tempfile
 import uuid
 from collections.abc import Callable
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -56,6 +58,21 @@ def utf8_bytes(batch: pa.RecordBatch, name: str) -> list[bytes]:
     return [b"" if x is None else x for x in batch.column(name).cast(pa.binary()).to_pylist()]
 
 
+def arrow_words(texts: pa.Array | pa.ChunkedArray) -> tuple[pa.Array, np.ndarray, np.ndarray]:
+    """Distinct words of a string array, the number of each word in order, and each text's bounds (n + 1 places)."""
+    if isinstance(texts, pa.ChunkedArray):
+        texts = (texts.cast(pa.large_string()) if texts.nbytes > 1 << 30 else texts).combine_chunks()
+    split = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
+    bounds = split.offsets.to_numpy().astype(np.int64) - split.offsets[0].as_py() if len(texts) else np.zeros(1, np.int64)
+    words = split.flatten()
+    filled = pc.greater(pc.binary_length(words), 0)
+    if not pc.all(filled).as_py():
+        kept = np.concatenate([[0], np.cumsum(filled.to_numpy(zero_copy_only=False))])
+        words, bounds = words.filter(filled), kept[bounds]
+    coded = words.dictionary_encode()
+    return coded.dictionary, coded.indices.to_numpy(zero_copy_only=False).astype(np.int64), bounds
+
+
 def word_count(text: Column) -> Column:
     """Number of words, as a long; 0 for null."""
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")

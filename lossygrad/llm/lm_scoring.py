@@ -26,11 +26,11 @@ equal rows score alike; an empty table gives no rows.
 from __future__ import annotations
 
 import math
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -50,8 +50,17 @@ _END = END.encode()
 RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 
 
-def tokens(text: bytes) -> list[bytes]:
-    return [*text.lower().split(), _END]
+def tokens(texts: pa.Array | pa.ChunkedArray) -> tuple[pa.Array, np.ndarray, np.ndarray]:
+    """Distinct tokens (the end token last), all token numbers in order, and each text's bounds."""
+    lower = pc.ascii_lower(texts.cast(pa.string()))
+    words, number, bounds = common.arrow_words(lower)
+    number = np.insert(number, bounds[1:], len(words))
+    return pa.concat_arrays([words.cast(pa.string()), pa.array([END])]), number, bounds + np.arange(len(bounds))
+
+
+def _places(words: pa.Array, among: pa.Array) -> np.ndarray:
+    """Place of each word among others, or -1."""
+    return pc.fill_null(pc.index_in(words, value_set=among), -1).to_numpy(zero_copy_only=False).astype(np.int64)
 
 
 def _training(docs: DataFrame) -> DataFrame:
@@ -63,20 +72,11 @@ def word_counts(docs: DataFrame) -> DataFrame:
     """word (UTF-8) and c, over all rows of ``docs``; each task combines its own first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: Counter[bytes] = Counter()
-
-        def flush() -> pa.RecordBatch:
-            batch = pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], names=["word", "c"])
-            counts.clear()
-            return batch
-
         for batch in batches:
-            for text in common.utf8_bytes(batch, "text"):
-                counts.update(tokens(text))
-                if len(counts) > 500_000:
-                    yield flush()
-        if counts:
-            yield flush()
+            words, number, _ = tokens(batch.column("text"))
+            counts = np.bincount(number, minlength=len(words))
+            met = pa.array(counts > 0)  # without texts there is no end token
+            yield pa.RecordBatch.from_arrays([words.cast(pa.binary()).filter(met), pa.array(counts).filter(met)], names=["word", "c"])
 
     return common.map_arrow(docs.select("text"), run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
 
@@ -84,10 +84,11 @@ def word_counts(docs: DataFrame) -> DataFrame:
 def gram_counts(docs: DataFrame, frequent: list[bytes]) -> DataFrame:
     """Counts of bi- and trigrams of frequent words: ``gram`` packs up to three numbers of 21 bits
     (word number + 1, 0 in front for a bigram)."""
-    number = common.session_of(docs).sparkContext.broadcast({w: i + 1 for i, w in enumerate(frequent)})  # at most 1 / WORD_SHARE words
+    listed = common.session_of(docs).sparkContext.broadcast([w.decode() for w in frequent])  # at most 1 / WORD_SHARE words
+    end = frequent.index(_END) + 1 if _END in frequent else -1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        get = number.value.get
+        among = pa.array(listed.value, pa.string())
         held: list[np.ndarray] = []
         size = 0
         totals: tuple[np.ndarray, np.ndarray] | None = None
@@ -104,15 +105,15 @@ def gram_counts(docs: DataFrame, frequent: list[bytes]) -> DataFrame:
             size = 0
 
         for batch in batches:
-            for text in common.utf8_bytes(batch, "text"):
-                words = tokens(text)
-                ids = np.fromiter((get(w, 0) for w in words), np.int64, len(words))
-                two = np.where((ids[:-1] > 0) & (ids[1:] > 0), (ids[:-1] << 21) | ids[1:], 0)
-                three = np.where((two[:-1] > 0) & (ids[2:] > 0), (two[:-1] << 21) | ids[2:], 0)
-                held += [two[two > 0], three[three > 0]]
-                size += len(words)
-                if size > 2_000_000:
-                    fold()
+            words, number, _ = tokens(batch.column("text"))
+            ids = (_places(words, among) + 1)[number]
+            # A text's end is no history: n-grams stay inside texts.
+            two = np.where((ids[:-1] > 0) & (ids[1:] > 0) & (ids[:-1] != end), (ids[:-1] << 21) | ids[1:], 0)
+            three = np.where((two[:-1] > 0) & (two[1:] > 0), (two[:-1] << 21) | ids[2:], 0)
+            held += [two[two > 0], three[three > 0]]
+            size += len(ids)
+            if size > 2_000_000:
+                fold()
         if held:
             fold()
         if totals is not None:
@@ -255,50 +256,43 @@ def score(docs: DataFrame) -> DataFrame:
     """A row of ``RESULT`` for each document."""
     spark = common.session_of(docs)
     singles, automaton, frequent = fit(docs)
-    sent = spark.sparkContext.broadcast((automaton, {w: i + 1 for i, w in enumerate(frequent)}))  # bounded by the shares
+    sent = spark.sparkContext.broadcast((automaton, [w.decode() for w in frequent]))  # bounded by the shares
     rows = common.only(docs, "doc_id", "text")
     blocks = max(1, -(-rows.count() // BLOCK_ROWS))
     dealt = rows.select(
         "doc_id",
         (common.crc_bucket(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out"),
-        F.col("text").cast("binary").alias("text"),
+        "text",
         F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int").alias("block"),
     ).repartition("block")
 
     def distinct_words(table: pa.Table) -> pa.Table:
-        seen: set[bytes] = set()
-        for t in table.column("text").to_pylist():
-            seen.update(tokens(t or b""))
-        return pa.table({"block": pa.array([table.column("block")[0].as_py()] * len(seen), pa.int32()), "word": pa.array(list(seen), pa.binary())})
+        words, _, _ = tokens(table.column("text"))
+        return pa.table({"block": pa.array(np.full(len(words), table.column("block")[0].as_py()), pa.int32()), "word": words.cast(pa.binary())})
 
     asked = dealt.groupBy("block").applyInArrow(distinct_words, "block int, word binary")
     answers = asked.join(singles, "word")
 
     def walk(texts: pa.Table, known: pa.Table) -> pa.Table:
-        automaton, number = sent.value
-        words = known.column("word").to_pylist()
-        place = dict(zip(words, range(len(words)), strict=True))
-        none = len(words)  # the place of words that training hasn't seen
-        all_counts = np.append(known.column("c").to_numpy(), 0)
-        all_numbers = np.fromiter((number.get(w, 0) for w in words), np.int64, len(words))
-        all_numbers = np.append(all_numbers, 0)
-        walker = _walker(automaton)
+        automaton, listed = sent.value
+        words, number, bounds = tokens(texts.column("text"))
+        seen = known.column("word").cast(pa.string()).combine_chunks()
+        counts = np.append(known.column("c").to_numpy(), 0)[_places(words, seen)]
+        ids = _places(words, pa.array(listed, pa.string())) + 1
         n_all, v = automaton.total, automaton.distinct
-        floor = math.log10(n_all + 0.5 * (v + 1))
-        out: list[tuple] = []
-        split = [tokens(text or b"") for text in texts.column("text").to_pylist()]
-        for w in set().union(*split).difference(place):
-            place[w] = none
-        for doc_id, held_out, words in zip(texts.column("doc_id").to_pylist(), texts.column("held_out").to_pylist(), split, strict=True):
-            at = np.fromiter(map(place.__getitem__, words), np.int64, len(words))
-            counts = all_counts[at]
-            base = float(np.log10(counts + 0.5).sum() - len(words) * floor)
-            total, left = walker.score(all_numbers[at])
-            full = total + float(automaton.unigram(counts[left]).sum()) if n_all else base
-            out.append((doc_id, held_out, len(words), int((counts > 0).sum()), n_all, base, full))
-        kinds = [pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64()]
-        names = [x.split()[0] for x in RESULT.split(", ")]
-        columns = list(zip(*out, strict=True)) or [[]] * len(kinds)
-        return pa.table([pa.array(list(c), k) for c, k in zip(columns, kinds, strict=True)], names=names)
+        starts, sizes = bounds[:-1], np.diff(bounds)
+        base = np.log10(counts + 0.5)[number]
+        single = automaton.unigram(counts)[number]
+        ids, walker = ids[number], _walker(automaton)
+        sums = np.zeros(len(sizes))
+        for i, (a, b) in enumerate(zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)):
+            total, left = walker.score(ids[a:b])
+            sums[i] = total + float(single[a:b][left].sum())
+        based = np.add.reduceat(base, starts) - sizes * math.log10(n_all + 0.5 * (v + 1))
+        met = np.add.reduceat((counts > 0).astype(np.int64)[number], starts)
+        return pa.table(
+            [texts.column("doc_id"), texts.column("held_out"), pa.array(sizes), pa.array(met), pa.array(np.full(len(sizes), n_all)), pa.array(based), pa.array(sums if n_all else based)],
+            names=[x.split()[0] for x in RESULT.split(", ")],
+        )
 
     return dealt.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(walk, RESULT)

@@ -16,6 +16,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
+from lossygrad.llm import common
+
 #: Distinct pieces of words whose ids a worker keeps before it starts anew (bounds memory).
 CACHE_PIECES = 900_000
 #: Bytes of text that are encoded together; a longer text is a round of its own.
@@ -151,16 +153,8 @@ class Encoder:
         if not self.by_word:
             made = [np.frombuffer(i.tobytes() + self.end, "<u4") for i in self._plain([t or "" for t in texts.to_pylist()])]
             return (np.concatenate(made) if made else np.zeros(0, "<u4")), np.cumsum([0, *map(len, made)])
-        split = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
-        bounds = split.offsets.to_numpy().astype(np.int64) - split.offsets[0].as_py() if n else np.zeros(1, np.int64)
-        words = split.flatten()
-        filled = pc.greater(pc.binary_length(words), 0)
-        if not pc.all(filled).as_py():
-            kept = np.concatenate([[0], np.cumsum(filled.to_numpy(zero_copy_only=False))])
-            words, bounds = words.filter(filled), kept[bounds]
-        coded = words.dictionary_encode()
-        number = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
-        flat, first, length = self._distinct(coded.dictionary)
+        words, number, bounds = common.arrow_words(texts)
+        flat, first, length = self._distinct(words)
         sizes = length[number]
         ids = flat[_spans(first[number], sizes)] if len(number) else np.zeros(0, "<u4")
         ends = np.concatenate([[0], np.cumsum(sizes)])[bounds]
