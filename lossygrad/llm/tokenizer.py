@@ -19,9 +19,9 @@ import pyarrow.compute as pc
 from lossygrad.llm import common
 
 #: Distinct pieces of words whose ids a worker keeps before it starts anew (bounds memory).
-CACHE_PIECES = 900_000
+CACHE_PIECES = 500_000
 #: Bytes of text that are encoded together; a longer text is a round of its own.
-ROUND_BYTES = 8 << 20
+ROUND_BYTES = 4 << 20
 #: ASCII punctuation that may end a word; it never shares a pre-token with an ASCII letter before it.
 _TAIL = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum())
 _LETTERS = np.zeros(256, bool)
