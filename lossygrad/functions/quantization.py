@@ -70,7 +70,8 @@ def quantize_array(values: Column, scale: Column, s: Column | int, *keys: Column
 
 
 def dequantize_array(scale: Column, sign: Column, levels: Column, s: Column | int) -> Column:
-    return F.zip_with(sign, levels, lambda g, k: scale.cast("double") * g * k / s)
+    # Bound first: a scale that the optimizer copies into the lambda would be computed for every value.
+    return let(scale.cast("double"), lambda r: F.zip_with(sign, levels, lambda g, k: r * g * k / s))
 
 
 def exact_variance(values: Column, scale: Column, s: Column | int) -> Column:
@@ -78,8 +79,7 @@ def exact_variance(values: Column, scale: Column, s: Column | int) -> Column:
     def term(x: Column) -> Column:
         return let(position(x, scale, s), lambda p: let(p - F.least(F.floor(p), (s if isinstance(s, Column) else F.lit(s)) - 1), lambda f: f * (1 - f)))
 
-    r = scale.cast("double") / s
-    return r * r * fold_sum(F.transform(values, term))
+    return let(scale.cast("double") / s, lambda r: r * r) * fold_sum(F.transform(values, term))
 
 
 def exact_nonzeros(values: Column, scale: Column, s: Column | int) -> Column:

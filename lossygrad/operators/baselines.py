@@ -97,4 +97,4 @@ def topk_threshold(long: DataFrame, frac: float, accuracy: int = 10_000) -> Data
 
 def mean_exact(df: DataFrame, group: str) -> DataFrame:
     """Exact mean vector of each group, long."""
-    return df.select(group, F.posexplode("values").alias("coord", "value")).groupBy(group, "coord").agg(F.avg("value").alias("value"))
+    return df.select(group, F.posexplode_outer("values").alias("coord", "value")).where("coord is not null").groupBy(group, "coord").agg(F.avg("value").alias("value"))

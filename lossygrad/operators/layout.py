@@ -15,8 +15,13 @@ def checked(df: DataFrame) -> DataFrame:
 
 
 def to_long(df: DataFrame) -> DataFrame:
-    """vec_id, coord (from 0), value."""
-    return df.select("vec_id", F.posexplode("values").alias("coord", "value")).withColumn("coord", F.col("coord").cast("bigint"))
+    """vec_id, coord (from 0), value.
+
+    Explodes with ``outer`` and filters afterwards: for a plain explode the optimizer adds a
+    filter on the array's size and copies the whole computation of the array into it.
+    """
+    rows = df.select("vec_id", F.posexplode_outer("values").alias("coord", "value")).where("coord is not null")
+    return rows.withColumn("coord", F.col("coord").cast("bigint"))
 
 
 def to_array(long: DataFrame) -> DataFrame:

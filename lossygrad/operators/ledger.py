@@ -40,7 +40,7 @@ def density(quantized: DataFrame) -> DataFrame:
 
 def level_entropy(quantized: DataFrame) -> DataFrame:
     """Bits a value that any memoryless code of levels needs at least."""
-    counts = quantized.select(F.explode("level").alias("level")).groupBy("level").count()
+    counts = quantized.select(F.explode_outer("level").alias("level")).where("level is not null").groupBy("level").count()
     total = counts.agg(F.sum("count").alias("total"))
     shared = counts.crossJoin(F.broadcast(total)).withColumn("p", F.col("count") / F.col("total"))
     return shared.agg(F.sum(-F.col("p") * F.log2("p")).alias("entropy"), F.count("*").alias("n_levels"))

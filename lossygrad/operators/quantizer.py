@@ -88,5 +88,5 @@ def gaps(quantized_long: DataFrame) -> DataFrame:
 
 def average(decoded: DataFrame, by: list[str]) -> DataFrame:
     """Mean of decoded arrays, coordinate by coordinate; partial sums are combined before the shuffle."""
-    cells = decoded.select(*by, F.posexplode("values").alias("coord", "value"))
+    cells = decoded.select(*by, F.posexplode_outer("values").alias("coord", "value")).where("coord is not null")  # as in layout.to_long
     return cells.groupBy(*by, "coord").agg(F.avg("value").alias("value"), F.count("*").alias("n_messages"))

@@ -44,7 +44,7 @@ def gap_window_s4(spark: SparkSession, sf_dir: str) -> DataFrame:
     from lossygrad.operators import layout
 
     long = layout.to_long(embeddings(spark, sf_dir).select("vec_id", "values"))
-    made = quantizer.quantize(embeddings(spark, sf_dir), 4).select("vec_id", F.posexplode("level").alias("coord", "level"))
+    made = quantizer.quantize(embeddings(spark, sf_dir), 4).select("vec_id", F.posexplode_outer("level").alias("coord", "level")).where("coord is not null")
     joined = long.join(made.withColumn("coord", F.col("coord").cast("bigint")), ["vec_id", "coord"])
     return quantizer.gaps(joined).select("vec_id", "coord", "gap")
 

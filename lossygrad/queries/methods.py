@@ -61,7 +61,7 @@ def onebit_carry_2steps(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same gradient twice, the first step's error carried into the second."""
     base = _base(spark, sf_dir)
     second = baselines.onebit(base, baselines.onebit(base))
-    rows = second.select("vec_id", F.posexplode(F.arrays_zip(F.col("values").alias("sent"), "carried")).alias("coord", "x"))
+    rows = second.select("vec_id", F.posexplode_outer(F.arrays_zip(F.col("values").alias("sent"), "carried")).alias("coord", "x")).where("coord is not null")
     return rows.select("vec_id", F.col("coord").cast("bigint").alias("coord"), _round("x.sent").alias("sent"), _round("x.carried").alias("carried"))
 
 
@@ -176,8 +176,9 @@ def _descent(spark: SparkSession, sf_dir: str, rounds: int, quantize: bool) -> D
         if quantize:
             made = grads.withColumn("scale", Q.scale_of(F.col("values")))
             q = Q.quantize_array(F.col("values"), F.col("scale"), _S, F.lit(0), F.lit(t), F.col("shard"))
-            grads = made.select("shard", "scale", q.alias("q")).select("shard", F.transform("q", lambda z: F.col("scale").cast("double") * z["sign"] * z["level"] / _S).alias("values"))
-        mean = grads.select(F.posexplode("values").alias("coord", "g")).groupBy("coord").agg(F.avg("g").alias("g"))
+            parts = made.select("shard", "scale", q.alias("q"))
+            grads = parts.select("shard", Q.dequantize_array(F.col("scale"), F.transform("q", lambda z: z["sign"]), F.transform("q", lambda z: z["level"]), _S).alias("values"))
+        mean = grads.select(F.posexplode_outer("values").alias("coord", "g")).where("coord is not null").groupBy("coord").agg(F.avg("g").alias("g"))
         x = x.join(F.broadcast(mean), "coord").select("coord", F.round(F.col("value") - _ETA * F.col("g"), 9).alias("value"))
     return x.select("coord", _round("value", 5).alias("value"))
 
@@ -198,7 +199,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = quantizer.quantize(sums.select("vec_id", F.array(*[F.col(f"g{i}") for i in range(5)]).alias("values")), _S)
     bits = codes.gap_bits(F.col("level"))
     decoded = quantizer.dequantize(made.withColumn("n_bits", bits).withColumn("gradient", F.col("values")))
-    rows = decoded.select("vec_id", "n_bits", (F.lit(32 * 5) / F.col("n_bits")).alias("ratio"), F.posexplode(F.arrays_zip("gradient", "values")).alias("coord", "z"))
+    rows = decoded.select("vec_id", "n_bits", (F.lit(32 * 5) / F.col("n_bits")).alias("ratio"), F.posexplode_outer(F.arrays_zip("gradient", "values")).alias("coord", "z")).where("coord is not null")
     return rows.select(F.col("vec_id").alias("worker"), "coord", F.col("z.gradient").alias("gradient"), F.col("z.values").alias("decoded"), "n_bits", "ratio")
 
 

@@ -14,7 +14,7 @@ from lossygrad.sources import embeddings, table
 
 def long_levels(df: DataFrame) -> DataFrame:
     """Quantized arrays as rows of whole numbers."""
-    marked = df.select("vec_id", F.posexplode(F.arrays_zip("sign", "level")).alias("coord", "q"))
+    marked = df.select("vec_id", F.posexplode_outer(F.arrays_zip("sign", "level")).alias("coord", "q")).where("coord is not null")
     return marked.select("vec_id", F.col("coord").cast("bigint").alias("coord"), (F.col("q.sign").cast("bigint") * F.col("q.level")).alias("signed_level"))
 
 
@@ -76,7 +76,7 @@ def _bucketed(d: int, norm: str, s: str) -> str:
 
 def _buckets(spark: SparkSession, sf_dir: str, d: int, s: int, norm: str) -> DataFrame:
     made = quantizer.quantize(layout.bucketize(embeddings(spark, sf_dir).select("vec_id", "values"), d), s, norm, bucket=d)
-    marked = made.select("vec_id", "bucket_id", F.posexplode(F.arrays_zip("sign", "level")).alias("at", "q"))
+    marked = made.select("vec_id", "bucket_id", F.posexplode_outer(F.arrays_zip("sign", "level")).alias("at", "q")).where("at is not null")
     return marked.select("vec_id", "bucket_id", (F.col("bucket_id") * d + F.col("at")).alias("coord"), (F.col("q.sign").cast("bigint") * F.col("q.level")).alias("signed_level"))
 
 
@@ -184,7 +184,7 @@ def seed_mean_bias(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sums of signed levels over 32 seeds: over 32 and times the scale, they average to the value."""
     few = embeddings(spark, sf_dir).where("vec_id < 20").crossJoin(F.broadcast(spark.range(32).select(F.col("id").alias("seed"))))
     scaled = few.withColumn("scale", Q.scale_of(F.col("values")))
-    made = scaled.select("vec_id", "seed", F.posexplode(Q.quantize_array(F.col("values"), F.col("scale"), 4, F.col("seed"), F.lit(0), F.col("vec_id"))).alias("coord", "q"))
+    made = scaled.select("vec_id", "seed", F.posexplode_outer(Q.quantize_array(F.col("values"), F.col("scale"), 4, F.col("seed"), F.lit(0), F.col("vec_id"))).alias("coord", "q")).where("coord is not null")
     return made.groupBy("vec_id", F.col("coord").cast("bigint").alias("coord")).agg(F.sum(F.col("q.sign").cast("bigint") * F.col("q.level")).alias("level_sum"))
 
 
@@ -207,7 +207,7 @@ def density_max_vs_l2(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("level_histogram", f"WITH {S.quantized(S.EMB, S.EMB_L2, '8')} SELECT level, count(*) AS n FROM q GROUP BY level")
 def level_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = quantizer.quantize(embeddings(spark, sf_dir), 8)
-    return made.select(F.explode("level").alias("k")).select(F.col("k").cast("bigint").alias("level")).groupBy("level").agg(F.count("*").alias("n"))
+    return made.select(F.explode_outer("level").alias("k")).where("k is not null").select(F.col("k").cast("bigint").alias("level")).groupBy("level").agg(F.count("*").alias("n"))
 
 
 @query(

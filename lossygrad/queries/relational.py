@@ -97,7 +97,7 @@ def join_shuffle_features(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _support(spark: SparkSession, sf_dir: str, seed: int) -> DataFrame:
     """Nonzero places of the sparse quantizer under a seed."""
     made = quantizer.quantize(embeddings(spark, sf_dir), 1, seed=seed)
-    rows = made.select("vec_id", F.posexplode("level").alias("coord", "level")).where("level > 0")
+    rows = made.select("vec_id", F.posexplode_outer("level").alias("coord", "level")).where("level > 0")
     return rows.select("vec_id", F.col("coord").cast("bigint").alias("coord"))
 
 
