@@ -1,16 +1,20 @@
-"""Mixing sources to target weights by Sainte-Laguë apportionment of token blocks.
+"""Mixing sources to target weights by Sainte-Laguë apportionment of words.
 
-1. Sizes (words) are summed for each cell, a source's part of a hash shard.
+1. Sizes (words) and rows are summed for each source, whose rows are dealt by hash to
+   cells of its own, and sizes for each cell.
 2. Sources in code-point order (null last) weigh 3, 1, 2, repeating, and share
    ``ratio`` times all words; a share above ``repeats`` times its source's size is cut
    there and the excess goes to the others by weight until none is above.
-3. Targets are turned into integer numbers of equal blocks: first for each source, then
-   for each of its cells, each time by the highest quotients ``weight / (2 seats + 1)``.
-4. A cell's documents stand in a seeded order; its blocks are taken from the head of
+3. Targets are turned into integer numbers of words: first for each source, then for
+   each of its cells, each time by the highest quotients ``weight / (2 seats + 1)``.  A
+   cell is never given more than it has ``repeats`` times; what it has no room for goes
+   to the next quotients of its source, so a source's words are given out to the last.
+4. A cell's documents stand in a seeded order; its words are taken from the head of
    that line, going round again for repeats.  So a document is taken floor or ceil of
-   the same number of times, at most ``repeats``, wholly but for the last block's cut.
+   the same number of times, at most ``repeats``, wholly but for the last one's cut.
 
-Shards hold ``SHARD_ROWS`` rows on average whatever the input, so a hot source is many cells.
+A source has a cell for each ``SHARD_ROWS`` of its own rows, so a hot source is many cells
+and a rare one is a single cell, beside which a document is small, whatever the input.
 The only data on the driver are one row for each source, which is a small dimension
 whose count is checked against ``MAX_SOURCES``.
 
@@ -80,7 +84,6 @@ def mix(docs: DataFrame, seed: int = 17, whole: bool = False, keep: tuple[str, .
     ``whole`` takes documents whole: a cell's last document by the middle of its span.
     """
     rows = common.only(docs, *dict.fromkeys((*keep, "doc_id", "source", "text")))
-    shards = max(1, -(-docs.count() // SHARD_ROWS))
     kept = [c for c in dict.fromkeys(keep) if c in rows.columns]
     sized = rows.select(
         *[F.col(f"`{c}`").alias(f"keep_{c}") for c in kept],
@@ -88,44 +91,40 @@ def mix(docs: DataFrame, seed: int = 17, whole: bool = False, keep: tuple[str, .
         common.word_count(F.col("text").cast("string")).alias("size"),
         F.xxhash64("doc_id", F.lit(seed)).alias("draw"),
         F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("named"),
-    ).withColumn("cell", F.pmod(F.xxhash64("draw", F.lit(seed + 1)), F.lit(shards)).cast("int"))
-    cells = sized.groupBy("src", "cell").agg(F.sum("size").alias("cell_size"))
-    by_source = cells.groupBy("src").agg(F.sum("cell_size").alias("source_size"))
+    )
+    by_source = sized.groupBy("src").agg(F.sum("size").alias("source_size"), F.count("*").alias("source_rows"))
     listed = by_source.limit(MAX_SOURCES + 1).collect()
     if len(listed) > MAX_SOURCES:
         raise ValueError(f"more than {MAX_SOURCES} sources: not a dimension that the driver can apportion")
     sizes = {None if r["src"] == "n" else r["src"][1:]: r["source_size"] for r in listed}
+    shards = {None if r["src"] == "n" else r["src"][1:]: -(-r["source_rows"] // SHARD_ROWS) for r in listed}
     goal = targets(sizes, weights, ratio, repeats)
-    positive = [t for t in goal.values() if t > 0]
-    block = max(1, int(min(positive) / 1024)) if positive else 1
     ordered = {s: goal[s] for s in [*sorted(s for s in goal if s is not None), *(s for s in goal if s is None)]}
-    blocks = sainte_lague(ordered, round(sum(positive) / block)) if positive else dict.fromkeys(goal, 0)
+    words = sainte_lague(ordered, round(sum(goal.values())))
     spark = common.session_of(docs)
     plan = spark.createDataFrame(
-        [("n" if s is None else f"s{s}", sizes[s], float(goal[s]), min(blocks[s], -(-repeats * sizes[s] // block))) for s in goal],
-        "src string, source_size long, target double, source_blocks long",
+        [("n" if s is None else f"s{s}", sizes[s], float(goal[s]), min(words[s], repeats * sizes[s]), shards[s]) for s in goal],
+        "src string, source_size long, target double, source_words long, shards long",
     )
-    # Cells of a source: start one below the rounded-down share, rank the next quotients.
-    start = F.greatest(F.floor(F.col("source_blocks") * F.col("cell_size") / F.col("source_size")).cast("long") - 1, F.lit(0))
-    shared = cells.where("cell_size > 0").join(F.broadcast(plan), "src").withColumn("floor_blocks", start)
+    dealt = sized.join(F.broadcast(plan), "src").withColumn("cell", F.pmod(F.xxhash64("draw", F.lit(seed + 1)), F.col("shards")))
+    cells = dealt.groupBy("src", "cell", "source_size", "source_words").agg(F.sum("size").alias("cell_size"))
+    # Cells of a source: start one below the rounded-down share, rank the next quotients that there is room for.
+    start = F.greatest(F.floor(F.col("source_words") / F.col("source_size") * F.col("cell_size")).cast("long") - 1, F.lit(0))
     of_source = Window.partitionBy("src")
-    open_seats = F.col("source_blocks") - F.sum("floor_blocks").over(of_source)
     quotients = (
-        shared.withColumn("open", open_seats)
+        cells.where("cell_size > 0")
+        .withColumn("floor_words", start)
+        .withColumn("open", F.col("source_words") - F.sum("floor_words").over(of_source))
         .withColumn("t", F.explode(F.array(*[F.lit(i) for i in range(4)])))
-        .withColumn("quotient", F.col("cell_size") / (2 * (F.col("floor_blocks") + F.col("t")) + 1))
+        .where(F.col("floor_words") + F.col("t") < F.col("cell_size") * repeats)
+        .withColumn("quotient", F.col("cell_size") / (2 * (F.col("floor_words") + F.col("t")) + 1))
         .withColumn("place", F.row_number().over(of_source.orderBy(F.col("quotient").desc(), "cell", "t")))
     )
-    quotas = quotients.groupBy("src", "cell", "cell_size", "floor_blocks", "source_size", "target").agg(
-        F.sum((F.col("place") <= F.col("open")).cast("long")).alias("more")
-    ).select(
-        "src", "cell", "cell_size", "source_size", "target",
-        F.least((F.col("floor_blocks") + F.col("more")) * block, F.col("cell_size") * repeats).alias("quota"),
-    )
-    empty = plan.select("src", F.col("source_size").alias("empty_size"), F.col("target").alias("empty_target"))
+    quotas = quotients.groupBy("src", "cell", "cell_size", "floor_words").agg(F.sum((F.col("place") <= F.col("open")).cast("long")).alias("more"))
+    quotas = quotas.select("src", "cell", "cell_size", (F.col("floor_words") + F.col("more")).alias("quota"))
     line = Window.partitionBy("src", "cell").orderBy("draw", "named", "size").rowsBetween(Window.unboundedPreceding, -1)
-    placed = sized.withColumn("before", F.coalesce(F.sum("size").over(line), F.lit(0)))
-    joined = placed.join(quotas, ["src", "cell"], "left").join(F.broadcast(empty), "src")
+    placed = dealt.withColumn("before", F.coalesce(F.sum("size").over(line), F.lit(0)))
+    joined = placed.join(quotas, ["src", "cell"], "left")
     laps = F.floor(F.col("quota") / F.col("cell_size")).cast("long")
     rest = F.col("quota") - laps * F.col("cell_size")
     last = (
@@ -136,8 +135,8 @@ def mix(docs: DataFrame, seed: int = 17, whole: bool = False, keep: tuple[str, .
     return joined.select(
         *[F.col(f"keep_{c}").alias(c) for c in kept],
         "size",
-        F.coalesce("source_size", "empty_size").alias("source_size"),
-        F.coalesce("target", "empty_target").alias("target"),
+        "source_size",
+        "target",
         F.coalesce(laps * F.col("size") + last, F.lit(0)).cast("long").alias("taken"),
     )
 

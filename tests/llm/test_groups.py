@@ -161,6 +161,16 @@ def test_op5_on_a_table(spark, monkeypatch):
         assert all(abs(taken[s] - goal[s]) <= 0.01 * goal[s] + 30 for s in goal)
 
 
+@pytest.mark.parametrize(("rows_a_shard", "whole", "least_rows"), [(1, False, 0), (64, True, 100)])
+def test_targets_are_met_by_many_cells(spark, monkeypatch, rows_a_shard, whole, least_rows):
+    monkeypatch.setattr(mixing, "SHARD_ROWS", rows_a_shard)
+    source = F.when(F.col("id") % 3 == 0, "hot").when(F.col("id") % 200 == 1, "rare").otherwise(F.concat(F.lit("s"), F.col("id") % 17))
+    docs = spark.range(40000).select(F.col("id").alias("doc_id"), source.alias("source"), F.expr("repeat('w ', cast(5 + pmod(xxhash64(id), 40) as int))").alias("text"))
+    by_source = mixing.mix(docs, whole=whole, keep=("doc_id", "source")).groupBy("source").agg(F.count("*").alias("n"), F.first("target").alias("target"), F.sum("taken").alias("taken")).collect()
+    assert len(by_source) == 19 and all(r["n"] >= least_rows for r in by_source)
+    assert all(abs(r["taken"] - r["target"]) <= (0.01 * r["target"] if whole else 2) for r in by_source), by_source
+
+
 # ---- near-duplicates
 
 
