@@ -6,6 +6,12 @@ rightmost of equal ones, with its position.  Two texts that share ``w + k - 1``
 consecutive words therefore share a kept hash.  A text of fewer than k words has one
 hash, of all its words; a text without words has none.
 
+Half of a short text may hold fewer words than that, so texts of at most ``SHORT``
+characters, and those of at most ``MEDIUM`` with a run of 16 that aren't white space, also
+give winnowed hashes of ``CHAR_K`` characters; under ``TINY``, of every two characters.
+In any longer text half the characters hold ``w + k - 1`` whole words of at most 64
+characters.  Both rules look at the text alone, and adding hashes never takes any away.
+
 Hash and position travel in one long (38 bits of hash above 25 bits of reversed
 position), so the minimum of a window is a plain ``least`` and picks the rightmost tie.
 
@@ -24,6 +30,9 @@ from pyspark.sql import functions as F
 from lossygrad.llm import common
 
 K, W = 5, 4
+#: Most characters of texts that give hashes of characters too: all, and those with long runs; and of those that give all pairs.
+SHORT, MEDIUM, TINY = 320, 1200, 15
+CHAR_K, CHAR_W = 5, 4
 _POSITIONS = (1 << 25) - 1
 _HASHES = (1 << 38) - 1
 _LOWEST = -(1 << 63)
@@ -44,13 +53,38 @@ def selected(text: Column, k: int = K, w: int = W) -> Column:
         rolled = F.transform(F.sequence(F.lit(0), n - k), lambda i: _packed(F.xxhash64(*[F.get(h, i + j) for j in range(k)]), i))
         return F.when(n == 0, F.array().cast("array<bigint>")).when(n < k, F.array(_packed(F.xxhash64(h), F.lit(0)))).otherwise(rolled)
 
-    def minima(p: Column) -> Column:
-        n = F.size(p)
-        windows = F.transform(F.sequence(F.lit(0), n - w), lambda i: F.least(*[F.get(p, i + j) for j in range(w)]))
-        return F.when(n == 0, p).when(n <= w, F.array(F.array_min(p))).otherwise(F.array_distinct(windows))
-
     hashed = F.transform(words(text), lambda x: F.xxhash64(x))
-    return common.let(hashed, lambda h: common.let(grams(h), minima))
+    return common.let(hashed, lambda h: common.let(grams(h), lambda p: _minima(p, w)))
+
+
+def _minima(p: Column, w: int) -> Column:
+    n = F.size(p)
+    windows = F.transform(F.sequence(F.lit(0), n - w), lambda i: F.least(*[F.get(p, i + j) for j in range(w)]))
+    return F.when(n == 0, p).when(n <= w, F.array(F.array_min(p))).otherwise(F.array_distinct(windows))
+
+
+def selected_characters(text: Column) -> Column:
+    """The same of a short text's characters (lower case, white space as one space); empty for other texts."""
+    none = F.array().cast("array<bigint>")
+
+    def grams(t: Column, k: int) -> Column:
+        n = F.char_length(t)
+        rolled = F.transform(F.sequence(F.lit(0), n - k), lambda i: _packed(F.xxhash64(t.substr(i + 1, F.lit(k))), i))
+        return F.when(n == 0, none).when(n < k, F.array(_packed(F.xxhash64(t), F.lit(0)))).otherwise(rolled)
+
+    def both(t: Column) -> Column:
+        pairs = F.when(F.char_length(text) <= TINY, grams(t, 2)).otherwise(none)
+        return F.concat(common.let(grams(t, CHAR_K), lambda p: _minima(p, CHAR_W)), pairs)
+
+    n = F.char_length(text)
+    short = (n <= SHORT) | ((n <= MEDIUM) & text.rlike(r"[^\x20\x09-\x0D]{16}"))
+    plain = F.trim(F.regexp_replace(F.lower(text), r"[\x20\x09-\x0D]+", " "))
+    return F.when(short, common.let(plain, both)).otherwise(none)
+
+
+def selected_all(text: Column, k: int = K, w: int = W) -> Column:
+    """Hashes of words, then those of characters."""
+    return F.concat(selected(text, k, w), selected_characters(text))
 
 
 def _packed(h: Column, i: Column) -> Column:
@@ -152,7 +186,7 @@ def compare_with_edit(docs: DataFrame, k: int = K, w: int = W) -> DataFrame:
         )
 
     result = common.let(
-        selected(F.col("text"), k, w),
-        lambda a: common.let(selected(F.col("edited"), k, w), lambda b: common.let(selected(F.col("next_text"), k, w), lambda c: compared(a, b, c))),
+        selected_all(F.col("text"), k, w),
+        lambda a: common.let(selected_all(F.col("edited"), k, w), lambda b: common.let(selected_all(F.col("next_text"), k, w), lambda c: compared(a, b, c))),
     )
     return edited.select("doc_id", "n_chars", F.sha2("edited", 256).alias("edited_sha256"), F.inline(F.array(result)))

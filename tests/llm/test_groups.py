@@ -72,6 +72,15 @@ def test_match_guarantee(spark):
     assert rows.select(F.size(F.array_intersect(packed("x"), packed("y")))).first()[0] >= 1
 
 
+def test_half_of_a_short_text_matches(spark):
+    texts = ["a", "ab", "cat", "hello", "hello you", "one two three four", "seven words are all that this has", "x" * 40, "https://example.org/" + "abcdefghij" * 40]
+    texts += ["你好世界这是没有空格的文字" * n for n in (1, 4, 30)] + [" ".join(f"w{i}" * 9 for i in range(n)) for n in (3, 12, 19, 40)]
+    texts = [t for pair in zip(texts, [f"{i} zyx Q{i * 7}v" * 60 for i in range(len(texts))], strict=True) for t in pair]
+    rows = winnowing.compare_with_edit(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    # The edit changes nothing of one character and leaves one of two.
+    assert not [texts[r["doc_id"]] for r in rows if r["n_chars"] > 2 and not r["near_edited"] > 0]
+
+
 # ---- chat
 
 
