@@ -1,6 +1,6 @@
 """Winnowing fingerprints, in DataFrame functions only.
 
-A text's words (lower case; runs of over 64 characters are broken every 32) give
+A text's words (lower case; each of over 64 characters is broken every 32) give
 rolling k-gram hashes; each window of w consecutive hashes keeps its minimum, the
 rightmost of equal ones, with its position.  Two texts that share ``w + k - 1``
 consecutive words therefore share a kept hash.  A text of fewer than k words has one
@@ -40,9 +40,15 @@ _LOWEST = -(1 << 63)
 
 def words(text: Column) -> Column:
     """Lower-case words, in order."""
-    broken = F.when(text.rlike(r"[^\x20\x09-\x0D]{65}"), F.regexp_replace(text, r"([^\x20\x09-\x0D]{32})", "$1 ")).otherwise(text)
-    spaced = F.translate(F.lower(broken), "\t\n\x0b\x0c\r", "     ")
-    return F.filter(F.split(spaced, " "), lambda x: x != "")
+    def pieces(x: Column) -> Column:
+        return F.when(F.char_length(x) > 64, F.regexp_extract_all(x, F.lit(r"(?s).{1,32}"), F.lit(0))).otherwise(F.array(x))
+
+    def parts(t: Column) -> Column:
+        whole = F.split(t, " ")
+        return F.when(t.rlike("[^ ]{65}"), F.flatten(F.transform(whole, pieces))).otherwise(whole)
+
+    spaced = F.translate(F.lower(text), "\t\n\x0b\x0c\r", "     ")
+    return F.filter(common.let(spaced, parts), lambda x: x != "")
 
 
 def selected(text: Column, k: int = K, w: int = W) -> Column:

@@ -81,6 +81,13 @@ def test_half_of_a_short_text_matches(spark):
     assert not [texts[r["doc_id"]] for r in rows if r["n_chars"] > 2 and not r["near_edited"] > 0]
 
 
+def test_a_long_run_breaks_no_other_word(spark):
+    url = "https://example.org/a/path/of/some/length/" + "q" * 10
+    rows = spark.createDataFrame([(f"a {url} b", f"a {url} b " + "Z" * 70 + " c")], "x string, y string")
+    x, y = rows.select(winnowing.words(F.col("x")), winnowing.words(F.col("y"))).first()
+    assert x == ["a", url, "b"] and y == ["a", url, "b", "z" * 32, "z" * 32, "z" * 6, "c"]
+
+
 # ---- chat
 
 
