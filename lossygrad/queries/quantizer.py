@@ -181,9 +181,20 @@ for _s in (1, 4, 8):
     """,
 )
 def seed_mean_bias(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The vectors below 20 of ``seed_mean_bias_all``, as the SQL above has them."""
+    return _level_sums(spark, embeddings(spark, sf_dir).where("vec_id < 20"))
+
+
+@query("seed_mean_bias_all")
+def seed_mean_bias_all(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sums of signed levels over 32 seeds, of every vector."""
+    return _level_sums(spark, embeddings(spark, sf_dir))
+
+
+def _level_sums(spark: SparkSession, vectors: DataFrame) -> DataFrame:
     """Sums of signed levels over 32 seeds: over 32 and times the scale, they average to the value."""
-    few = embeddings(spark, sf_dir).where("vec_id < 20").crossJoin(F.broadcast(spark.range(32).select(F.col("id").alias("seed"))))
-    scaled = few.withColumn("scale", Q.scale_of(F.col("values")))
+    seeded = vectors.crossJoin(F.broadcast(spark.range(32).select(F.col("id").alias("seed"))))
+    scaled = seeded.withColumn("scale", Q.scale_of(F.col("values")))
     made = scaled.select("vec_id", "seed", F.posexplode_outer(Q.quantize_array(F.col("values"), F.col("scale"), 4, F.col("seed"), F.lit(0), F.col("vec_id"))).alias("coord", "q")).where("coord is not null")
     return made.groupBy("vec_id", F.col("coord").cast("bigint").alias("coord")).agg(F.sum(F.col("q.sign").cast("bigint") * F.col("q.level")).alias("level_sum"))
 
