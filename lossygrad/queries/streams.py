@@ -45,5 +45,5 @@ def stream_static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("stream_sessions")
 def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sessions that the watermark has closed."""
-    return online.drain(online.sessions(online.event_stream(spark, sf_dir)), "append").select("user_id", "n")
+    """All sessions, those still open at the newest event too."""
+    return online.drain(online.sessions(online.event_stream(spark, sf_dir))).select("user_id", "n")

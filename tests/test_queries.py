@@ -51,6 +51,15 @@ def test_bias_of_every_vector(spark, sf, con):
     assert normal(rows, columns) == normal([dict(zip(want.columns, r, strict=True)) for r in want.fetchall()], columns)
 
 
+def test_stream_emits_open_sessions_too(spark, sf, con):
+    found = {}
+    for r in CORE.QUERIES["stream_sessions"](spark, sf).collect():
+        sessions, n = found.get(r["user_id"], (0, 0))
+        found[r["user_id"]] = sessions + 1, n + r["n"]
+    want = con.sql(f"SELECT user_id, sessions, n FROM ({CORE.ORACLE['session_windows_users']})").fetchall()
+    assert found == {u: (s, n) for u, s, n in want}
+
+
 def test_entry(spark):
     rows = entry.entry(spark).collect()
     assert len(rows) == 20 and all(r["ratio"] > 1 for r in rows)
