@@ -1,26 +1,35 @@
 """Language-model scoring with a weighted backoff automaton.
 
-Model (over words, an end token and one unknown word):
-
-* unigrams of every training word, counted over the whole table, absolutely discounted;
-  what the discount frees is the unknown word's probability;
-* bi- and trigrams over frequent words (a share of at least ``WORD_SHARE`` of the training
-  tokens), kept when they make up at least ``GRAM_SHARE`` of them, discounted, with
-  backoff weights that make each history's probabilities sum to one.
-
-Kept histories are the states of an automaton.  An arc consumes a token; where a state
-has none, its failure arc leads to the shorter history and adds the backoff weight.  One
-pass from left to right carries the state and adds up log-probabilities.
-
-At scale: both shares bound the frequent words and the kept n-grams whatever the input
-(1 / share of each), so the automaton is broadcast.  The unigram table grows with the
-corpus and is never broadcast: documents are dealt to blocks, each block asks for the
-counts of its distinct words by a join, and the answers meet the block's texts again in
-a cogroup.  Texts are shuffled once.
+Model: all uni-, bi- and trigrams of the training texts (words, then an end token that is
+no history), none of them dropped, with Dirichlet smoothing: a history h that was seen
+c(h) times gives a token (c(h token) + m p) / (c(h) + m), where p is the shorter history's
+probability of it and m the order's ``PRIOR``; single tokens get (c + 0.5) / (N + 0.5 (V + 1)),
+the unknown word's share included.  So each history's probabilities sum to one.
+
+Seen histories are the states of an automaton.  An arc consumes a token that was seen
+after the state; where there is none, the failure arc leads to the shorter history and
+adds the log of m / (c(h) + m).  A text's traversal runs from left to right: the state
+that a token leads to is the longest seen suffix, at most two words, so it depends on
+these two tokens alone, and the arcs of a whole block of texts are followed at once, in
+arrays.
+
+At scale: no part of the model is broadcast or gathered.
+
+1. Texts are read once and written as blocks of about ``BLOCK_TOKENS`` tokens: hashes of
+   distinct words, and each token's number among them.  Whole texts only.
+2. A block lists its distinct n-grams (64-bit hashes) with its own training counts, sorted,
+   and sends each range of the hash space to that range's part as bytes of differences.
+   So a frequent n-gram is one entry a block and no hot key; parts are as many as keep a
+   part near ``PART_GRAMS`` entries.
+3. A part adds up the counts and answers a block only where the total is not the block's
+   own count (a bitmap and the totals).  With these answers, which hold just the arcs its
+   texts need, a block follows its automaton.
+
+The driver sees three sums: tokens, training tokens and distinct training words.
 
 Edge cases: null or empty text is the end token alone; with no training document all
-scores are those of an empty model (unigram 0 counts, score equal to the base score);
-equal rows score alike; an empty table gives no rows.
+scores are those of an empty model (score equal to the base score); equal rows score
+alike; a text longer than a block is a block; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -31,268 +40,249 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from lossygrad.llm import common
 
 FOLDS, HELD_OUT = 5, 1
-#: Least share of the training tokens that makes a word frequent, or keeps an n-gram.
-WORD_SHARE, GRAM_SHARE = 1e-5, 2e-6
-#: Least count of either.
-LEAST = 5
-DISCOUNT = 0.75
-ORDER = 3
-BLOCK_ROWS = 2048
+#: Weight of the shorter history's probabilities, for histories of one and of two words.
+PRIOR = (3000.0, 5.0)
+BLOCK_TOKENS = 1 << 20
+PART_GRAMS = 1 << 21
 #: The end token as a word: no word contains a line feed.
 END = "\n"
-_END = END.encode()
 RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+_BLOCK = "block long, doc_id array<long>, held_out array<boolean>, size array<int>, word array<long>, n_learnt int, n_train long, tokens binary"
+_TYPES = {"block": pa.int64(), "doc_id": pa.list_(pa.int64()), "held_out": pa.list_(pa.bool_()), "size": pa.list_(pa.int32()), "word": pa.list_(pa.int64()),
+          "n_learnt": pa.int32(), "n_train": pa.int64(), "tokens": pa.binary()}
+#: The lowest bit of a hash marks n-grams of held-out texts while they are sorted.
+_ODD = np.uint64(1)
 
 
-def tokens(texts: pa.Array | pa.ChunkedArray) -> tuple[pa.Array, np.ndarray, np.ndarray]:
-    """Distinct tokens (the end token last), all token numbers in order, and each text's bounds."""
-    lower = pc.ascii_lower(texts.cast(pa.string()))
-    words, number, bounds = common.arrow_words(lower)
-    number = np.insert(number, bounds[1:], len(words))
-    return pa.concat_arrays([words.cast(pa.string()), pa.array([END])]), number, bounds + np.arange(len(bounds))
+# ---- bytes
 
 
-def _places(words: pa.Array, among: pa.Array) -> np.ndarray:
-    """Place of each word among others, or -1."""
-    return pc.fill_null(pc.index_in(words, value_set=among), -1).to_numpy(zero_copy_only=False).astype(np.int64)
+def packed(values: np.ndarray) -> bytes:
+    """Integers as planes of bytes, so that high zero bytes cost nothing once compressed."""
+    planes = np.ascontiguousarray(values).view(np.uint8).reshape(len(values), values.dtype.itemsize).T
+    return len(values).to_bytes(8, "little") + pa.compress(np.ascontiguousarray(planes).tobytes(), codec="zstd", asbytes=True)
 
 
-def _training(docs: DataFrame) -> DataFrame:
-    rows = common.only(docs, "doc_id", "text")
-    return rows.where(common.crc_bucket(F.col("doc_id"), FOLDS) != HELD_OUT).select("text")
+def unpacked(data: bytes, dtype) -> np.ndarray:
+    n, width = int.from_bytes(data[:8], "little"), np.dtype(dtype).itemsize
+    planes = np.frombuffer(pa.decompress(data[8:], n * width, codec="zstd", asbytes=True), np.uint8).reshape(width, n)
+    return np.ascontiguousarray(planes.T).view(dtype).reshape(n)
 
 
-def word_counts(docs: DataFrame) -> DataFrame:
-    """word (UTF-8) and c, over all rows of ``docs``; each task combines its own first."""
+# ---- blocks
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            words, number, _ = tokens(batch.column("text"))
-            counts = np.bincount(number, minlength=len(words))
-            met = pa.array(counts > 0)  # without texts there is no end token
-            yield pa.RecordBatch.from_arrays([words.cast(pa.binary()).filter(met), pa.array(counts).filter(met)], names=["word", "c"])
 
-    return common.map_arrow(docs.select("text"), run, "word binary, c long").groupBy("word").agg(F.sum("c").alias("c"))
+def hashed_tokens(texts: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of all tokens of lower-cased texts (A-Z only), an end token after each text, and each text's bounds."""
+    from xxhash import xxh64_intdigest
+
+    words, number, bounds = common.arrow_words(pc.ascii_lower(texts.cast(pa.string())))
+    known = [xxh64_intdigest(w) for w in words.cast(pa.binary()).to_pylist()]
+    hashes = np.array([*known, xxh64_intdigest(END.encode())], np.uint64) & ~_ODD
+    return hashes[np.insert(number, bounds[1:], len(words))], bounds + np.arange(len(bounds))
 
 
-def gram_counts(docs: DataFrame, frequent: list[bytes]) -> DataFrame:
-    """Counts of bi- and trigrams of frequent words: ``gram`` packs up to three numbers of 21 bits
-    (word number + 1, 0 in front for a bigram)."""
-    listed = common.session_of(docs).sparkContext.broadcast([w.decode() for w in frequent])  # at most 1 / WORD_SHARE words
-    end = frequent.index(_END) + 1 if _END in frequent else -1
+def blocks_of(rows: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
+    """``rows`` (doc_id, held_out, text) as blocks of whole texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        among = pa.array(listed.value, pa.string())
-        held: list[np.ndarray] = []
-        size = 0
-        totals: tuple[np.ndarray, np.ndarray] | None = None
-
-        def fold() -> None:
-            nonlocal totals, size
-            grams, counts = np.unique(np.concatenate(held), return_counts=True)
-            if totals is not None:
-                both = np.concatenate([totals[0], grams])
-                grams, at = np.unique(both, return_inverse=True)
-                counts = np.bincount(at, np.concatenate([totals[1], counts])).astype(np.int64)
-            totals = grams, counts
-            held.clear()
-            size = 0
+        place, made = TaskContext.get().partitionId() << 32, 0
+        held: list[tuple[np.ndarray, pa.Array, np.ndarray, np.ndarray]] = []
+        waiting = 0
+
+        def block() -> pa.RecordBatch:
+            nonlocal made
+            tokens = np.concatenate([h[0] for h in held])
+            out, sizes = np.concatenate([h[2] for h in held]), np.concatenate([h[3] for h in held])
+            learnt = ~np.repeat(out, sizes)
+            words, number = np.unique(tokens, return_inverse=True)
+            new = np.ones(len(words), bool)
+            new[number[learnt]] = False
+            order = np.argsort(new, kind="stable")  # learnt words first
+            rank = np.empty(len(words), np.uint32)
+            rank[order] = np.arange(len(words), dtype=np.uint32)
+            ids = pa.concat_arrays([h[1] for h in held])
+            row = {"block": place + made, "doc_id": ids, "held_out": pa.array(out), "size": pa.array(sizes, pa.int32()), "word": pa.array(words[order].view(np.int64)),
+                   "n_learnt": int((~new).sum()), "n_train": int(learnt.sum()), "tokens": packed(rank[number])}
+            made += 1
+            lists = {k: pa.ListArray.from_arrays(pa.array([0, len(v)], pa.int32()), v) if isinstance(v, pa.Array) else pa.array([v], _TYPES[k]) for k, v in row.items()}
+            return pa.RecordBatch.from_arrays([lists[k] for k in _TYPES], names=list(_TYPES))
 
         for batch in batches:
-            words, number, _ = tokens(batch.column("text"))
-            ids = (_places(words, among) + 1)[number]
-            # A text's end is no history: n-grams stay inside texts.
-            two = np.where((ids[:-1] > 0) & (ids[1:] > 0) & (ids[:-1] != end), (ids[:-1] << 21) | ids[1:], 0)
-            three = np.where((two[:-1] > 0) & (two[1:] > 0), (two[:-1] << 21) | ids[2:], 0)
-            held += [two[two > 0], three[three > 0]]
-            size += len(ids)
-            if size > 2_000_000:
-                fold()
+            tokens, bounds = hashed_tokens(batch.column("text"))
+            out = batch.column("held_out").to_numpy(zero_copy_only=False).astype(bool)
+            at = 0
+            while at < batch.num_rows:
+                end = int(np.searchsorted(bounds, bounds[at] + max(block_tokens - waiting, 1), side="left"))
+                end = min(max(end, at + 1), batch.num_rows)
+                held.append((tokens[bounds[at] : bounds[end]], batch.column("doc_id").slice(at, end - at), out[at:end], np.diff(bounds[at : end + 1])))
+                waiting += int(bounds[end] - bounds[at])
+                at = end
+                if waiting >= block_tokens:
+                    yield block()
+                    held, waiting = [], 0
         if held:
-            fold()
-        if totals is not None:
-            yield pa.RecordBatch.from_arrays([pa.array(totals[0]), pa.array(totals[1].astype(np.int64))], names=["gram", "c"])
+            yield block()
+
+    return common.map_arrow(rows, run, _BLOCK)
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    """A bijection of 64-bit words that spreads every bit."""
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+class Grams:
+    """The n-grams at every token of a block; ``n`` of them are those that lie inside a text."""
 
-    return common.map_arrow(docs.select("text"), run, "gram long, c long").groupBy("gram").agg(F.sum("c").alias("c"))
+    def __init__(self, word: np.ndarray, tokens: np.ndarray, sizes: np.ndarray, held_out: np.ndarray):
+        starts = np.cumsum(sizes) - sizes
+        self.place = np.arange(len(tokens)) - np.repeat(starts, sizes)  # of a token in its text
+        self.sizes, self.starts, self.held = sizes, starts, np.repeat(held_out, sizes)
+        single = word.view(np.uint64)[tokens]
+        two, three = np.zeros_like(single), np.zeros_like(single)
+        two[1:] = _mixed(single[:-1] * np.uint64(3) + np.uint64(1)) + single[1:]
+        three[2:] = _mixed(two[1:-1] * np.uint64(5) + np.uint64(2)) + single[2:]
+        self.orders = [_mixed(g) & ~_ODD for g in (single, two, three)]
+
+    def distinct(self) -> tuple[np.ndarray, np.ndarray]:
+        """Sorted distinct n-grams, and how often each is in training texts."""
+        listed = np.concatenate([g[self.place >= k] | self.held[self.place >= k] for k, g in enumerate(self.orders)])
+        listed.sort()
+        bare = listed & ~_ODD
+        first = np.flatnonzero(np.r_[True, bare[1:] != bare[:-1]]) if len(bare) else np.zeros(0, np.int64)
+        learnt = np.add.reduceat((listed & _ODD == 0).astype(np.uint32), first, dtype=np.uint32) if len(bare) else np.zeros(0, np.uint32)
+        return bare[first], learnt
+
+
+def _grams(row: dict) -> Grams:
+    return Grams(np.array(row["word"], np.int64), unpacked(row["tokens"], np.uint32), np.array(row["size"], np.int64), np.array(row["held_out"], np.uint64))
+
+
+def _bounds(listed: np.ndarray, parts: int) -> np.ndarray:
+    """Where each part's range begins among sorted n-grams (parts + 1 places)."""
+    part = (listed >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)
+    return np.searchsorted(part, np.arange(parts + 1, dtype=np.uint64))
+
+
+def asks(blocks: DataFrame, parts: int) -> DataFrame:
+    """part, block, the n-grams of the block in the part's range, and their training counts in the block."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                listed, learnt = _grams(row).distinct()
+                at = _bounds(listed, parts)
+                some = np.flatnonzero(np.diff(at))
+                spans = [slice(at[p], at[p + 1]) for p in some]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(some, pa.int32()), pa.array(np.full(len(some), row["block"])), pa.array([packed(np.diff(listed[s], prepend=np.uint64(0))) for s in spans], pa.binary()),
+                     pa.array([packed(learnt[s]) for s in spans], pa.binary())], names=["part", "block", "grams", "learnt"],
+                )
+
+    return common.map_arrow(blocks.select("block", "held_out", "size", "word", "tokens"), run, "part int, block long, grams binary, learnt binary")
+
+
+def answer(asked: pa.Table) -> pa.Table:
+    """For the blocks of a part: which of their n-grams have another total, and the totals."""
+    lists = [np.cumsum(unpacked(g, np.uint64)) for g in asked.column("grams").to_pylist()]
+    learnt = np.concatenate([unpacked(c, np.uint32) for c in asked.column("learnt").to_pylist()]).astype(np.int64)
+    grams = np.concatenate(lists)
+    order = np.argsort(grams)
+    first = np.r_[True, np.diff(grams[order]) > 0]
+    sums = np.add.reduceat(learnt[order], np.flatnonzero(first))
+    totals = np.empty_like(learnt)
+    totals[order] = sums[np.cumsum(first) - 1]
+    other = totals != learnt
+    ends = np.cumsum([len(x) for x in lists])
+    spans = [slice(e - len(x), e) for e, x in zip(ends.tolist(), lists, strict=True)]
+    rows = [(p, b, np.packbits(other[s]).tobytes(), packed(totals[s][other[s]])) for p, b, s in zip(asked.column("part").to_pylist(), asked.column("block").to_pylist(), spans, strict=True) if other[s].any()]
+    schema = pa.schema([("part", pa.int32()), ("block", pa.int64()), ("other", pa.binary()), ("totals", pa.binary())])
+    return pa.Table.from_arrays([pa.array([r[i] for r in rows], schema.field(i).type) for i in range(4)], schema=schema)
+
+
+# ---- the automaton
 
 
 class Automaton:
-    """States are kept histories; words are numbers from 1 (0: not frequent).
+    """States and arcs for the n-grams that a block's texts meet.
 
-    ``single`` holds the unigram counts of frequent words by number - 1.
+    ``counts[k]`` holds the training count of the n-gram of k + 1 tokens that ends at each token (0: none).
     """
 
-    def __init__(self, single: np.ndarray, grams: dict[int, int], total: int, distinct: int):
-        self.total, self.distinct = total, distinct
-        self.p1 = np.maximum(single - DISCOUNT, 1e-300) / max(total, 1)
-        mask = (1 << 21) - 1
-        bi = {g: c for g, c in grams.items() if g < 1 << 42}
-        tri = {g: c for g, c in grams.items() if g >= 1 << 42}
-        self.arc: dict[int, float] = {}  # log10 P(last | history) of kept n-grams, by n-gram
-        self.prob: dict[int, float] = {}
-        self.backoff: dict[int, float] = {}  # log10, by history
-        self._order(bi, lambda g: int(single[(g >> 21) - 1]), lambda g: float(self.p1[(g & mask) - 1]))
-        self._order(tri, lambda g: bi.get(g >> 21, 0), self._lower)
-
-    def _lower(self, g: int) -> float:
-        """P(last | one word before), backing off."""
-        two = g & ((1 << 42) - 1)
-        if two in self.prob:
-            return self.prob[two]
-        return 10 ** self.backoff.get(two >> 21, 0.0) * float(self.p1[(two & ((1 << 21) - 1)) - 1])
-
-    def _order(self, grams: dict[int, int], history_count, lower) -> None:
-        kept: dict[int, list[float]] = {}
-        fresh = {}
-        for g, c in grams.items():
-            n = history_count(g)
-            if n <= 0:
-                continue
-            p = (c - DISCOUNT) / n
-            fresh[g] = p
-            sums = kept.setdefault(g >> 21, [0.0, 0.0])
-            sums[0] += p
-            sums[1] += lower(g)
-        for h, (high, low) in kept.items():
-            self.backoff[h] = math.log10(max(1 - high, 1e-12) / max(1 - low, 1e-12))
-        for g, p in fresh.items():
-            self.prob[g] = p
-            self.arc[g] = math.log10(p)
-
-    def unigram(self, counts: np.ndarray) -> np.ndarray:
-        """log10 probabilities of words with these training counts (0: the unknown word)."""
-        if not self.total:
-            return np.zeros(len(counts))
-        unknown = DISCOUNT * self.distinct
-        return np.log10(np.where(counts > 0, counts - DISCOUNT, unknown) / self.total)
-
-
-class Traversal:
-    """Left-to-right walks; what a state and a word lead to is worked out once and kept."""
-
-    #: Steps kept at most; beyond, they are worked out anew.
-    KEPT = 300_000
-
-    def __init__(self, automaton: Automaton):
-        self.a = automaton
-        self.step: dict[int, tuple[float, int, bool]] = {}
-
-    def _follow(self, state: int, word: int) -> tuple[float, int, bool]:
-        """Weight, next state, and whether the unigram is still to be added."""
-        a, weight, history = self.a, 0.0, state
-        last = (1 << 21) - 1
-        while history:
-            arc = a.arc.get(history << 21 | word) if word else None
-            if arc is not None:
-                weight += arc
-                break
-            weight += a.backoff[history]
-            history = history & last if history >> 21 else 0  # the failure arc
-            if history and history not in a.backoff:
-                history = 0
-        longest = (state & last) << 21 | word if word and state else 0
-        reached = longest if longest in a.backoff else word if word in a.backoff else 0
-        if len(self.step) >= self.KEPT:
-            self.step.clear()
-        found = self.step[state << 21 | word] = weight, reached, not history
-        return found
-
-    def score(self, ids: np.ndarray) -> tuple[float, np.ndarray]:
-        """Sum of arc and backoff weights, and which tokens are left to the unigrams.
-
-        Words that aren't frequent lead to the root, so only the frequent ones are visited.
-        """
-        state, total, left, last = 0, 0.0, np.ones(len(ids), bool), -1
-        at = np.flatnonzero(ids)
-        get, follow, inside = self.step.get, self._follow, []
-        for i, word in zip(at.tolist(), ids[at].tolist(), strict=True):
-            if state and i > last + 1:
-                total += (get(state << 21) or follow(state, 0))[0]
-                state = 0
-            weight, state, unigram = get(state << 21 | word) or follow(state, word)
-            total += weight
-            if not unigram:
-                inside.append(i)
-            last = i
-        if state and last < len(ids) - 1:
-            total += (get(state << 21) or follow(state, 0))[0]
-        left[inside] = False
-        return total, left
-
-
-_WALKERS: dict[int, Traversal] = {}
-
-
-def _walker(automaton: Automaton) -> Traversal:
-    """One walker a worker process, for the automaton it last met."""
-    found = _WALKERS.get(id(automaton))
-    if found is None or found.a is not automaton:
-        _WALKERS.clear()
-        found = _WALKERS[id(automaton)] = Traversal(automaton)
-    return found
-
-
-def fit(docs: DataFrame) -> tuple[DataFrame, Automaton, list[bytes]]:
-    """The written unigram table (word, c), the automaton and its frequent words."""
-    training = _training(docs)
-    singles = common.cut_lineage(word_counts(training))
-    total, distinct = singles.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
-    rows = singles.where(F.col("c") >= max(LEAST, math.ceil(WORD_SHARE * total))).orderBy(F.col("c").desc(), "word").collect()
-    frequent, counts = [bytes(r["word"]) for r in rows], np.array([r["c"] for r in rows], np.int64)
-    grams: dict[int, int] = {}
-    if rows:
-        least = max(LEAST, math.ceil(GRAM_SHARE * total))
-        grams = {r["gram"]: r["c"] for r in gram_counts(training, frequent).where(F.col("c") >= least).collect()}
-    return singles, Automaton(counts, grams, total, distinct), frequent
-
-
-def score(docs: DataFrame) -> DataFrame:
+    def __init__(self, counts: list[np.ndarray], total: int, distinct: int, prior: tuple[float, ...] = PRIOR):
+        self.counts, self.prior = counts, prior
+        self.single = (counts[0] + 0.5) / (total + 0.5 * (distinct + 1))
+        #: Length of the state that a token leads to: the longest seen suffix, less than the order.
+        self.state = (counts[0] > 0).astype(np.int8)
+        self.state[counts[1] > 0] = 2
+
+    def traverse(self, place: np.ndarray) -> np.ndarray:
+        """log10 weight of the step at each token; ``place`` is its place in its text, where the state is empty at 0."""
+        state = np.where(place > 0, np.r_[np.int8(0), self.state[:-1]], 0)
+        lower, weight = self.single, np.log10(self.single)
+        backoff = np.zeros(len(weight))
+        arcs = []
+        for k in (1, 2):  # from short histories to long ones: probabilities of arcs need the shorter history's
+            seen = np.flatnonzero(state >= k)
+            n = self.counts[k - 1][seen - 1]
+            p = lower.copy()
+            p[seen] = (self.counts[k][seen] + self.prior[k - 1] * lower[seen]) / (n + self.prior[k - 1])
+            arcs.append((seen, self.counts[k][seen] > 0, np.log10(p[seen]), np.log10(self.prior[k - 1] / (n + self.prior[k - 1]))))
+            lower = p
+        open_ = np.ones(len(weight), bool)  # tokens whose arc is still sought, from the carried state down its failure arcs
+        for seen, has_arc, arc, failure in reversed(arcs):
+            sought = open_[seen]
+            taken = seen[has_arc & sought]
+            weight[taken] = arc[has_arc & sought]
+            open_[taken] = False
+            failed = ~has_arc & sought
+            backoff[seen[failed]] += failure[failed]
+        return weight + backoff
+
+
+def walked(row: dict, answers: list[dict], total: int, distinct: int, parts: int, prior: tuple[float, ...] = PRIOR) -> pa.Table:
+    grams = _grams(row)
+    listed, learnt = grams.distinct()
+    counts, at = learnt.astype(np.int64), _bounds(listed, parts)
+    for a in answers:
+        span = counts[at[a["part"]] : at[a["part"] + 1]]
+        span[np.unpackbits(np.frombuffer(a["other"], np.uint8), count=len(span)).astype(bool)] = unpacked(a["totals"], np.int64)
+    met = [np.zeros(len(g), np.int64) for g in grams.orders]
+    for k, g in enumerate(grams.orders):
+        inside = np.flatnonzero(grams.place >= k)
+        met[k][inside] = counts[np.searchsorted(listed, g[inside])]
+    steps = Automaton(met, total, distinct, prior).traverse(grams.place)
+    base = np.add.reduceat(np.log10(met[0] + 0.5), grams.starts) - grams.sizes * math.log10(total + 0.5 * (distinct + 1))
+    columns = [row["doc_id"], row["held_out"], grams.sizes, np.add.reduceat((met[0] > 0).astype(np.int64), grams.starts), np.full(len(base), total), base, np.add.reduceat(steps, grams.starts)]
+    kinds = [pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64()]
+    return pa.table([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=[x.split()[0] for x in RESULT.split(", ")])
+
+
+def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, part_grams: int = PART_GRAMS, prior: tuple[float, ...] = PRIOR) -> DataFrame:
     """A row of ``RESULT`` for each document."""
-    spark = common.session_of(docs)
-    singles, automaton, frequent = fit(docs)
-    sent = spark.sparkContext.broadcast((automaton, [w.decode() for w in frequent]))  # bounded by the shares
-    rows = common.only(docs, "doc_id", "text")
-    blocks = max(1, -(-rows.count() // BLOCK_ROWS))
-    dealt = rows.select(
-        "doc_id",
-        (common.crc_bucket(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out"),
-        "text",
-        F.pmod(F.xxhash64("doc_id", "text"), F.lit(blocks)).cast("int").alias("block"),
-    ).repartition("block")
-
-    def distinct_words(table: pa.Table) -> pa.Table:
-        words, _, _ = tokens(table.column("text"))
-        return pa.table({"block": pa.array(np.full(len(words), table.column("block")[0].as_py()), pa.int32()), "word": words.cast(pa.binary())})
-
-    asked = dealt.groupBy("block").applyInArrow(distinct_words, "block int, word binary")
-    answers = asked.join(singles, "word")
-
-    def walk(texts: pa.Table, known: pa.Table) -> pa.Table:
-        automaton, listed = sent.value
-        words, number, bounds = tokens(texts.column("text"))
-        seen = known.column("word").cast(pa.string()).combine_chunks()
-        counts = np.append(known.column("c").to_numpy(), 0)[_places(words, seen)]
-        ids = _places(words, pa.array(listed, pa.string())) + 1
-        n_all, v = automaton.total, automaton.distinct
-        starts, sizes = bounds[:-1], np.diff(bounds)
-        base = np.log10(counts + 0.5)[number]
-        single = automaton.unigram(counts)[number]
-        ids, walker = ids[number], _walker(automaton)
-        sums = np.zeros(len(sizes))
-        for i, (a, b) in enumerate(zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True)):
-            total, left = walker.score(ids[a:b])
-            sums[i] = total + float(single[a:b][left].sum())
-        based = np.add.reduceat(base, starts) - sizes * math.log10(n_all + 0.5 * (v + 1))
-        met = np.add.reduceat((counts > 0).astype(np.int64)[number], starts)
-        return pa.table(
-            [texts.column("doc_id"), texts.column("held_out"), pa.array(sizes), pa.array(met), pa.array(np.full(len(sizes), n_all)), pa.array(based), pa.array(sums if n_all else based)],
-            names=[x.split()[0] for x in RESULT.split(", ")],
-        )
-
-    return dealt.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(walk, RESULT)
+    rows = common.only(docs, "doc_id", "text").select(
+        F.col("doc_id").cast("long"), (common.crc_bucket(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out"), F.col("text").cast("string")
+    )
+    blocks = common.cut_lineage(blocks_of(rows, block_tokens), compression="zstd")
+    learnt = blocks.select(F.explode(F.slice("word", 1, F.greatest("n_learnt", F.lit(1)))).alias("w"), "n_learnt").where("n_learnt > 0")
+    distinct = learnt.select("w").distinct().count()
+    total, met = blocks.agg(F.coalesce(F.sum("n_train"), F.lit(0)), F.coalesce(F.sum(F.aggregate("size", F.lit(0).cast("long"), lambda a, s: a + s)), F.lit(0))).first()
+    parts = max(1, -(-3 * met // (2 * part_grams)))  # n-grams are at most three a token, about half of them distinct
+    answers = asks(blocks, parts).groupBy("part").applyInArrow(answer, "part int, block long, other binary, totals binary")
+
+    def walk(texts: pa.Table, answered: pa.Table) -> pa.Table:
+        (row,) = texts.to_pylist()
+        return walked(row, answered.to_pylist(), total, distinct, parts, prior)
+
+    needed = blocks.select("block", "doc_id", "held_out", "size", "word", "tokens")
+    return needed.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(walk, RESULT)

@@ -137,32 +137,71 @@ def test_lm_without_training_documents(spark):
     assert rows[0]["score"] == rows[0]["base_score"] and rows[0]["train_tokens"] == 0
 
 
-def test_op8_against_the_recursive_definition(spark):
+class PlainAutomaton:
+    """Every n-gram of the training texts in dictionaries; one token at a time."""
+
+    def __init__(self, toks, prior=lm_scoring.PRIOR):
+        self.c = Counter()
+        for d, ws in toks:
+            if crc(d, 5) != 1:
+                self.c.update(tuple(ws[i : i + k]) for k in (1, 2, 3) for i in range(len(ws) - k + 1))
+        singles = [n for g, n in self.c.items() if len(g) == 1]
+        self.norm, self.prior = sum(singles) + 0.5 * (len(singles) + 1), prior
+
+    def p(self, history, word):
+        if not history:
+            return (self.c[(word,)] + 0.5) / self.norm
+        lower, m = self.p(history[1:], word), self.prior[len(history) - 1]
+        return (self.c[(*history, word)] + m * lower) / (self.c[history] + m) if self.c[history] else lower
+
+    def score(self, ws):
+        state, total = (), 0.0
+        for w in ws:
+            while state and not self.c[(*state, w)]:  # failure arcs
+                m = self.prior[len(state) - 1]
+                total += math.log10(m / (self.c[state] + m))
+                state = state[1:]
+                while state and not self.c[state]:
+                    state = state[1:]
+            total += math.log10(self.p(state, w))
+            state = (*state, w)[-2:]
+            while state and not self.c[state]:
+                state = state[1:]
+        return total
+
+
+def test_op8_against_an_automaton_of_all_ngrams(spark):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
-    texts = [(r["doc_id"], r["text"]) for r in docs.collect()]
     rows = {r["doc_id"]: r for r in QUERIES["op8_lm_scoring"](spark, SF).collect()}
-    toks, counts = check_lm(rows.values(), texts)
-    _, a, frequent = lm_scoring.fit(docs)
-    number = {w.decode(): i + 1 for i, w in enumerate(frequent)}
-
-    def p(history, word, c):
-        if not history:
-            return float(a.unigram(np.array([c]))[0])
-        if 0 in history:
-            return p(history[len(history) - history[::-1].index(0) :], word, c)
-        key = 0
-        for x in history:
-            key = key << 21 | x
-        if word and (key << 21 | word) in a.arc:
-            return a.arc[key << 21 | word]
-        return a.backoff.get(key, 0.0) + p(history[1:], word, c)
-
-    for d, ws in toks[:150]:
-        ids = [number.get(w, 0) for w in ws]
-        want = sum(p(tuple(ids[max(0, i - 2) : i]), ids[i], counts[w]) for i, w in enumerate(ws))
-        assert rows[d]["score"] == pytest.approx(want, rel=1e-9, abs=1e-6)
-    for history in [(), (1,), (1, 2)]:  # each history's probabilities sum to one
-        known = sum(10 ** p(history, number.get(w, 0), c) for w, c in counts.items())
-        assert known + 10 ** p(history, 0, 0) == pytest.approx(1, abs=1e-6)
+    toks, counts = check_lm(rows.values(), [(r["doc_id"], r["text"]) for r in docs.collect()])
+    plain = PlainAutomaton(toks)
+    for d, ws in toks:
+        assert rows[d]["score"] == pytest.approx(plain.score(ws), rel=1e-9, abs=1e-6)
+    common_words = [w for w, _ in counts.most_common(3)]
+    for history in [(), ("\x00never",), *[(w,) for w in common_words], *list(plain.c)[5000:5003]]:  # each history's probabilities sum to one
+        history = tuple(history)[:2]
+        known = sum(plain.p(history, w) for w in counts)
+        assert known + plain.p(history, "\x00unknown") == pytest.approx(1, abs=1e-9)
     held = [r for r in rows.values() if r["held_out"]]
-    assert sum(r["score"] for r in held) > sum(r["base_score"] for r in held)
+    assert sum(r["score"] for r in held) > 0.9 * sum(r["base_score"] for r in held)
+
+
+def test_lm_blocks_and_parts_change_nothing(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    plain = PlainAutomaton([(r["doc_id"], [*WORDS.findall(lower(r["text"] or "")), "\n"]) for r in docs.collect()])
+    texts = {r["doc_id"]: [*WORDS.findall(lower(r["text"] or "")), "\n"] for r in docs.collect()}
+    for r in lm_scoring.score(docs.repartition(3), block_tokens=700, part_grams=500).collect():
+        assert r["score"] == pytest.approx(plain.score(texts[r["doc_id"]]), rel=1e-9, abs=1e-6)
+
+
+def test_lm_learns_what_occurs_twice(spark):
+    """The model gathers n-grams of any count: a text that a training text repeats scores above a fresh one."""
+    words = [f"w{i}" for i in range(4000)]
+    ids = [i for i in range(400) if crc(i, 5) != 1]
+    held = [i for i in range(400) if crc(i, 5) == 1]
+    rng = np.random.default_rng(3)
+    texts = {i: " ".join(rng.choice(words, 60)) for i in ids}
+    texts |= {held[0]: texts[ids[0]], held[1]: " ".join(rng.permutation(texts[ids[0]].split()))}
+    got = {r["doc_id"]: r for r in lm_scoring.score(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()}
+    assert got[held[0]]["base_score"] == pytest.approx(got[held[1]]["base_score"])
+    assert got[held[0]]["score"] > got[held[1]]["score"] + 60
