@@ -17,10 +17,11 @@ At scale: no part of the model is broadcast or gathered.
 
 1. Texts are read once and written as blocks of about ``BLOCK_TOKENS`` tokens: hashes of
    distinct words, and each token's number among them.  Whole texts only.
-2. A block lists its distinct n-grams (64-bit hashes) with its own training counts, sorted,
+2. A block lists its distinct n-grams as hashes with its own training counts, sorted,
    and sends each range of the hash space to that range's part as bytes of differences.
    So a frequent n-gram is one entry a block and no hot key; parts are as many as keep a
-   part near ``PART_GRAMS`` entries.
+   part near ``PART_GRAMS`` entries.  A hash has ``SPARE_BITS`` bits more than tell the
+   corpus's n-grams apart, so one in 2^26 of them shares its hash, whatever the input.
 3. A part adds up the counts and answers a block only where the total is not the block's
    own count (a bitmap and the totals).  With these answers, which hold just the arcs its
    texts need, a block follows its automaton.
@@ -49,16 +50,15 @@ from lossygrad.llm import common
 FOLDS, HELD_OUT = 5, 1
 #: Weight of the shorter history's probabilities, for histories of one and of two words.
 PRIOR = (3000.0, 5.0)
-BLOCK_TOKENS = 1 << 20
+BLOCK_TOKENS = 1 << 21
+SPARE_BITS = 26
 PART_GRAMS = 1 << 21
 #: The end token as a word: no word contains a line feed.
 END = "\n"
 RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-_BLOCK = "block long, doc_id array<long>, held_out array<boolean>, size array<int>, word array<long>, n_learnt int, n_train long, tokens binary"
-_TYPES = {"block": pa.int64(), "doc_id": pa.list_(pa.int64()), "held_out": pa.list_(pa.bool_()), "size": pa.list_(pa.int32()), "word": pa.list_(pa.int64()),
-          "n_learnt": pa.int32(), "n_train": pa.int64(), "tokens": pa.binary()}
-#: The lowest bit of a hash marks n-grams of held-out texts while they are sorted.
-_ODD = np.uint64(1)
+_TYPES = {"block": pa.int64(), "doc_id": pa.list_(pa.int64()), "held_out": pa.list_(pa.bool_()), "size": pa.list_(pa.int32()), "n_train": pa.int64(), "words": pa.binary(),
+          "learnt": pa.binary(), "tokens": pa.binary()}
+_BLOCK = "block long, doc_id array<long>, held_out array<boolean>, size array<int>, n_train long, words binary, learnt binary, tokens binary"
 
 
 # ---- bytes
@@ -85,7 +85,7 @@ def hashed_tokens(texts: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.nda
 
     words, number, bounds = common.arrow_words(pc.ascii_lower(texts.cast(pa.string())))
     known = [xxh64_intdigest(w) for w in words.cast(pa.binary()).to_pylist()]
-    hashes = np.array([*known, xxh64_intdigest(END.encode())], np.uint64) & ~_ODD
+    hashes = np.array([*known, xxh64_intdigest(END.encode())], np.uint64)
     return hashes[np.insert(number, bounds[1:], len(words))], bounds + np.arange(len(bounds))
 
 
@@ -102,15 +102,16 @@ def blocks_of(rows: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
             tokens = np.concatenate([h[0] for h in held])
             out, sizes = np.concatenate([h[2] for h in held]), np.concatenate([h[3] for h in held])
             learnt = ~np.repeat(out, sizes)
-            words, number = np.unique(tokens, return_inverse=True)
-            new = np.ones(len(words), bool)
-            new[number[learnt]] = False
-            order = np.argsort(new, kind="stable")  # learnt words first
+            words, number, counts = np.unique(tokens, return_inverse=True, return_counts=True)
+            known = np.zeros(len(words), bool)
+            known[number[learnt]] = True
+            # The most frequent words get numbers of one byte, the next of two; among these they stay sorted.
+            often = np.argsort(np.argsort(-counts, kind="stable"), kind="stable")
+            order = np.argsort(np.searchsorted([1 << 8, 1 << 16], often, side="right"), kind="stable")
             rank = np.empty(len(words), np.uint32)
             rank[order] = np.arange(len(words), dtype=np.uint32)
-            ids = pa.concat_arrays([h[1] for h in held])
-            row = {"block": place + made, "doc_id": ids, "held_out": pa.array(out), "size": pa.array(sizes, pa.int32()), "word": pa.array(words[order].view(np.int64)),
-                   "n_learnt": int((~new).sum()), "n_train": int(learnt.sum()), "tokens": packed(rank[number])}
+            row = {"block": place + made, "doc_id": pa.concat_arrays([h[1] for h in held]), "held_out": pa.array(out), "size": pa.array(sizes, pa.int32()), "n_train": int(learnt.sum()),
+                   "words": packed(np.diff(words[order], prepend=np.uint64(0))), "learnt": np.packbits(known[order]).tobytes(), "tokens": packed(rank[number])}
             made += 1
             lists = {k: pa.ListArray.from_arrays(pa.array([0, len(v)], pa.int32()), v) if isinstance(v, pa.Array) else pa.array([v], _TYPES[k]) for k, v in row.items()}
             return pa.RecordBatch.from_arrays([lists[k] for k in _TYPES], names=list(_TYPES))
@@ -142,46 +143,72 @@ def _mixed(x: np.ndarray) -> np.ndarray:
 
 
 class Grams:
-    """The n-grams at every token of a block; ``n`` of them are those that lie inside a text."""
+    """Hashes of ``bits`` bits of the n-grams that end at every token of a block."""
 
-    def __init__(self, word: np.ndarray, tokens: np.ndarray, sizes: np.ndarray, held_out: np.ndarray):
+    def __init__(self, words: np.ndarray, tokens: np.ndarray, sizes: np.ndarray, held_out: np.ndarray, bits: int):
         starts = np.cumsum(sizes) - sizes
         self.place = np.arange(len(tokens)) - np.repeat(starts, sizes)  # of a token in its text
         self.sizes, self.starts, self.held = sizes, starts, np.repeat(held_out, sizes)
-        single = word.view(np.uint64)[tokens]
+        single = words[tokens]
         two, three = np.zeros_like(single), np.zeros_like(single)
         two[1:] = _mixed(single[:-1] * np.uint64(3) + np.uint64(1)) + single[1:]
         three[2:] = _mixed(two[1:-1] * np.uint64(5) + np.uint64(2)) + single[2:]
-        self.orders = [_mixed(g) & ~_ODD for g in (single, two, three)]
+        self.orders = [_mixed(g) >> np.uint64(64 - bits) for g in (single, two, three)]
 
     def distinct(self) -> tuple[np.ndarray, np.ndarray]:
         """Sorted distinct n-grams, and how often each is in training texts."""
-        listed = np.concatenate([g[self.place >= k] | self.held[self.place >= k] for k, g in enumerate(self.orders)])
+        # While they are sorted, the lowest bit marks those of held-out texts.
+        listed = np.concatenate([(g << np.uint64(1) | self.held)[self.place >= k] for k, g in enumerate(self.orders)])
         listed.sort()
-        bare = listed & ~_ODD
+        bare = listed >> np.uint64(1)
         first = np.flatnonzero(np.r_[True, bare[1:] != bare[:-1]]) if len(bare) else np.zeros(0, np.int64)
-        learnt = np.add.reduceat((listed & _ODD == 0).astype(np.uint32), first, dtype=np.uint32) if len(bare) else np.zeros(0, np.uint32)
+        learnt = np.add.reduceat((~listed & np.uint64(1)).astype(np.uint32), first, dtype=np.uint32) if len(bare) else np.zeros(0, np.uint32)
         return bare[first], learnt
 
 
-def _grams(row: dict) -> Grams:
-    return Grams(np.array(row["word"], np.int64), unpacked(row["tokens"], np.uint32), np.array(row["size"], np.int64), np.array(row["held_out"], np.uint64))
+def _words(row: dict) -> np.ndarray:
+    return np.cumsum(unpacked(row["words"], np.uint64))
 
 
-def _bounds(listed: np.ndarray, parts: int) -> np.ndarray:
-    """Where each part's range begins among sorted n-grams (parts + 1 places)."""
-    part = (listed >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)
+def _grams(row: dict, bits: int) -> Grams:
+    return Grams(_words(row), unpacked(row["tokens"], np.uint32), np.array(row["size"], np.int64), np.array(row["held_out"], np.uint64), bits)
+
+
+def _bounds(listed: np.ndarray, parts: int, bits: int) -> np.ndarray:
+    """Where each part's range begins among sorted hashes (parts + 1 places)."""
+    part = (listed >> np.uint64(bits - 32)) * np.uint64(parts) >> np.uint64(32)
     return np.searchsorted(part, np.arange(parts + 1, dtype=np.uint64))
 
 
-def asks(blocks: DataFrame, parts: int) -> DataFrame:
+def distinct_words(blocks: DataFrame, parts: int) -> int:
+    """Distinct words of all training texts."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in batch.to_pylist():
+                words = _words(row)
+                words = np.sort(_mixed(words[np.unpackbits(np.frombuffer(row["learnt"], np.uint8), count=len(words)).astype(bool)]))
+                at = _bounds(words, parts, 64)
+                some = np.flatnonzero(np.diff(at))
+                lists = [packed(np.diff(words[at[p] : at[p + 1]], prepend=np.uint64(0))) for p in some]
+                yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array(lists, pa.binary())], names=["part", "words"])
+
+    def count(asked: pa.Table) -> pa.Table:
+        met = np.unique(np.concatenate([np.cumsum(unpacked(w, np.uint64)) for w in asked.column("words").to_pylist()]))
+        return pa.table({"n": pa.array([len(met)], pa.int64())})
+
+    sent = common.map_arrow(blocks.select("words", "learnt"), run, "part int, words binary")
+    return sent.groupBy("part").applyInArrow(count, "n long").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+
+
+def asks(blocks: DataFrame, parts: int, bits: int) -> DataFrame:
     """part, block, the n-grams of the block in the part's range, and their training counts in the block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                listed, learnt = _grams(row).distinct()
-                at = _bounds(listed, parts)
+                listed, learnt = _grams(row, bits).distinct()
+                at = _bounds(listed, parts, bits)
                 some = np.flatnonzero(np.diff(at))
                 spans = [slice(at[p], at[p + 1]) for p in some]
                 yield pa.RecordBatch.from_arrays(
@@ -189,7 +216,7 @@ def asks(blocks: DataFrame, parts: int) -> DataFrame:
                      pa.array([packed(learnt[s]) for s in spans], pa.binary())], names=["part", "block", "grams", "learnt"],
                 )
 
-    return common.map_arrow(blocks.select("block", "held_out", "size", "word", "tokens"), run, "part int, block long, grams binary, learnt binary")
+    return common.map_arrow(blocks.select("block", "held_out", "size", "words", "tokens"), run, "part int, block long, grams binary, learnt binary")
 
 
 def answer(asked: pa.Table) -> pa.Table:
@@ -250,10 +277,11 @@ class Automaton:
         return weight + backoff
 
 
-def walked(row: dict, answers: list[dict], total: int, distinct: int, parts: int, prior: tuple[float, ...] = PRIOR) -> pa.Table:
-    grams = _grams(row)
+def walked(row: dict, answers: list[dict], total: int, distinct: int, parts: int, bits: int, prior: tuple[float, ...] = PRIOR) -> pa.Table:
+    """The rows of ``RESULT`` of a block."""
+    grams = _grams(row, bits)
     listed, learnt = grams.distinct()
-    counts, at = learnt.astype(np.int64), _bounds(listed, parts)
+    counts, at = learnt.astype(np.int64), _bounds(listed, parts, bits)
     for a in answers:
         span = counts[at[a["part"]] : at[a["part"] + 1]]
         span[np.unpackbits(np.frombuffer(a["other"], np.uint8), count=len(span)).astype(bool)] = unpacked(a["totals"], np.int64)
@@ -274,15 +302,16 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, part_grams: int = P
         F.col("doc_id").cast("long"), (common.crc_bucket(F.col("doc_id"), FOLDS) == HELD_OUT).alias("held_out"), F.col("text").cast("string")
     )
     blocks = common.cut_lineage(blocks_of(rows, block_tokens), compression="zstd")
-    learnt = blocks.select(F.explode(F.slice("word", 1, F.greatest("n_learnt", F.lit(1)))).alias("w"), "n_learnt").where("n_learnt > 0")
-    distinct = learnt.select("w").distinct().count()
-    total, met = blocks.agg(F.coalesce(F.sum("n_train"), F.lit(0)), F.coalesce(F.sum(F.aggregate("size", F.lit(0).cast("long"), lambda a, s: a + s)), F.lit(0))).first()
+    sizes = F.aggregate("size", F.lit(0).cast("long"), lambda a, x: a + x)
+    total, met = blocks.agg(F.coalesce(F.sum("n_train"), F.lit(0)), F.coalesce(F.sum(sizes), F.lit(0))).first()
     parts = max(1, -(-3 * met // (2 * part_grams)))  # n-grams are at most three a token, about half of them distinct
-    answers = asks(blocks, parts).groupBy("part").applyInArrow(answer, "part int, block long, other binary, totals binary")
+    bits = min(63, max(32, (3 * met).bit_length() + SPARE_BITS))
+    distinct = distinct_words(blocks, max(1, parts // 8))
+    answers = asks(blocks, parts, bits).groupBy("part").applyInArrow(answer, "part int, block long, other binary, totals binary")
 
     def walk(texts: pa.Table, answered: pa.Table) -> pa.Table:
         (row,) = texts.to_pylist()
-        return walked(row, answered.to_pylist(), total, distinct, parts, prior)
+        return walked(row, answered.to_pylist(), total, distinct, parts, bits, prior)
 
-    needed = blocks.select("block", "doc_id", "held_out", "size", "word", "tokens")
+    needed = blocks.select("block", "doc_id", "held_out", "size", "words", "tokens")
     return needed.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(walk, RESULT)
