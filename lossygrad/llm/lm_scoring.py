@@ -17,11 +17,12 @@ At scale: no part of the model is broadcast or gathered.
 
 1. Texts are read once and written as blocks of about ``BLOCK_TOKENS`` tokens: hashes of
    distinct words, and each token's number among them.  Whole texts only.
-2. A block lists its distinct n-grams as hashes with its own training counts, sorted,
-   and sends each range of the hash space to that range's part as bytes of differences.
-   So a frequent n-gram is one entry a block and no hot key; parts are as many as keep a
-   part near ``PART_GRAMS`` entries.  A hash has ``SPARE_BITS`` bits more than tell the
-   corpus's n-grams apart, so one in 2^26 of them shares its hash, whatever the input.
+2. A block lists its distinct n-grams of each order as hashes with its own training
+   counts, sorted, and sends each range of the hash space to that range's part as bytes of
+   differences.  So a frequent n-gram is one entry a block and no hot key; parts are as
+   many as keep a part near ``PART_GRAMS`` entries.  A hash has ``SPARE_BITS`` bits more
+   than tell the corpus's tokens apart, so at most one n-gram in 2^26 shares its hash with
+   another, whatever the input.
 3. A part adds up the counts and answers a block only where the total is not the block's
    own count (a bitmap and the totals).  With these answers, which hold just the arcs its
    texts need, a block follows its automaton.
@@ -50,12 +51,15 @@ from lossygrad.llm import common
 FOLDS, HELD_OUT = 5, 1
 #: Weight of the shorter history's probabilities, for histories of one and of two words.
 PRIOR = (3000.0, 5.0)
-BLOCK_TOKENS = 1 << 21
+BLOCK_TOKENS = 3 << 19
 SPARE_BITS = 26
-PART_GRAMS = 1 << 21
+PART_GRAMS = 1 << 20
+ORDER = 3
 #: The end token as a word: no word contains a line feed.
 END = "\n"
 RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+#: Rows that are split into tokens together.
+_ROWS = 1024
 _TYPES = {"block": pa.int64(), "doc_id": pa.list_(pa.int64()), "held_out": pa.list_(pa.bool_()), "size": pa.list_(pa.int32()), "n_train": pa.int64(), "words": pa.binary(),
           "learnt": pa.binary(), "tokens": pa.binary()}
 _BLOCK = "block long, doc_id array<long>, held_out array<boolean>, size array<int>, n_train long, words binary, learnt binary, tokens binary"
@@ -116,7 +120,7 @@ def blocks_of(rows: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
             lists = {k: pa.ListArray.from_arrays(pa.array([0, len(v)], pa.int32()), v) if isinstance(v, pa.Array) else pa.array([v], _TYPES[k]) for k, v in row.items()}
             return pa.RecordBatch.from_arrays([lists[k] for k in _TYPES], names=list(_TYPES))
 
-        for batch in batches:
+        for batch in (b.slice(at, _ROWS) for b in batches for at in range(0, b.num_rows, _ROWS)):
             tokens, bounds = hashed_tokens(batch.column("text"))
             out = batch.column("held_out").to_numpy(zero_copy_only=False).astype(bool)
             at = 0
@@ -145,39 +149,52 @@ def _mixed(x: np.ndarray) -> np.ndarray:
 class Grams:
     """Hashes of ``bits`` bits of the n-grams that end at every token of a block."""
 
-    def __init__(self, words: np.ndarray, tokens: np.ndarray, sizes: np.ndarray, held_out: np.ndarray, bits: int):
-        starts = np.cumsum(sizes) - sizes
-        self.place = np.arange(len(tokens)) - np.repeat(starts, sizes)  # of a token in its text
-        self.sizes, self.starts, self.held = sizes, starts, np.repeat(held_out, sizes)
-        single = words[tokens]
-        two, three = np.zeros_like(single), np.zeros_like(single)
-        two[1:] = _mixed(single[:-1] * np.uint64(3) + np.uint64(1)) + single[1:]
-        three[2:] = _mixed(two[1:-1] * np.uint64(5) + np.uint64(2)) + single[2:]
-        self.orders = [_mixed(g) >> np.uint64(64 - bits) for g in (single, two, three)]
-
-    def distinct(self) -> tuple[np.ndarray, np.ndarray]:
-        """Sorted distinct n-grams, and how often each is in training texts."""
-        # While they are sorted, the lowest bit marks those of held-out texts.
-        listed = np.concatenate([(g << np.uint64(1) | self.held)[self.place >= k] for k, g in enumerate(self.orders)])
+    def __init__(self, row: dict, bits: int):
+        self.bits, self.words, self.tokens = bits, _words(row), unpacked(row["tokens"], np.uint32)
+        self.sizes = np.array(row["size"], np.int64)
+        self.starts = np.cumsum(self.sizes) - self.sizes
+        self.place = (np.arange(len(self.tokens)) - np.repeat(self.starts, self.sizes)).astype(np.int32)  # of a token in its text
+        self.held = np.repeat(np.array(row["held_out"], bool), self.sizes)
+
+    def order(self, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Hashes of the n-grams of k + 1 tokens, and the tokens that they end at."""
+        out = single = self.words[self.tokens]
+        for j in range(1, k + 1):
+            out = _mixed(out[:-1] * np.uint64(2 * j + 1) + np.uint64(j)) + single[j:]
+        inside = np.flatnonzero(self.place >= k)
+        return (_mixed(out) >> np.uint64(64 - self.bits))[inside - k], inside
+
+    def distinct(self, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Sorted distinct n-grams of k + 1 tokens, and how often each is in training texts."""
+        listed, inside = self.order(k)
+        listed = listed << np.uint64(1) | self.held[inside]  # while they are sorted, the lowest bit marks those of held-out texts
         listed.sort()
         bare = listed >> np.uint64(1)
-        first = np.flatnonzero(np.r_[True, bare[1:] != bare[:-1]]) if len(bare) else np.zeros(0, np.int64)
+        first = _firsts(bare)
         learnt = np.add.reduceat((~listed & np.uint64(1)).astype(np.uint32), first, dtype=np.uint32) if len(bare) else np.zeros(0, np.uint32)
         return bare[first], learnt
 
+    def numbered(self, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """As ``distinct``, then the tokens n-grams end at and the number of each one's n-gram in the list."""
+        hashes, inside = self.order(k)
+        at = np.argsort(hashes)
+        first = _firsts(hashes[at])
+        number = np.empty(len(at), np.int32)
+        number[at] = np.repeat(np.arange(len(first), dtype=np.int32), np.diff(np.r_[first, len(at)]))
+        return hashes[at[first]], np.bincount(number, ~self.held[inside], len(first)).astype(np.int64), inside, number
 
-def _words(row: dict) -> np.ndarray:
-    return np.cumsum(unpacked(row["words"], np.uint64))
 
+def _firsts(values: np.ndarray) -> np.ndarray:
+    return np.flatnonzero(np.r_[True, values[1:] != values[:-1]]) if len(values) else np.zeros(0, np.int64)
 
-def _grams(row: dict, bits: int) -> Grams:
-    return Grams(_words(row), unpacked(row["tokens"], np.uint32), np.array(row["size"], np.int64), np.array(row["held_out"], np.uint64), bits)
+
+def _words(row: dict) -> np.ndarray:
+    return np.cumsum(unpacked(row["words"], np.uint64))
 
 
 def _bounds(listed: np.ndarray, parts: int, bits: int) -> np.ndarray:
     """Where each part's range begins among sorted hashes (parts + 1 places)."""
-    part = (listed >> np.uint64(bits - 32)) * np.uint64(parts) >> np.uint64(32)
-    return np.searchsorted(part, np.arange(parts + 1, dtype=np.uint64))
+    return np.searchsorted((listed >> np.uint64(bits - 32)) * np.uint64(parts) >> np.uint64(32), np.arange(parts + 1, dtype=np.uint64))
 
 
 def distinct_words(blocks: DataFrame, parts: int) -> int:
@@ -202,19 +219,21 @@ def distinct_words(blocks: DataFrame, parts: int) -> int:
 
 
 def asks(blocks: DataFrame, parts: int, bits: int) -> DataFrame:
-    """part, block, the n-grams of the block in the part's range, and their training counts in the block."""
+    """part (``parts`` of each order), block, its n-grams in the part's range, and their training counts in the block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
-                listed, learnt = _grams(row, bits).distinct()
-                at = _bounds(listed, parts, bits)
-                some = np.flatnonzero(np.diff(at))
-                spans = [slice(at[p], at[p + 1]) for p in some]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(some, pa.int32()), pa.array(np.full(len(some), row["block"])), pa.array([packed(np.diff(listed[s], prepend=np.uint64(0))) for s in spans], pa.binary()),
-                     pa.array([packed(learnt[s]) for s in spans], pa.binary())], names=["part", "block", "grams", "learnt"],
-                )
+                grams = Grams(row, bits)
+                for k in range(ORDER):
+                    listed, learnt = grams.distinct(k)
+                    at = _bounds(listed, parts, bits)
+                    some = np.flatnonzero(np.diff(at))
+                    spans = [slice(at[p], at[p + 1]) for p in some]
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(some + k * parts, pa.int32()), pa.array(np.full(len(some), row["block"])), pa.array([packed(np.diff(listed[s], prepend=np.uint64(0))) for s in spans], pa.binary()),
+                         pa.array([packed(learnt[s]) for s in spans], pa.binary())], names=["part", "block", "grams", "learnt"],
+                    )
 
     return common.map_arrow(blocks.select("block", "held_out", "size", "words", "tokens"), run, "part int, block long, grams binary, learnt binary")
 
@@ -225,10 +244,9 @@ def answer(asked: pa.Table) -> pa.Table:
     learnt = np.concatenate([unpacked(c, np.uint32) for c in asked.column("learnt").to_pylist()]).astype(np.int64)
     grams = np.concatenate(lists)
     order = np.argsort(grams)
-    first = np.r_[True, np.diff(grams[order]) > 0]
-    sums = np.add.reduceat(learnt[order], np.flatnonzero(first))
+    first = _firsts(grams[order])
     totals = np.empty_like(learnt)
-    totals[order] = sums[np.cumsum(first) - 1]
+    totals[order] = np.repeat(np.add.reduceat(learnt[order], first), np.diff(np.r_[first, len(order)]))
     other = totals != learnt
     ends = np.cumsum([len(x) for x in lists])
     spans = [slice(e - len(x), e) for e, x in zip(ends.tolist(), lists, strict=True)]
@@ -279,16 +297,18 @@ class Automaton:
 
 def walked(row: dict, answers: list[dict], total: int, distinct: int, parts: int, bits: int, prior: tuple[float, ...] = PRIOR) -> pa.Table:
     """The rows of ``RESULT`` of a block."""
-    grams = _grams(row, bits)
-    listed, learnt = grams.distinct()
-    counts, at = learnt.astype(np.int64), _bounds(listed, parts, bits)
-    for a in answers:
-        span = counts[at[a["part"]] : at[a["part"] + 1]]
-        span[np.unpackbits(np.frombuffer(a["other"], np.uint8), count=len(span)).astype(bool)] = unpacked(a["totals"], np.int64)
-    met = [np.zeros(len(g), np.int64) for g in grams.orders]
-    for k, g in enumerate(grams.orders):
-        inside = np.flatnonzero(grams.place >= k)
-        met[k][inside] = counts[np.searchsorted(listed, g[inside])]
+    grams = Grams(row, bits)
+    met = []
+    for k in range(ORDER):
+        listed, counts, inside, number = grams.numbered(k)
+        at = _bounds(listed, parts, bits)
+        for a in answers:
+            if a["part"] // parts == k:
+                p = a["part"] % parts
+                span = counts[at[p] : at[p + 1]]
+                span[np.unpackbits(np.frombuffer(a["other"], np.uint8), count=len(span)).astype(bool)] = unpacked(a["totals"], np.int64)
+        met.append(np.zeros(len(grams.place), np.int64))
+        met[k][inside] = counts[number]
     steps = Automaton(met, total, distinct, prior).traverse(grams.place)
     base = np.add.reduceat(np.log10(met[0] + 0.5), grams.starts) - grams.sizes * math.log10(total + 0.5 * (distinct + 1))
     columns = [row["doc_id"], row["held_out"], grams.sizes, np.add.reduceat((met[0] > 0).astype(np.int64), grams.starts), np.full(len(base), total), base, np.add.reduceat(steps, grams.starts)]
@@ -304,8 +324,8 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, part_grams: int = P
     blocks = common.cut_lineage(blocks_of(rows, block_tokens), compression="zstd")
     sizes = F.aggregate("size", F.lit(0).cast("long"), lambda a, x: a + x)
     total, met = blocks.agg(F.coalesce(F.sum("n_train"), F.lit(0)), F.coalesce(F.sum(sizes), F.lit(0))).first()
-    parts = max(1, -(-3 * met // (2 * part_grams)))  # n-grams are at most three a token, about half of them distinct
-    bits = min(63, max(32, (3 * met).bit_length() + SPARE_BITS))
+    parts = max(1, -(-met // part_grams))  # an order has at most as many n-grams as there are tokens
+    bits = min(63, max(32, met.bit_length() + SPARE_BITS))
     distinct = distinct_words(blocks, max(1, parts // 8))
     answers = asks(blocks, parts, bits).groupBy("part").applyInArrow(answer, "part int, block long, other binary, totals binary")
 
