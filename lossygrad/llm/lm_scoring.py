@@ -21,13 +21,14 @@ At scale: no part of the model is broadcast or gathered.
    counts, sorted, and sends each range of the hash space to that range's part as bytes of
    differences.  So a frequent n-gram is one entry a block and no hot key; parts are as
    many as keep a part near ``PART_GRAMS`` entries.  A hash has ``SPARE_BITS`` bits more
-   than tell the corpus's tokens apart, so at most one n-gram in 2^26 shares its hash with
-   another, whatever the input.
+   than tell the corpus's tokens apart, so at most one word in 2^32 and one n-gram in 2^22
+   shares its hash with another, whatever the input.
 3. A part adds up the counts and answers a block only where the total is not the block's
    own count (a bitmap and the totals).  With these answers, which hold just the arcs its
    texts need, a block follows its automaton.
 
-The driver sees three sums: tokens, training tokens and distinct training words.
+Words go first, as the number of distinct ones is part of every probability; the driver
+sees three sums: tokens, training tokens and distinct training words.
 
 Edge cases: null or empty text is the end token alone; with no training document all
 scores are those of an empty model (score equal to the base score); equal rows score
@@ -37,6 +38,7 @@ alike; a text longer than a block is a block; an empty table gives no rows.
 from __future__ import annotations
 
 import math
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -52,31 +54,35 @@ FOLDS, HELD_OUT = 5, 1
 #: Weight of the shorter history's probabilities, for histories of one and of two words.
 PRIOR = (3000.0, 5.0)
 BLOCK_TOKENS = 3 << 19
-SPARE_BITS = 26
+#: For words, pairs and triples.
+SPARE_BITS = (32, 22, 22)
 PART_GRAMS = 1 << 20
-ORDER = 3
 #: The end token as a word: no word contains a line feed.
 END = "\n"
 RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
 #: Rows that are split into tokens together.
 _ROWS = 1024
 _TYPES = {"block": pa.int64(), "doc_id": pa.list_(pa.int64()), "held_out": pa.list_(pa.bool_()), "size": pa.list_(pa.int32()), "n_train": pa.int64(), "words": pa.binary(),
-          "learnt": pa.binary(), "tokens": pa.binary()}
-_BLOCK = "block long, doc_id array<long>, held_out array<boolean>, size array<int>, n_train long, words binary, learnt binary, tokens binary"
+          "tokens": pa.binary()}
+_BLOCK = "block long, doc_id array<long>, held_out array<boolean>, size array<int>, n_train long, words binary, tokens binary"
 
 
 # ---- bytes
 
 
 def packed(values: np.ndarray) -> bytes:
-    """Integers as planes of bytes, so that high zero bytes cost nothing once compressed."""
-    planes = np.ascontiguousarray(values).view(np.uint8).reshape(len(values), values.dtype.itemsize).T
-    return len(values).to_bytes(8, "little") + pa.compress(np.ascontiguousarray(planes).tobytes(), codec="zstd", asbytes=True)
+    """Integers as planes of bytes without the highest zero planes, each byte in its entropy code (there is nothing to repeat)."""
+    width = max(1, (int(values.max(initial=0)).bit_length() + 7) // 8)
+    planes = np.ascontiguousarray(values).view(np.uint8).reshape(len(values), values.dtype.itemsize).T[:width]
+    code = zlib.compressobj(1, strategy=zlib.Z_HUFFMAN_ONLY, wbits=-15)
+    coded = [code.compress(np.ascontiguousarray(p)) + code.flush(zlib.Z_SYNC_FLUSH) for p in planes]  # a code of its own for each plane
+    return b"".join([len(values).to_bytes(8, "little"), bytes([width]), *coded, code.flush()])
 
 
 def unpacked(data: bytes, dtype) -> np.ndarray:
-    n, width = int.from_bytes(data[:8], "little"), np.dtype(dtype).itemsize
-    planes = np.frombuffer(pa.decompress(data[8:], n * width, codec="zstd", asbytes=True), np.uint8).reshape(width, n)
+    n, width = int.from_bytes(data[:8], "little"), data[8]
+    planes = np.zeros((np.dtype(dtype).itemsize, n), np.uint8)
+    planes[:width] = np.frombuffer(zlib.decompress(data[9:], wbits=-15, bufsize=max(1, n * width)), np.uint8).reshape(width, n)
     return np.ascontiguousarray(planes.T).view(dtype).reshape(n)
 
 
@@ -105,17 +111,14 @@ def blocks_of(rows: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
             nonlocal made
             tokens = np.concatenate([h[0] for h in held])
             out, sizes = np.concatenate([h[2] for h in held]), np.concatenate([h[3] for h in held])
-            learnt = ~np.repeat(out, sizes)
             words, number, counts = np.unique(tokens, return_inverse=True, return_counts=True)
-            known = np.zeros(len(words), bool)
-            known[number[learnt]] = True
             # The most frequent words get numbers of one byte, the next of two; among these they stay sorted.
             often = np.argsort(np.argsort(-counts, kind="stable"), kind="stable")
             order = np.argsort(np.searchsorted([1 << 8, 1 << 16], often, side="right"), kind="stable")
             rank = np.empty(len(words), np.uint32)
             rank[order] = np.arange(len(words), dtype=np.uint32)
-            row = {"block": place + made, "doc_id": pa.concat_arrays([h[1] for h in held]), "held_out": pa.array(out), "size": pa.array(sizes, pa.int32()), "n_train": int(learnt.sum()),
-                   "words": packed(np.diff(words[order], prepend=np.uint64(0))), "learnt": np.packbits(known[order]).tobytes(), "tokens": packed(rank[number])}
+            row = {"block": place + made, "doc_id": pa.concat_arrays([h[1] for h in held]), "held_out": pa.array(out), "size": pa.array(sizes, pa.int32()), "n_train": int(sizes[~out].sum()),
+                   "words": packed(np.diff(words[order], prepend=np.uint64(0))), "tokens": packed(rank[number])}
             made += 1
             lists = {k: pa.ListArray.from_arrays(pa.array([0, len(v)], pa.int32()), v) if isinstance(v, pa.Array) else pa.array([v], _TYPES[k]) for k, v in row.items()}
             return pa.RecordBatch.from_arrays([lists[k] for k in _TYPES], names=list(_TYPES))
@@ -147,9 +150,9 @@ def _mixed(x: np.ndarray) -> np.ndarray:
 
 
 class Grams:
-    """Hashes of ``bits`` bits of the n-grams that end at every token of a block."""
+    """Hashes of the n-grams that end at every token of a block, those of k + 1 tokens in ``bits[k]`` bits."""
 
-    def __init__(self, row: dict, bits: int):
+    def __init__(self, row: dict, bits: list[int]):
         self.bits, self.words, self.tokens = bits, _words(row), unpacked(row["tokens"], np.uint32)
         self.sizes = np.array(row["size"], np.int64)
         self.starts = np.cumsum(self.sizes) - self.sizes
@@ -162,7 +165,7 @@ class Grams:
         for j in range(1, k + 1):
             out = _mixed(out[:-1] * np.uint64(2 * j + 1) + np.uint64(j)) + single[j:]
         inside = np.flatnonzero(self.place >= k)
-        return (_mixed(out) >> np.uint64(64 - self.bits))[inside - k], inside
+        return (_mixed(out) >> np.uint64(64 - self.bits[k]))[inside - k], inside
 
     def distinct(self, k: int) -> tuple[np.ndarray, np.ndarray]:
         """Sorted distinct n-grams of k + 1 tokens, and how often each is in training texts."""
@@ -197,37 +200,16 @@ def _bounds(listed: np.ndarray, parts: int, bits: int) -> np.ndarray:
     return np.searchsorted((listed >> np.uint64(bits - 32)) * np.uint64(parts) >> np.uint64(32), np.arange(parts + 1, dtype=np.uint64))
 
 
-def distinct_words(blocks: DataFrame, parts: int) -> int:
-    """Distinct words of all training texts."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for row in batch.to_pylist():
-                words = _words(row)
-                words = np.sort(_mixed(words[np.unpackbits(np.frombuffer(row["learnt"], np.uint8), count=len(words)).astype(bool)]))
-                at = _bounds(words, parts, 64)
-                some = np.flatnonzero(np.diff(at))
-                lists = [packed(np.diff(words[at[p] : at[p + 1]], prepend=np.uint64(0))) for p in some]
-                yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array(lists, pa.binary())], names=["part", "words"])
-
-    def count(asked: pa.Table) -> pa.Table:
-        met = np.unique(np.concatenate([np.cumsum(unpacked(w, np.uint64)) for w in asked.column("words").to_pylist()]))
-        return pa.table({"n": pa.array([len(met)], pa.int64())})
-
-    sent = common.map_arrow(blocks.select("words", "learnt"), run, "part int, words binary")
-    return sent.groupBy("part").applyInArrow(count, "n long").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-
-
-def asks(blocks: DataFrame, parts: int, bits: int) -> DataFrame:
+def asks(blocks: DataFrame, orders: tuple[int, ...], parts: int, bits: list[int]) -> DataFrame:
     """part (``parts`` of each order), block, its n-grams in the part's range, and their training counts in the block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for row in batch.to_pylist():
                 grams = Grams(row, bits)
-                for k in range(ORDER):
+                for k in orders:
                     listed, learnt = grams.distinct(k)
-                    at = _bounds(listed, parts, bits)
+                    at = _bounds(listed, parts, bits[k])
                     some = np.flatnonzero(np.diff(at))
                     spans = [slice(at[p], at[p + 1]) for p in some]
                     yield pa.RecordBatch.from_arrays(
@@ -239,7 +221,8 @@ def asks(blocks: DataFrame, parts: int, bits: int) -> DataFrame:
 
 
 def answer(asked: pa.Table) -> pa.Table:
-    """For the blocks of a part: which of their n-grams have another total, and the totals."""
+    """For the blocks of a part: which of their n-grams have another total, and the totals; and a row without
+    block that counts the part's n-grams of training texts."""
     lists = [np.cumsum(unpacked(g, np.uint64)) for g in asked.column("grams").to_pylist()]
     learnt = np.concatenate([unpacked(c, np.uint32) for c in asked.column("learnt").to_pylist()]).astype(np.int64)
     grams = np.concatenate(lists)
@@ -251,8 +234,14 @@ def answer(asked: pa.Table) -> pa.Table:
     ends = np.cumsum([len(x) for x in lists])
     spans = [slice(e - len(x), e) for e, x in zip(ends.tolist(), lists, strict=True)]
     rows = [(p, b, np.packbits(other[s]).tobytes(), packed(totals[s][other[s]])) for p, b, s in zip(asked.column("part").to_pylist(), asked.column("block").to_pylist(), spans, strict=True) if other[s].any()]
-    schema = pa.schema([("part", pa.int32()), ("block", pa.int64()), ("other", pa.binary()), ("totals", pa.binary())])
-    return pa.Table.from_arrays([pa.array([r[i] for r in rows], schema.field(i).type) for i in range(4)], schema=schema)
+    rows = [(*r, None) for r in rows] + [(None, None, None, None, int((totals[order[first]] > 0).sum()))]
+    schema = pa.schema([("part", pa.int32()), ("block", pa.int64()), ("other", pa.binary()), ("totals", pa.binary()), ("known", pa.int64())])
+    return pa.Table.from_arrays([pa.array([r[i] for r in rows], schema.field(i).type) for i in range(5)], schema=schema)
+
+
+def answers(blocks: DataFrame, orders: tuple[int, ...], parts: int, bits: list[int]) -> DataFrame:
+    asked = asks(blocks, orders, parts, bits)
+    return asked.groupBy("part").applyInArrow(answer, "part int, block long, other binary, totals binary, known long")
 
 
 # ---- the automaton
@@ -295,13 +284,13 @@ class Automaton:
         return weight + backoff
 
 
-def walked(row: dict, answers: list[dict], total: int, distinct: int, parts: int, bits: int, prior: tuple[float, ...] = PRIOR) -> pa.Table:
+def walked(row: dict, answers: list[dict], total: int, distinct: int, parts: int, bits: list[int], prior: tuple[float, ...] = PRIOR) -> pa.Table:
     """The rows of ``RESULT`` of a block."""
     grams = Grams(row, bits)
     met = []
-    for k in range(ORDER):
+    for k in range(3):
         listed, counts, inside, number = grams.numbered(k)
-        at = _bounds(listed, parts, bits)
+        at = _bounds(listed, parts, bits[k])
         for a in answers:
             if a["part"] // parts == k:
                 p = a["part"] % parts
@@ -325,13 +314,14 @@ def score(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, part_grams: int = P
     sizes = F.aggregate("size", F.lit(0).cast("long"), lambda a, x: a + x)
     total, met = blocks.agg(F.coalesce(F.sum("n_train"), F.lit(0)), F.coalesce(F.sum(sizes), F.lit(0))).first()
     parts = max(1, -(-met // part_grams))  # an order has at most as many n-grams as there are tokens
-    bits = min(63, max(32, met.bit_length() + SPARE_BITS))
-    distinct = distinct_words(blocks, max(1, parts // 8))
-    answers = asks(blocks, parts, bits).groupBy("part").applyInArrow(answer, "part int, block long, other binary, totals binary")
+    bits = [min(63, max(32, met.bit_length() + spare)) for spare in SPARE_BITS]
+    words = common.cut_lineage(answers(blocks, (0,), parts, bits))
+    distinct = words.agg(F.coalesce(F.sum("known"), F.lit(0))).first()[0]
+    found = words.unionByName(answers(blocks, (1, 2), parts, bits)).where("block is not null")
 
     def walk(texts: pa.Table, answered: pa.Table) -> pa.Table:
         (row,) = texts.to_pylist()
         return walked(row, answered.to_pylist(), total, distinct, parts, bits, prior)
 
     needed = blocks.select("block", "doc_id", "held_out", "size", "words", "tokens")
-    return needed.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(walk, RESULT)
+    return needed.groupBy("block").cogroup(found.groupBy("block")).applyInArrow(walk, RESULT)
