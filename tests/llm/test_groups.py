@@ -295,16 +295,47 @@ def test_decoding_has_no_contradictions():
 
 
 def test_held_out_training_pages():
-    trees = html_extraction.model()
+    learned = html_extraction.model()
     right = total = 0
     for page, truth in html_extraction.training_pages(150, seed=123):
         leaf = np.array([t is not None for t in page.text])
-        kept = page.decode(trees.predict(page.features()))
+        kept = page.decode(learned.trees.predict(page.features(learned.weights)))
         right += int((kept[leaf] == truth[leaf].astype(bool)).sum())
         total += int(leaf.sum())
     assert right / total > 0.99
 
 
+STORY = "<h1>The title of it</h1><p>" + "Some plain words of an article, which go on for a while and say something. " * 4 + "</p><p>" + "A second paragraph with more to say about it, at some length. " * 4 + "</p>"
+NAMES = ["content", "content has-sidebar", "content no-comments", "main-content with-header", "story share-enabled", "entry more-info", "has-sidebar", "post comments-open", "no-footer", "layout with-ads"]
+
+
+@pytest.mark.parametrize("name", NAMES)
+def test_names_of_containers_lose_no_article(name):
+    want = "\n".join(" ".join(x.split()) for x in re.split(r"</?(?:h1|p)>", STORY) if x.strip())
+    around = [f"<html><head><title>x</title></head><body><nav><a href='/'>Home</a> <a href='/b'>About</a></nav><{t} class='{name}'>{STORY}</{t}><footer>Copyright us 2020</footer></body></html>" for t in ("div", "section", "main", "article")]
+    pages = [*around, f"<body class='{name}'>{STORY}</body>", f"<div class='{name}'>{STORY}</div>", f"<title>t</title><script>a<b 'x</script><div class='{name}'>{STORY}</div>"]
+    assert html_extraction.extract_texts(pages, html_extraction.model()) == [want] * len(pages)
+
+
+def test_formulas_and_fallbacks_are_text():
+    page = html_extraction.Page("<p>so <math><mi>E</mi><mo>=</mo><mi>m</mi></math> and <object>this</object> <svg><text>too</text></svg></p>")
+    assert [t for t in page.text if t] == ["so E=m and this too"]
+
+
+@pytest.mark.parametrize("piece", ['<a href="x', "<a ", "<!", "</", "<div>", "<p><table><div>", "<div></p>", "<li><ul>", "<a b='", "<a href='x\" >"])
+def test_time_is_linear(piece):
+    import time
+
+    began = time.process_time()
+    html_extraction.Page(piece * (1_000_000 // len(piece)))
+    assert time.process_time() - began < 2
+
+
+def test_unclosed_quote_loses_only_its_tag():
+    page = html_extraction.Page("<p>one</p><a href=\"x>two</a><p>three</p><p class='a'>four</p>")
+    assert [t for t in page.text if t] == ["one", "two", "three", "four"]
+
+
 def test_deep_page():
     assert html_extraction.extract_texts(["<div>" * 5000 + "<p>deep</p>"], html_extraction.model())[0] in ("deep", "")
 
