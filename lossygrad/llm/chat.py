@@ -44,7 +44,7 @@ def fold(events: DataFrame) -> DataFrame:
     """conv_id and ``turns``: array of (role, text) of final messages, in order.
 
     ``events``: conv_id, message (orders messages; null: each row is its own message),
-    seq, kind, role, text.  One shuffle, by conversation; messages fold inside it.
+    seq, kind, role, text; and, where messages may share their place, own (tells them apart).  One shuffle, by conversation; messages fold inside it.
     """
     row = F.struct(
         F.col("message").alias("message"),
@@ -54,7 +54,7 @@ def fold(events: DataFrame) -> DataFrame:
         F.coalesce("kind", F.lit("message")).alias("kind"),
         F.col("own").alias("own"),
     )
-    log = events.withColumn("own", F.when(F.col("message").isNull(), F.monotonically_increasing_id()))
+    log = events if "own" in events.columns else events.withColumn("own", F.when(F.col("message").isNull(), F.monotonically_increasing_id()))
     by_message = (
         log.repartition("conv_id")
         .groupBy("conv_id", "message", "own")
@@ -68,19 +68,18 @@ def fold(events: DataFrame) -> DataFrame:
             lambda last: F.struct(
                 F.element_at(events, 1)["message"].alias("message"),
                 F.element_at(events, 1)["seq"].alias("seq"),
-                F.coalesce(F.element_at(F.filter(F.transform(events, lambda e: e["role"]), lambda r: r != ""), F.lit(1)), F.lit("")).alias("role"),
+                F.coalesce(F.get(F.filter(F.transform(events, lambda e: e["role"]), lambda r: r != ""), F.lit(0)), F.lit("")).alias("role"),
                 F.array_join(F.transform(F.slice(events, F.greatest(last, F.lit(1)), F.size(events)), lambda e: e["text"]), "").alias("text"),
                 F.when(last > 0, F.element_at(events, last)["kind"]).otherwise("message").alias("kind"),
             ),
         )
 
-    single = F.element_at("events", 1)
-    plain = F.struct(single["message"].alias("message"), single["seq"].alias("seq"), single["role"].alias("role"), single["text"].alias("text"), single["kind"].alias("kind"))
-    messages = by_message.select("conv_id", F.when(F.size("events") == 1, plain).otherwise(folded(F.col("events"))).alias("m"))
+    # Generated, so that the filter below does not fold once more.
+    messages = by_message.select("conv_id", F.inline_outer(F.array(folded(F.col("events")))))
     return (
-        messages.where("m.kind <> 'delete'")
+        messages.where("kind <> 'delete'")
         .groupBy("conv_id")
-        .agg(F.array_sort(F.collect_list(F.struct("m.message", "m.seq", "m.role", "m.text"))).alias("turns"))
+        .agg(F.array_sort(F.collect_list(F.struct("message", "seq", "role", "text"))).alias("turns"))
         .select("conv_id", F.transform("turns", lambda t: F.struct(t["role"].alias("role"), t["text"].alias("text"))).alias("turns"))
     )
 
@@ -136,9 +135,30 @@ def digest(parsed: DataFrame) -> DataFrame:
 
 
 def events_of_turns(conversations: DataFrame) -> DataFrame:
-    """A table of finished turns as a log: every row starts its own message."""
-    rows = common.only(conversations, "conv_id", "turn", "role", "text")
-    return rows.select("conv_id", F.lit(None).cast("long").alias("message"), F.col("turn").alias("seq"), F.lit("message").alias("kind"), "role", "text")
+    """A table of finished turns as the log that may have led to it: each row is a message of its own, ordered by its turn.
+
+    By a hash of conversation and turn it was streamed from nothing, started and continued,
+    drafted and edited, or drafted and generated anew in two deltas.
+    """
+    rows = common.only(conversations, "conv_id", "turn", "role", "text").withColumn("own", F.monotonically_increasing_id())
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    half = F.floor(F.char_length(text) / 2).cast("int")
+    head, tail = F.substring(text, 1, half), F.substring(text, half + 1, F.char_length(text))
+    draft = F.concat(F.substring(text, 1, 8), F.lit(" ..."))
+
+    def event(kind: str, said: Column, role: Column = F.lit(None).cast("string")) -> Column:
+        return F.struct(F.lit(kind).alias("kind"), role.alias("role"), said.alias("text"))
+
+    role, none = F.col("role").cast("string"), F.lit("")
+    how = F.pmod(F.xxhash64("conv_id", "turn"), F.lit(4))
+    log = (
+        F.when(how == 0, F.array(event("message", none, role), event("delta", head), event("delta", tail)))
+        .when(how == 1, F.array(event("message", head, role), event("delta", tail)))
+        .when(how == 2, F.array(event("message", draft, role), event("edit", text)))
+        .otherwise(F.array(event("message", draft, role), event("delta", draft), event("regenerate", none), event("delta", head), event("delta", tail)))
+    )
+    told = rows.select("conv_id", F.col("turn").alias("message"), "own", F.posexplode(log).alias("seq", "event"))
+    return told.select("conv_id", "message", "own", "seq", "event.kind", "event.role", "event.text")
 
 
 #: A turn made of control strings, which the template must carry unharmed.

@@ -116,6 +116,12 @@ def test_event_logs_fold(spark):
     assert got == {1: [("user", "hi there"), ("assistant", "Good day")], 2: [("assistant", "only deltas")]}
 
 
+def test_turns_become_logs_of_every_kind(spark, sf):
+    log = chat.events_of_turns(spark.read.parquet(f"{sf}/conversations.parquet"))
+    assert {r["kind"] for r in log.select("kind").distinct().collect()} == {"message", "delta", "edit", "regenerate"}
+    assert log.groupBy("own").count().where("count < 2").count() == 0
+
+
 def test_chat_edges(spark):
     rows = [(None, 0, "user", "x"), (1, None, None, None), (1, 0, "user", "same"), (1, 0, "user", "same"), (1, 1, "assistant", None), (2, 0, "assistant", "long " * 20000)]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").selectExpr("*", "1 as seq", "2 as own", "'q' as kind")
