@@ -6,20 +6,22 @@
    ``ratio`` times all words; a share above ``repeats`` times its source's size is cut
    there and the excess goes to the others by weight until none is above.
 3. Targets are turned into integer numbers of words: first for each source, then for
-   each of its cells, each time by the highest quotients ``weight / (2 seats + 1)``.  A
-   cell is never given more than it has ``repeats`` times; what it has no room for goes
-   to the next quotients of its source, so a source's words are given out to the last.
+   each group of ``GROUP_CELLS`` of its cells, then for each cell, each time by the highest
+   quotients ``weight / (2 seats + 1)``.  A group or cell is never given more than it has
+   ``repeats`` times; what it has no room for goes to the next quotients, so a source's
+   words are given out to the last.
 4. A cell's documents stand in a seeded order; its words are taken from the head of
    that line, going round again for repeats.  So a document is taken floor or ceil of
    the same number of times, at most ``repeats``, wholly but for the last one's cut.
 
 A source has a cell for each ``SHARD_ROWS`` of its own rows, so a hot source is many cells
 and a rare one is a single cell, beside which a document is small, whatever the input.
+No task ranks more than a group's cells or a source's groups.
 The only data on the driver are one row for each source, which is a small dimension
 whose count is checked against ``MAX_SOURCES``.
 
 Edge cases: null text has size 0 and is never taken; null source is a source of its own;
-equal rows are separate documents; an empty table gives no rows; extra columns are kept
+equal rows are separate documents (of one cell); an empty table gives no rows; extra columns are kept
 or dropped as the caller asks, never read.
 """
 
@@ -35,7 +37,8 @@ from lossygrad.llm import common
 WEIGHTS = (3, 1, 2)
 RATIO = Fraction(3, 2)
 REPEATS = 2
-SHARD_ROWS = 1024
+SHARD_ROWS = 256
+GROUP_CELLS = 1024
 MAX_SOURCES = 1_000_000
 
 
@@ -78,6 +81,26 @@ def sainte_lague(weights: dict, seats: int) -> dict:
     return got
 
 
+def apportioned(parts: DataFrame, owner: list[str], part: str, size: str, whole: str, words: str, repeats: int) -> DataFrame:
+    """``owner``, ``part``, ``size`` and ``quota``: the owner's ``words`` by the highest quotients of its parts' sizes.
+
+    Parts start one below their rounded-down share of ``whole``; the next quotients that there is room for are ranked.
+    """
+    start = F.greatest(F.floor(F.col(words) / F.col(whole) * F.col(size)).cast("long") - 1, F.lit(0))
+    of_owner = Window.partitionBy(*owner)
+    quotients = (
+        parts.where(F.col(size) > 0)
+        .select(*owner, part, size, words, start.alias("floor_words"))
+        .withColumn("open", F.col(words) - F.sum("floor_words").over(of_owner))
+        .withColumn("t", F.explode(F.array(*[F.lit(i) for i in range(4)])))
+        .where(F.col("floor_words") + F.col("t") < F.col(size) * repeats)
+        .withColumn("quotient", F.col(size) / (2 * (F.col("floor_words") + F.col("t")) + 1))
+        .withColumn("place", F.row_number().over(of_owner.orderBy(F.col("quotient").desc(), part, "t")))
+    )
+    quotas = quotients.groupBy(*owner, part, size, "floor_words").agg(F.sum((F.col("place") <= F.col("open")).cast("long")).alias("more"))
+    return quotas.select(*owner, part, size, (F.col("floor_words") + F.col("more")).alias("quota"))
+
+
 def mix(docs: DataFrame, seed: int = 17, whole: bool = False, keep: tuple[str, ...] = ("doc_id",), weights: tuple[int, ...] = WEIGHTS, ratio: Fraction = RATIO, repeats: int = REPEATS) -> DataFrame:
     """``keep`` columns with size, source_size, target and taken (words; repeats counted).
 
@@ -89,9 +112,11 @@ def mix(docs: DataFrame, seed: int = 17, whole: bool = False, keep: tuple[str, .
         *[F.col(f"`{c}`").alias(f"keep_{c}") for c in kept],
         F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("n")).alias("src"),
         common.word_count(F.col("text").cast("string")).alias("size"),
-        F.xxhash64("doc_id", F.lit(seed)).alias("draw"),
+        F.xxhash64("doc_id", "text", F.lit(seed)).alias("draw"),
         F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("named"),
     )
+    if "text" not in kept:  # so that texts are read and counted once
+        sized = common.cut_lineage(sized)
     by_source = sized.groupBy("src").agg(F.sum("size").alias("source_size"), F.count("*").alias("source_rows"))
     listed = by_source.limit(MAX_SOURCES + 1).collect()
     if len(listed) > MAX_SOURCES:
@@ -107,21 +132,12 @@ def mix(docs: DataFrame, seed: int = 17, whole: bool = False, keep: tuple[str, .
         "src string, source_size long, target double, source_words long, shards long",
     )
     dealt = sized.join(F.broadcast(plan), "src").withColumn("cell", F.pmod(F.xxhash64("draw", F.lit(seed + 1)), F.col("shards")))
-    cells = dealt.groupBy("src", "cell", "source_size", "source_words").agg(F.sum("size").alias("cell_size"))
-    # Cells of a source: start one below the rounded-down share, rank the next quotients that there is room for.
-    start = F.greatest(F.floor(F.col("source_words") / F.col("source_size") * F.col("cell_size")).cast("long") - 1, F.lit(0))
-    of_source = Window.partitionBy("src")
-    quotients = (
-        cells.where("cell_size > 0")
-        .withColumn("floor_words", start)
-        .withColumn("open", F.col("source_words") - F.sum("floor_words").over(of_source))
-        .withColumn("t", F.explode(F.array(*[F.lit(i) for i in range(4)])))
-        .where(F.col("floor_words") + F.col("t") < F.col("cell_size") * repeats)
-        .withColumn("quotient", F.col("cell_size") / (2 * (F.col("floor_words") + F.col("t")) + 1))
-        .withColumn("place", F.row_number().over(of_source.orderBy(F.col("quotient").desc(), "cell", "t")))
-    )
-    quotas = quotients.groupBy("src", "cell", "cell_size", "floor_words").agg(F.sum((F.col("place") <= F.col("open")).cast("long")).alias("more"))
-    quotas = quotas.select("src", "cell", "cell_size", (F.col("floor_words") + F.col("more")).alias("quota"))
+    dealt = dealt.withColumn("group", F.floor(F.col("cell") / GROUP_CELLS))
+    cells = dealt.groupBy("src", "group", "cell", "source_size", "source_words").agg(F.sum("size").alias("cell_size"))
+    groups = cells.groupBy("src", "group", "source_size", "source_words").agg(F.sum("cell_size").alias("group_size"))
+    groups = apportioned(groups, ["src"], "group", "group_size", "source_size", "source_words", repeats).withColumnRenamed("quota", "group_words")
+    quotas = apportioned(cells.join(groups, ["src", "group"]), ["src", "group"], "cell", "cell_size", "group_size", "group_words", repeats)
+    quotas = quotas.select("src", "cell", "cell_size", "quota")
     line = Window.partitionBy("src", "cell").orderBy("draw", "named", "size").rowsBetween(Window.unboundedPreceding, -1)
     placed = dealt.withColumn("before", F.coalesce(F.sum("size").over(line), F.lit(0)))
     joined = placed.join(quotas, ["src", "cell"], "left")
