@@ -1,7 +1,8 @@
 """Token ids in Arrow IPC files of equal-length sequences.
 
-Documents are range-partitioned and sorted by id, tokenized, and each partition
-writes one shard: an Arrow file whose record batches hold ``input_ids``
+Documents are range-partitioned and sorted by id (equal ids by a hash of their text, then
+the text), into as many shards as keep one near ``SHARD_BYTES``, whatever the input; they
+are tokenized, and each partition writes one shard: an Arrow file whose record batches hold ``input_ids``
 (fixed-size list of unsigned 16- or 32-bit ids, by vocabulary size) and ``mask``
 (fixed-size list of booleans, false on the padding of the shard's last sequence).
 A second small Arrow file lists the shard's documents with their first position and
@@ -12,7 +13,8 @@ Files are written under a name of the task's attempt and then moved, so a task t
 is run again leaves one shard.  The shard list is the only thing the driver sees.
 
 Edge cases: null or empty text is the end id alone; null doc_id comes first; equal
-ids are ordered by text; an empty table gives no shard and no rows.
+ids, however many, are dealt to shards by their texts, equal rows by their place in the
+input; an empty table gives no shard and no rows.
 """
 
 from __future__ import annotations
@@ -33,6 +35,10 @@ from lossygrad.llm import common, tokenizer
 SEQUENCE = 2048
 #: Sequences in a record batch.
 BATCH_SEQUENCES = 256
+#: Text of a shard, each document counted ``DOC_BYTES`` longer.
+SHARD_BYTES, DOC_BYTES = 32 << 20, 64
+#: Documents in a record batch of the index.
+INDEX_ROWS = 1 << 14
 SHARDS = "shard long, path string, n_tokens long, n_docs long"
 DOCS = "doc_id long, start long, n_tokens long, ids_crc32 long"
 
@@ -138,7 +144,7 @@ class ShardReader:
             start, length = start + n, length - n
 
 
-def write_shards(docs: DataFrame, folder: str, vocabulary_path: str | None = None, end_id: int = 2, sequence: int = SEQUENCE) -> list[dict]:
+def write_shards(docs: DataFrame, folder: str, vocabulary_path: str | None = None, end_id: int = 2, sequence: int = SEQUENCE, shard_bytes: int = SHARD_BYTES) -> list[dict]:
     """Writes the files; returns a row for each shard, in document order."""
     spark = common.session_of(docs)
     common.ship_package(spark)
@@ -176,18 +182,19 @@ def write_shards(docs: DataFrame, folder: str, vocabulary_path: str | None = Non
         starts = np.concatenate([[0], np.cumsum(sizes)[:-1]]).astype(np.int64)
         index = pa.table({"doc_id": pa.array(names, pa.int64()), "start": starts, "n_tokens": pa.array(sizes, pa.int64())})
         with store.open_output_stream(f"{rough}.index.arrow") as out, pa.ipc.new_file(out, index.schema) as w:
-            w.write_table(index)
+            w.write_table(index, max_chunksize=INDEX_ROWS)
         for kind in (".index.arrow", ".arrow"):
             store.move(rough + kind, final + kind)
         row = {"shard": [shard], "path": [f"{folder}/shard-{shard:06d}"], "n_tokens": [writer.total], "n_docs": [len(sizes)]}
         yield pa.RecordBatch.from_pydict(row, schema=pa.schema([("shard", pa.int64()), ("path", pa.string()), ("n_tokens", pa.int64()), ("n_docs", pa.int64())]))
 
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ordered = (
-        common.only(docs, "doc_id", "text")
-        .repartitionByRange(parts, F.col("doc_id").asc_nulls_first())
-        .sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.col("text").asc_nulls_first())
-    )
+    rows = common.only(docs, "doc_id", "text")
+    bytes_ = rows.agg(F.sum(F.coalesce(F.octet_length("text"), F.lit(0)) + F.lit(DOC_BYTES).cast("long"))).first()[0] or 0
+    parts = max(1, -(-bytes_ // shard_bytes))
+    # The range's sample holds hashes instead of texts.
+    keyed = rows.select("doc_id", "text", F.xxhash64("text").alias("drawn"), F.monotonically_increasing_id().alias("row"))
+    order = [F.col("doc_id").asc_nulls_first(), F.col("drawn")]
+    ordered = keyed.repartitionByRange(parts, *order, F.col("row")).sortWithinPartitions(*order, F.col("text").asc_nulls_first()).select("doc_id", "text")
     # Sorted here: ordering by Spark would sample, and so run, the writing tasks twice.
     return sorted((r.asDict() for r in ordered.mapInArrow(run, SHARDS).collect()), key=lambda s: s["shard"])
 
@@ -206,17 +213,19 @@ def read_documents(spark: SparkSession, shards: list[dict]) -> DataFrame:
                 reader = ShardReader(f"{path}.arrow")
                 store, at = open_folder(f"{path}.index.arrow")
                 with store.open_input_file(at) as f:
-                    index = pa.ipc.open_file(f).read_all()
-                crcs = []
-                for start, n in zip(index["start"].to_pylist(), index["n_tokens"].to_pylist(), strict=True):
-                    crc = 0
-                    for view in reader.views(start, n):
-                        crc = zlib.crc32(view.astype("<u4"), crc)
-                    crcs.append(crc)
-                yield pa.RecordBatch.from_arrays(
-                    [index["doc_id"].combine_chunks(), pa.array(np.asarray(index["start"]) + base, pa.int64()), index["n_tokens"].combine_chunks(), pa.array(crcs, pa.int64())],
-                    names=["doc_id", "start", "n_tokens", "ids_crc32"],
-                )
+                    listed = pa.ipc.open_file(f)
+                    for i in range(listed.num_record_batches):
+                        index = listed.get_batch(i)
+                        crcs = []
+                        for start, n in zip(index["start"].to_pylist(), index["n_tokens"].to_pylist(), strict=True):
+                            crc = 0
+                            for view in reader.views(start, n):
+                                crc = zlib.crc32(view.astype("<u4"), crc)
+                            crcs.append(crc)
+                        yield pa.RecordBatch.from_arrays(
+                            [index["doc_id"], pa.array(np.asarray(index["start"]) + base, pa.int64()), index["n_tokens"], pa.array(crcs, pa.int64())],
+                            names=["doc_id", "start", "n_tokens", "ids_crc32"],
+                        )
 
     if not rows:
         return spark.createDataFrame([], DOCS)

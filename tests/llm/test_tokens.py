@@ -41,6 +41,17 @@ def test_other_tokenizers_encode_whole_texts():
     assert e.encode([b"a  b"]) == [np.array([*e.model.encode("a  b", add_special_tokens=False).ids, 7], dtype="<u4").tobytes()]
 
 
+@pytest.mark.parametrize("kept", [["NFC", "Replace"], ["Replace"], []])
+def test_tokenizers_that_keep_case(kept):
+    import json
+
+    spec = json.loads(tokenizer.vocabulary())
+    spec["normalizer"] = {"type": "Sequence", "normalizers": [s for s in spec["normalizer"]["normalizers"] if s["type"] in kept]} if kept else None
+    e = tokenizer.Encoder(json.dumps(spec))
+    for t in ("Hello World ABC test", "hello", "a  B\tc.", ""):
+        assert e.encode([t.encode()]) == [np.array([*e.model.encode(t, add_special_tokens=False).ids, 2], dtype="<u4").tobytes()]
+
+
 def test_small_caches_change_nothing(monkeypatch):
     monkeypatch.setattr(tokenizer, "ROUND_BYTES", 30)
     monkeypatch.setattr(tokenizer, "CACHE_PIECES", 2)
@@ -105,7 +116,13 @@ def test_op1_on_a_table(spark, sf, plain):
 
 def check_file_rows(rows, texts, plain):
     start = 0
-    order = sorted(texts, key=lambda x: (x[0] is not None, x[0] or 0, x[1] is not None, x[1] or ""))
+    from xxhash import xxh64_intdigest
+
+    def drawn(t):
+        h = 42 if t is None else xxh64_intdigest(t.encode(), 42)
+        return h - (h >> 63 << 64)
+
+    order = sorted(texts, key=lambda x: (x[0] is not None, x[0] or 0, drawn(x[1])))
     rows = sorted(rows, key=lambda r: r["start"])
     assert len(rows) == len(order)
     for r, (d, t) in zip(rows, order, strict=True):
@@ -118,6 +135,15 @@ def test_token_file_odd_documents(odd_documents, plain):
     check_file_rows(token_file.encode_and_read_back(odd_documents, sequence=64).collect(), [(r["doc_id"], r["text"]) for r in odd_documents.collect()], plain)
 
 
+def test_token_file_shards_change_nothing(spark, sf, plain, odd_documents, tmp_path):
+    from lossygrad.llm import common
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").unionByName(odd_documents.select("doc_id", "text"))
+    shards = token_file.write_shards(docs, common.fresh_path(spark, "tokens"), shard_bytes=20_000)
+    assert len(shards) > 5
+    check_file_rows(token_file.read_documents(spark, shards).collect(), [(r["doc_id"], r["text"]) for r in docs.collect()], plain)
+
+
 def test_op10_on_a_table(spark, sf, plain):
     from lossygrad.llm.queries import QUERIES
 
