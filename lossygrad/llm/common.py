@@ -29,14 +29,17 @@ def session_of(df: DataFrame) -> SparkSession:
 def shared_folder(spark: SparkSession) -> str:
     """URI of the folder that driver and executors share (``spark.checkpoint.dir``).
 
-    Where the session names none, as in tests, a temporary folder is made and
-    set as the checkpoint directory, once.
+    Where the session names none, one that was set as the checkpoint directory is taken,
+    or, if driver and executors are one process, as in tests, a temporary folder, once.
+    On a cluster there is no such folder to fall back to.
     """
     sc = spark.sparkContext
     named = sc.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
     if sc._jsc.sc().getCheckpointDir().isEmpty():
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="lossygrad-shared-"))
     return sc._jsc.sc().getCheckpointDir().get().rstrip("/")
 

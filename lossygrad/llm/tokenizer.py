@@ -1,6 +1,6 @@
 """Exact, cached encoding with the tokenizers library.
 
-For tokenizers that split on white space and drop it, the ids of a text are the
+For tokenizers that lower-case, split on white space and drop it, the ids of a text are the
 ids of its words in order.  Arrow splits texts and numbers their distinct words, the
 library encodes each distinct piece once, and numpy gathers the ids of the texts.  Other tokenizers encode
 whole texts.  Either way the ids are those of ``encode(text)``.
@@ -47,6 +47,14 @@ def drops_white_space(spec: dict) -> bool:
     )
 
 
+def lower_cases(spec: dict) -> bool:
+    """Whether the normalizer composes, folds white space and lower-cases, and does nothing else."""
+    norm = spec.get("normalizer") or {}
+    steps = norm.get("normalizers", [norm])
+    plain = all(s.get("type") in ("NFC", "Lowercase") or (s.get("type") == "Replace" and s.get("pattern") == {"Regex": "\\s+"} and s.get("content") == " ") for s in steps)
+    return plain and any(s.get("type") == "Lowercase" for s in steps)
+
+
 class Encoder:
     """Encodes UTF-8 texts into little-endian unsigned 32-bit ids, as bytes."""
 
@@ -59,7 +67,7 @@ class Encoder:
         self.end = b"" if end_id is None else int(end_id).to_bytes(4, "little")
         marks = [t for t in spec.get("added_tokens", []) if not (t["normalized"] or t["lstrip"] or t["rstrip"] or t["single_word"])]
         self.mark, self.mark_id = (marks[0]["content"], marks[0]["id"]) if marks else ("", -1)
-        self.by_word = bool(marks) and drops_white_space(spec)
+        self.by_word = bool(marks) and drops_white_space(spec) and lower_cases(spec)
         suffix = spec.get("model", {}).get("end_of_word_suffix")
         self.splits_by_end = bool(suffix)
         self.ends_word = np.zeros(self.model.get_vocab_size(with_added_tokens=True) + 1, bool)
