@@ -97,7 +97,8 @@ def auto_codec_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
 )
 def gap_string_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = quantizer.quantize(embeddings(spark, sf_dir), 4)
-    return made.select("vec_id", codes.gap_string(F.col("sign"), F.col("level")).alias("bits")).where("bits <> ''")
+    # Generated, so that the filter is not pushed below, where it would compute every string once more.
+    return made.select("vec_id", F.explode_outer(F.array(codes.gap_string(F.col("sign"), F.col("level")))).alias("bits")).where("bits <> ''")
 
 
 @query(
@@ -147,7 +148,15 @@ def bounds_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-@query("bits_against_bounds", None)
+def _against_bounds_sql(s: int) -> str:
+    return f"""
+        SELECT * FROM (WITH {S.quantized(S.EMB, S.EMB_L2, str(s))}, {S.gap_bits('vec_id')},
+        d AS (SELECT vec_id, 32 + sum(CASE WHEN level <= 1 THEN 2 ELSE level + 2 END) AS prefix, 32 + sum({S.omega_len('(level + 1)')} + CASE WHEN level > 0 THEN 1 ELSE 0 END) AS omega FROM q GROUP BY vec_id)
+        SELECT CAST({s} AS INTEGER) AS s, round(avg(n_bits), 6) AS gap, round((3 + 1.5 * log2(2 * ({s * s} + 64) / ({s} * ({s} + sqrt(64))))) * {s} * ({s} + sqrt(64)) + 32, 6) AS gap_bound,
+            round(avg(prefix), 6) AS prefix, round(avg(omega), 6) AS omega, round(CAST(2.8 * 64 + 32 AS DOUBLE), 6) AS dense_bound FROM d JOIN g USING (vec_id))"""
+
+
+@query("bits_against_bounds", " UNION ALL ".join(_against_bounds_sql(s) for s in (1, 2, 4, 8)))
 def bits_against_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Mean bits over vectors against the expected-bits bounds, for a range of s."""
     out = None
@@ -155,7 +164,8 @@ def bits_against_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
         made = quantizer.quantize(embeddings(spark, sf_dir), s)
         n, k = F.lit(64.0), F.lit(float(s))
         row = made.agg(F.avg(codes.gap_bits(F.col("level"))).alias("gap"), F.avg(codes.dense_prefix_bits(F.col("level"))).alias("prefix"), F.avg(codes.dense_omega_bits(F.col("level"))).alias("omega")).select(
-            F.lit(s).alias("s"), "gap", bounds_sql.gap_bits(n, k).alias("gap_bound"), "prefix", "omega", bounds_sql.dense_bits(n).alias("dense_bound")
+            F.lit(s).alias("s"), _round("gap").alias("gap"), _round(bounds_sql.gap_bits(n, k)).alias("gap_bound"), _round("prefix").alias("prefix"), _round("omega").alias("omega"),
+            _round(bounds_sql.dense_bits(n)).alias("dense_bound"),
         )
         out = row if out is None else out.unionByName(row)
     return out

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from lossygrad.functions import quantization as Q
 from lossygrad.functions.uniform import uniform
-from lossygrad.operators import baselines, layers, layout, meanest, quantizer
+from lossygrad.operators import baselines, layers, layout, meanest, messages, quantizer
 from lossygrad.optim import gd, sgd, svrg
 from lossygrad.optim.channel import Channel
 from lossygrad.optim.objectives import LeastSquares
@@ -161,24 +161,38 @@ def _descent_sql(rounds: int, quantize: bool) -> str:
     return f"WITH d AS MATERIALIZED ({_planted_sql()}), {start}, {steps} SELECT coord, (round(value, 5) + 0.0) AS value FROM x{rounds}"
 
 
+def _dealt(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Planted rows, dealt to workers once: every later aggregate by worker stays in its task, and the
+    plan's rounds read one exchange."""
+    return features.planted(spark, sf_dir).select((F.col("l_orderkey") % _WORKERS).alias("shard"), "features", "y").repartition(_WORKERS, "shard")
+
+
+def _gradients(data: DataFrame, residual: F.Column) -> DataFrame:
+    """shard and values: each worker's mean gradient, in its task."""
+    sums = data.withColumn("e", residual).groupBy("shard").agg(*[F.round(F.avg(F.get("features", F.lit(i)) * F.col("e")), 9).alias(f"g{i}") for i in range(5)])
+    return sums.select("shard", F.array(*[F.col(f"g{i}") for i in range(5)]).alias("values"))
+
+
+def _exchanged(grads: DataFrame, t: int, codec: str = "gap") -> DataFrame:
+    """Workers' gradients as the owners of buckets decode them: quantized and encoded before the exchange."""
+    made = quantizer.quantize(grads.withColumnRenamed("shard", "vec_id"), _S, step=t)
+    received = messages.decode(messages.by_bucket(messages.encode(made, codec, 4, t)))
+    return received.select("shard", Q.dequantize_array(F.col("scale"), F.col("sign"), F.col("level"), _S).alias("values"))
+
+
 def _descent(spark: SparkSession, sf_dir: str, rounds: int, quantize: bool) -> DataFrame:
-    """Rounds as DataFrames: worker gradients by partial sums, messages, mean, step.
+    """Rounds as DataFrames: workers' gradients, their messages, one exchange of payloads, mean, step.
 
     The parameter table (five rows) is crossed into each gradient by broadcast.
     """
-    data = features.planted(spark, sf_dir).select((F.col("l_orderkey") % _WORKERS).alias("shard"), "features", "y")
+    data = _dealt(spark, sf_dir)
     x = spark.range(5).select(F.col("id").alias("coord"), F.lit(0.0).alias("value"))
     for t in range(rounds):
         state = x.agg(F.transform(F.array_sort(F.collect_list(F.struct("coord", "value"))), lambda p: p["value"]).alias("x"))
-        e = data.crossJoin(F.broadcast(state)).withColumn("e", F.aggregate(F.zip_with("features", "x", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v) - F.col("y"))
-        sums = e.groupBy("shard").agg(*[F.round(F.avg(F.get("features", F.lit(i)) * F.col("e")), 9).alias(f"g{i}") for i in range(5)])
-        grads = sums.select("shard", F.array(*[F.col(f"g{i}") for i in range(5)]).alias("values"))
-        if quantize:
-            made = grads.withColumn("scale", Q.scale_of(F.col("values")))
-            q = Q.quantize_array(F.col("values"), F.col("scale"), _S, F.lit(0), F.lit(t), F.col("shard"))
-            parts = made.select("shard", "scale", q.alias("q"))
-            grads = parts.select("shard", Q.dequantize_array(F.col("scale"), F.transform("q", lambda z: z["sign"]), F.transform("q", lambda z: z["level"]), _S).alias("values"))
-        mean = grads.select(F.posexplode_outer("values").alias("coord", "g")).where("coord is not null").groupBy("coord").agg(F.avg("g").alias("g"))
+        residual = F.aggregate(F.zip_with("features", "x", lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v) - F.col("y")
+        grads = _gradients(data.crossJoin(F.broadcast(state)), residual)
+        sent = _exchanged(grads, t) if quantize else grads
+        mean = sent.select(F.posexplode_outer("values").alias("coord", "g")).where("coord is not null").groupBy("coord").agg(F.avg("g").alias("g"))
         x = x.join(F.broadcast(mean), "coord").select("coord", F.round(F.col("value") - _ETA * F.col("g"), 9).alias("value"))
     return x.select("coord", _round("value", 5).alias("value"))
 
@@ -191,27 +205,36 @@ for _name, _rounds, _quantize in (("fp_gradient_step", 1, False), ("cps_step", 1
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One compressed exchange: worker gradients, their sparse messages' bits, and what is decoded."""
-    from lossygrad.functions import codes
+    """One compressed exchange: workers' gradients, their sparse messages' bits, and what the owners of buckets decode."""
+    grads = _gradients(_dealt(spark, sf_dir), -F.col("y"))
+    made = quantizer.quantize(grads.withColumnRenamed("shard", "vec_id"), _S)
+    sent = messages.by_bucket(messages.encode(made, "gap"))
+    received = messages.decode(sent).select("shard", Q.dequantize_array(F.col("scale"), F.col("sign"), F.col("level"), _S).alias("decoded"))
+    bits = messages.encode(made, "gap").select("shard", "n_bits")
+    joined = grads.join(received, "shard").join(F.broadcast(bits), "shard")  # a row a worker
+    rows = joined.select("shard", "n_bits", (F.lit(32 * 5) / F.col("n_bits")).alias("ratio"), F.posexplode_outer(F.arrays_zip("values", "decoded")).alias("coord", "z")).where("coord is not null")
+    return rows.select(F.col("shard").alias("worker"), "coord", F.col("z.values").alias("gradient"), F.col("z.decoded").alias("decoded"), "n_bits", "ratio")
+
 
-    data = features.planted(spark, sf_dir).select((F.col("l_orderkey") % _WORKERS).alias("vec_id"), "features", "y")
-    sums = data.groupBy("vec_id").agg(*[F.round(F.avg(-F.get("features", F.lit(i)) * F.col("y")), 9).alias(f"g{i}") for i in range(5)])
-    made = quantizer.quantize(sums.select("vec_id", F.array(*[F.col(f"g{i}") for i in range(5)]).alias("values")), _S)
-    bits = codes.gap_bits(F.col("level"))
-    decoded = quantizer.dequantize(made.withColumn("n_bits", bits).withColumn("gradient", F.col("values")))
-    rows = decoded.select("vec_id", "n_bits", (F.lit(32 * 5) / F.col("n_bits")).alias("ratio"), F.posexplode_outer(F.arrays_zip("gradient", "values")).alias("coord", "z")).where("coord is not null")
-    return rows.select(F.col("vec_id").alias("worker"), "coord", F.col("z.gradient").alias("gradient"), F.col("z.values").alias("decoded"), "n_bits", "ratio")
+_FRACS = (0.01, 0.04, 0.16)
 
 
-@query("minibatch_hash_gradient", None)
+def _minibatch_sql(frac: float) -> str:
+    drawn = S.uniform("'mb'", "step", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    means = ", ".join(f"avg(-a{i} * y) AS g{i}" for i in range(5))
+    keyed = _planted_sql().replace(f"SELECT l_orderkey % {_WORKERS} AS shard,", "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey,")
+    return f"SELECT {frac} :: DOUBLE AS frac, round({' + '.join(f'var_samp(g{i})' for i in range(5))}, 8) AS variance FROM (SELECT step, {means} FROM (SELECT *, unnest(range(8)) AS step FROM ({keyed})) WHERE {drawn} < {frac} GROUP BY step)"
+
+
+@query("minibatch_hash_gradient", " UNION ALL ".join(_minibatch_sql(f) for f in _FRACS))
 def minibatch_hash_gradient(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Variance of minibatch gradients against the full gradient, for growing shares of rows."""
     data = features.planted(spark, sf_dir)
     out = None
-    for frac in (0.01, 0.04, 0.16):
+    for frac in _FRACS:
         drawn = data.withColumn("step", F.explode(F.array(*[F.lit(i) for i in range(8)]))).where(uniform(F.lit("mb"), F.col("step"), F.col("l_orderkey"), F.col("l_linenumber"), F.col("l_partkey"), F.col("l_suppkey")) < frac)
         g = drawn.groupBy("step").agg(*[F.avg(-F.get("features", F.lit(i)) * F.col("y")).alias(f"g{i}") for i in range(5)])
-        row = g.agg(sum((F.var_samp(f"g{i}") for i in range(5)), F.lit(0.0)).alias("variance")).withColumn("frac", F.lit(frac))
+        row = g.agg(_round(sum((F.var_samp(f"g{i}") for i in range(5)), F.lit(0.0)), 8).alias("variance")).withColumn("frac", F.lit(frac))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -268,13 +291,22 @@ def layer_policy(spark: SparkSession, sf_dir: str) -> DataFrame:
     return made.select(F.col("layer_id").cast("bigint").alias("layer_id"), "name", "n", F.col("bits").cast("bigint").alias("bits"), F.coalesce("bucket", F.lit(0)).cast("bigint").alias("bucket"), "n_bits")
 
 
-@query("skip_policy_share", None)
+@query(
+    "skip_policy_share",
+    """
+    WITH l(n, cols) AS (VALUES (1048576, 64), (4096, 64), (256, 4)), t(threshold) AS (VALUES (0), (1000), (10000)),
+    p AS (SELECT *, n >= threshold AS q, CASE WHEN n >= threshold THEN n * 4 + 32 * ceil(n / ((512 // cols) * cols)) ELSE n * 32 END AS n_bits FROM l, t)
+    SELECT CAST(threshold AS INTEGER) AS threshold, CAST(sum(n) AS BIGINT) AS n_params, CAST(sum(CASE WHEN q THEN n ELSE 0 END) AS BIGINT) AS n_quantized,
+        round(sum(CASE WHEN q THEN n ELSE 0 END) / sum(n), 6) AS share_quantized, round(sum(n) * 32 / sum(n_bits), 6) AS ratio FROM p GROUP BY threshold
+    """,
+)
 def skip_policy_share(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of parameters quantized and saving, by threshold."""
     specs = [("w1", "dense", 16384, 64), ("w2", "dense", 64, 64), ("w3", "dense", 64, 4)]
     out = None
     for threshold in (0, 1_000, 10_000):
-        row = layers.report(layers.policy(layers.layers(spark, specs), min_elements=threshold)).withColumn("threshold", F.lit(threshold))
+        made = layers.report(layers.policy(layers.layers(spark, specs), min_elements=threshold))
+        row = made.select("n_params", "n_quantized", _round("share_quantized").alias("share_quantized"), _round("ratio").alias("ratio"), F.lit(threshold).alias("threshold"))
         out = row if out is None else out.unionByName(row)
     return out
 

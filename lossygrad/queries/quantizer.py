@@ -111,13 +111,27 @@ def lq_lineitem_orders_4bit(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-@query("lq_bucket_512_lineitem", None)
+#: Buckets of whole orders: 128 of them, about 512 lines; a line's place is its rank in its bucket.
+_LINE_BUCKETS = f"""SELECT *, bucket_id * 512 + place AS coord FROM (SELECT CAST(0 AS BIGINT) AS vec_id, l_orderkey // 128 AS bucket_id,
+    CAST(row_number() OVER (PARTITION BY l_orderkey // 128 ORDER BY {_LINE_ORDER}) - 1 AS BIGINT) AS place, l_extendedprice AS value FROM lineitem)"""
+
+
+@query(
+    "lq_bucket_512_lineitem",
+    f"""
+    WITH {S.quantized(_LINE_BUCKETS, f'SELECT bucket_id, max(abs(value)) AS r FROM ({_LINE_BUCKETS}) GROUP BY bucket_id', '7', keys=('0', '0', 'vec_id', 'coord'), on='bucket_id')},
+    {S.gap_bits('bucket_id').replace('coord', 'place')}, b AS (SELECT bucket_id, count(*) AS n, max(scale) AS scale FROM q GROUP BY bucket_id)
+    SELECT CAST(0 AS BIGINT) AS vec_id, bucket_id, CAST(n AS INTEGER) AS n, scale, CAST(32 + 4 * n AS BIGINT) AS fixed_bits, n_bits AS gap_bits FROM b JOIN g USING (bucket_id)
+    """,
+)
 def lq_bucket_512_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Buckets of 512 values of orders' lines from long layout, 4-bit, with message bits."""
+    """Prices of all lines in buckets of 128 orders (about 512 lines), 4-bit, with message bits.  One shuffle, by bucket."""
     from lossygrad.functions import codes
 
-    long = table(spark, sf_dir, "events").select(F.lit(0).cast("bigint").alias("vec_id"), F.col("event_id").alias("coord"), "value")
-    made = quantizer.quantize(layout.bucketize_long(long, 512), 7, "max", bucket=512)
+    order = _LINE_ORDER.split(", ")
+    lines = table(spark, sf_dir, "lineitem").select(F.lit(0).cast("bigint").alias("vec_id"), F.floor(F.col("l_orderkey") / 128).cast("bigint").alias("bucket_id"), F.struct(*order).alias("line"))
+    buckets = lines.groupBy("vec_id", "bucket_id").agg(F.transform(F.array_sort(F.collect_list("line")), lambda x: x["l_extendedprice"]).alias("values"))
+    made = quantizer.quantize(buckets, 7, "max", bucket=512)
     return made.select("vec_id", "bucket_id", F.size("level").alias("n"), "scale", codes.fixed_bits(F.col("level"), 4).alias("fixed_bits"), codes.gap_bits(F.col("level")).alias("gap_bits"))
 
 
@@ -174,19 +188,13 @@ for _s in (1, 4, 8):
 @query(
     "seed_mean_bias",
     f"""
-    WITH v AS (SELECT *, unnest(range(32)) AS seed FROM ({S.EMB}) WHERE vec_id < 20), n AS ({S.EMB_L2}),
+    WITH v AS (SELECT *, unnest(range(32)) AS seed FROM ({S.EMB})), n AS ({S.EMB_L2}),
     p AS (SELECT v.*, scale, {S.position('value', 'scale', '4')} AS pos FROM v JOIN (SELECT vec_id, {S.scale32('r')} AS scale FROM n) USING (vec_id)),
     q AS (SELECT *, (CASE WHEN value < 0 THEN -1 ELSE 1 END) * (least(floor(pos), 3) + CASE WHEN {S.uniform('seed', '0', 'vec_id', 'coord')} < pos - least(floor(pos), 3) THEN 1 ELSE 0 END) AS k FROM p)
     SELECT vec_id, coord, CAST(sum(k) AS BIGINT) AS level_sum FROM q GROUP BY vec_id, coord
     """,
 )
 def seed_mean_bias(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The vectors below 20 of ``seed_mean_bias_all``, as the SQL above has them."""
-    return _level_sums(spark, embeddings(spark, sf_dir).where("vec_id < 20"))
-
-
-@query("seed_mean_bias_all")
-def seed_mean_bias_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sums of signed levels over 32 seeds, of every vector."""
     return _level_sums(spark, embeddings(spark, sf_dir))
 

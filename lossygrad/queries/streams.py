@@ -43,7 +43,14 @@ def stream_static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return online.drain(online.against_parameters(online.event_stream(spark, sf_dir), kinds))
 
 
-@query("stream_sessions")
+@query(
+    "stream_sessions",
+    """
+    WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 12 HOUR THEN 0 ELSE 1 END AS fresh FROM events),
+    s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS session FROM g)
+    SELECT user_id, count(*) AS n FROM s GROUP BY user_id, session
+    """,
+)
 def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All sessions, those still open at the newest event too."""
     return online.drain(online.sessions(online.event_stream(spark, sf_dir))).select("user_id", "n")

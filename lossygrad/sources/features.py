@@ -16,6 +16,8 @@ from lossygrad.sources import table
 # Class numbers.
 LANGS = ("en", "de", "fr", "es")
 PLANTED = (1.0, -2.0, 0.5, 3.0, -1.0)
+#: Event types that a one-hot step may tell apart.
+MAX_KINDS = 1024
 #: Share of rows held out.
 HELD_OUT = 0.25
 
@@ -23,9 +25,10 @@ HELD_OUT = 0.25
 def trigrams(texts: DataFrame, dim: int = 1024) -> DataFrame:
     """row_id, y, split and ``features``: hashed byte trigrams of the whole text, of unit length.
 
-    ``texts``: row_id, text, y.  Texts that open alike (copies do) fall on the same side of the split.
+    ``texts``: row_id, text, y.  Copies, whole or with an edit after their first dozen words, fall on the
+    same side of the split.
     """
-    opening = F.lower(F.regexp_replace(F.substring(F.coalesce("text", F.lit("")), 1, 60), r"\s+", " "))
+    opening = F.array_join(F.slice(F.split(F.trim(F.lower(F.coalesce("text", F.lit("")))), r"\s+"), 1, 12), " ")
     rows = texts.select("row_id", "y", F.when(uniform(F.lit("split"), opening) < HELD_OUT, "test").otherwise("train").alias("split"), F.col("text").cast("binary").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -86,7 +89,9 @@ def vectors_with_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 def sequences(spark: SparkSession, sf_dir: str, steps: int = 6) -> DataFrame:
     """Windows of a user's events in time order: features are the steps' types (one-hot) and values, y the next type."""
     e = table(spark, sf_dir, "events").select("event_id", "user_id", "ts", "event_type", "value")
-    kinds = [r[0] for r in e.select("event_type").distinct().orderBy("event_type").limit(64).collect()]  # a fixed small vocabulary
+    kinds = [r[0] for r in e.select("event_type").distinct().orderBy("event_type").limit(MAX_KINDS + 1).collect()]
+    if len(kinds) > MAX_KINDS:
+        raise ValueError(f"more than {MAX_KINDS} event types: not a vocabulary for one-hot steps")
     number = F.array_position(F.array(*[F.lit(k) for k in kinds]), F.col("event_type")) - 1
     hot = F.array(*[F.when(number == i, 1.0).otherwise(0.0) for i in range(len(kinds))], F.tanh(F.coalesce("value", F.lit(0.0)) / 100))
     order = Window.partitionBy("user_id").orderBy("ts", "event_id")

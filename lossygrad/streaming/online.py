@@ -32,6 +32,8 @@ def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
     _RUNS[0] += 1
     name = f"drained_{_RUNS[0]}"
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
     place = f"{named.rstrip('/')}/stream-{spark.sparkContext.applicationId}-{_RUNS[0]}" if named else tempfile.mkdtemp(prefix="lossygrad-stream-")
     q = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", place).trigger(availableNow=True).start()
     q.awaitTermination()

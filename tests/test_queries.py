@@ -41,16 +41,6 @@ def test_other_queries_run(spark, sf, name):
     assert CORE.QUERIES[name](spark, sf).count() > 0
 
 
-def test_bias_of_every_vector(spark, sf, con):
-    every = CORE.ORACLE["seed_mean_bias"].replace(" WHERE vec_id < 20", "")
-    rows = [r.asDict() for r in CORE.QUERIES["seed_mean_bias_all"](spark, sf).collect()]
-    columns = ["vec_id", "coord", "level_sum"]
-    got = {r["vec_id"] for r in rows}
-    assert got == {v for (v,) in con.sql("SELECT vec_id FROM embeddings").fetchall()} and len(got) > 20
-    want = con.sql(every)
-    assert normal(rows, columns) == normal([dict(zip(want.columns, r, strict=True)) for r in want.fetchall()], columns)
-
-
 def test_stream_emits_open_sessions_too(spark, sf, con):
     found = {}
     for r in CORE.QUERIES["stream_sessions"](spark, sf).collect():
