@@ -7,7 +7,7 @@ from dataclasses import dataclass, field
 import numpy as np
 
 from lossygrad.functions.quantization import levels_from_bits
-from lossygrad.operators import kernels
+from lossygrad.operators import kernels, wire
 
 
 @dataclass(frozen=True)
@@ -16,7 +16,8 @@ class Channel:
 
     ``s`` levels (a number, 'sqrt' of the bucket size, or None: from ``bits``); ``bucket``
     None quantizes the vector whole.  ``layers``: (first, length, bits) spans that override
-    ``bits``; 32 sends the span at full precision.
+    ``bits``; 32 sends the span at full precision.  ``noise`` adds Gaussian noise of that share
+    of the gradient's size; ``like`` adds as much as that channel's quantization would.
     """
 
     codec: str = "float32"
@@ -33,6 +34,36 @@ class Channel:
     cover: str | None = None
     layers: tuple[tuple[int, int, int], ...] = ()
     noise: float = 0.0
+    like: Channel | None = None
+
+    @property
+    def whole(self) -> bool:
+        """Whether a gradient is sent as one message, not by bucket."""
+        return self.codec in ("onebit", "topk", "reduced") or bool(self.noise) or self.like is not None
+
+    def added_variance(self, v: np.ndarray) -> float:
+        """What random rounding adds to a vector's squared error, summed over coordinates."""
+        total = 0.0
+        for first, length, bits in self.spans(len(v)):
+            piece = v[first : first + length]
+            scale = float(kernels.scale_of(piece, self.norm))
+            if bits == 32 or self.codec == "float32" or not scale:
+                continue
+            s = self.levels(length, bits)
+            pos = np.minimum(np.abs(piece) / scale, 1.0) * s
+            part = pos - np.minimum(np.floor(pos), s - 1)
+            total += float((scale / s) ** 2 * (part * (1 - part)).sum())
+        return total
+
+    def payload(self, sent: np.ndarray) -> tuple[str, int, bytes]:
+        """(code, kept values, bytes) of what a baseline sends."""
+        if self.codec == "onebit":
+            return "onebit", 0, wire.pack_onebit(sent, self.bucket or max(len(sent), 1), self.scale != "mean_abs")
+        if self.codec == "topk":
+            return "topk", *wire.pack_topk(sent, bool(self.cover))
+        if self.codec == "reduced":
+            return "reduced", 0, wire.pack_reduced(sent, self.kind)
+        return "float32", 0, sent.astype("<f4").tobytes()
 
     def levels(self, n: int, bits: int | None = None) -> int:
         if self.s == "sqrt":
@@ -65,8 +96,15 @@ class Channel:
             yield b, first, length, s, codec, n_bits, scale, int((level > 0).sum()), payload
 
     def restore(self, codec: str, payload: bytes, length: int, n_bits: int, s: int) -> np.ndarray:
+        """The values of a message; ``s`` is its number of levels (of kept values, of truncated ones)."""
         if codec == "float32":
             return np.frombuffer(payload, "<f4").astype(float)
+        if codec == "onebit":
+            return wire.unpack_onebit(payload, length, self.bucket or max(length, 1), self.scale != "mean_abs")
+        if codec == "topk":
+            return wire.unpack_topk(payload, length, s, bool(self.cover))
+        if codec == "reduced":
+            return wire.unpack_reduced(payload, self.kind)
         header = 3 if self.codec == "auto" else 0
         width = max(2, int(np.ceil(np.log2(s + 1))) + 1)
         scale, sign, level = kernels.decode(codec, payload, length, n_bits - header, width)
@@ -82,23 +120,26 @@ class Channel:
         if self.noise:
             r = np.random.default_rng([self.seed, *[k & 0x7FFFFFFF for k in keys]])
             v = v + r.normal(0, self.noise * np.sqrt(v @ v / max(n, 1)), n)
+        if self.like is not None:
+            r = np.random.default_rng([self.seed, *[k & 0x7FFFFFFF for k in keys]])
+            v = v + r.normal(0, np.sqrt(self.like.added_variance(v) / max(n, 1)), n)
         if self.codec == "float32":
             return v.astype(np.float32).astype(float), 32 * n
         if self.codec == "onebit":
-            d = self.bucket or n
+            d = self.bucket or max(n, 1)
             w = v + state["e"] if state and self.carry and "e" in state else v
-            sent = np.concatenate([kernels.onebit(w[at : at + d], self.scale) for at in range(0, n, d)])
+            sent = np.concatenate([np.zeros(0), *(kernels.onebit(w[at : at + d], self.scale) for at in range(0, n, d))])
             if state is not None and self.carry:
                 state["e"] = w - sent
             return sent, n + -(-n // d) * (32 if self.scale == "mean_abs" else 64)
         if self.codec == "topk":
-            sent = kernels.topk(v, frac=self.frac, cover=self.cover)
+            sent = kernels.topk(v, frac=self.frac, cover=self.cover).astype(np.float32).astype(float)
             at = np.flatnonzero(sent)
             steps = np.diff(np.concatenate([[-1], at]))
             return sent, 32 + int(sum(len(kernels.omega(int(g))) for g in steps)) + len(at) * (1 if self.cover else 32)
         if self.codec == "reduced":
             sent, each = kernels.reduced(v, self.kind)
-            return sent, each * n
+            return sent, each * n + (64 if self.kind.startswith("fixed") else 0)
         out, total = np.empty(n), 0
         for first, length, bits in self.spans(n):
             piece = v[first : first + length]

@@ -121,10 +121,11 @@ def round_messages(shards: DataFrame, objective, runs: list[Run], versions: list
         for (j, w), (g, m, loss, comp) in sorted(sums.items()):
             channel = runs[j].channel
             clock = time.perf_counter()
-            if channel.codec in ("onebit", "topk", "reduced") or channel.noise:
+            if channel.whole:
                 state = {"e": carried[j][w]} if w in carried[j] else {}
                 v, bits = channel.send(g / m, step, w, state=state)
-                made = [(0, 0, len(v), 0, "float32", bits, v.astype("<f4").tobytes())]
+                code, kept, payload = channel.payload(v)
+                made = [(0, 0, len(v), kept, code, bits, payload)]
                 if "e" in state:
                     made.append((_CARRIED, 0, len(v), 0, "float64", 0, state["e"].astype("<f8").tobytes()))
             else:
@@ -176,7 +177,8 @@ def sum_messages(messages: DataFrame, runs: list[Run]) -> DataFrame:
 def train_grid(shards: DataFrame, objective, runs: list[Run], rounds: int, start: np.ndarray | None = None) -> tuple[dict[str, np.ndarray], list[dict]]:
     """Parameters by run, and a ledger row for each run and round, over dealt ``shards``.
 
-    One job a round for all runs.  Parameters and carried errors pass through the driver,
+    One job a round for all runs.  Workers count alike in the mean, whatever rows their minibatches
+    have, as in the method; hashes deal shards of nearly equal size.  Parameters and carried errors pass through the driver,
     up to ``DRIVER_PARAMETERS`` floats; beyond, keep them as tables by bucket and join.
     """
     if objective.n * len(runs) > DRIVER_PARAMETERS:
@@ -193,7 +195,7 @@ def train_grid(shards: DataFrame, objective, runs: list[Run], rounds: int, start
             g = np.zeros(objective.n)
             for x in mine:
                 if x["bucket_id"] == _CARRIED:
-                    carried[j] = {c["shard"]: np.array(c["e"]) for c in x["carried"]}
+                    carried[j] |= {c["shard"]: np.array(c["e"]) for c in x["carried"]}  # a worker without rows this round keeps its own
                     if objective.n * len(carried[j]) > DRIVER_PARAMETERS:
                         raise ValueError("too many carried errors for the driver")
                 else:

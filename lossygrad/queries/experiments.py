@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from lossygrad import experiments as E
+from lossygrad.functions import bounds
 from lossygrad.operators import layout
 from lossygrad.optim import sgd, svrg
 from lossygrad.optim.channel import Channel
@@ -52,20 +53,22 @@ def vr_contraction(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = features.planted(spark, sf_dir).persist()
     data = layout.dense_index(base).select("row_id", "features", "y").persist()
     objective = LeastSquares(5, 0.05)
-    full, _ = svrg.anchor_gradient(data.select("row_id", F.lit(0).alias("shard"), "features", "y"), objective, objective.init())
-    # The Hessian column by column: differences of gradients are exact for least squares.
-    unit = np.eye(5)
+    # The Hessian column by column: differences of gradients are exact for least squares.  One pass for all.
     shards = data.select("row_id", F.lit(0).alias("shard"), "features", "y")
-    hessian = np.stack([svrg.anchor_gradient(shards, objective, e)[0] - full for e in unit])
-    best = np.linalg.solve(hessian, -full)
-    floor = sgd.evaluate(data, objective, {"x": best}, ())["x"]["loss"]
+    (full, *columns), _ = svrg.anchor_gradients(shards, objective, [objective.init(), *np.eye(5)])
+    best = np.linalg.solve(np.stack([c - full for c in columns]), -full)
+    runs = [svrg.VrRun("float32", Channel()), svrg.VrRun("lq_sqrt", Channel("dense_prefix", s="sqrt", norm="l2")), svrg.VrRun("naive_s1", Channel("gap", s=1, norm="l2"), naive=True)]
+    ledger = svrg.train_vr_grid(data, objective, runs, 8, 12, 4, 0.35)
+    points = {"best": best, "start": objective.init()} | {f"{n}/{r['epoch']}": r["anchor"] for n, rows in ledger.items() for r in rows}
+    measured = sgd.evaluate(data, objective, points, ())
+    floor = measured["best"]["loss"]
     out = []
-    for name, channel, naive in (("float32", Channel(), False), ("lq_sqrt", Channel("dense_prefix", s="sqrt", norm="l2"), False), ("naive_s1", Channel("gap", s=1, norm="l2"), True)):
-        _, ledger = svrg.train_vr(data, objective, channel, 8, 30, 5, 0.2, naive=naive)
-        losses = {"0": objective.init()} | {str(r["epoch"]): r["anchor"] for r in ledger}
-        bits = int(ledger[-1]["n_bits"])
-        measured = sgd.evaluate(data, objective, losses, ())
-        out += [{"run": name, "epoch": int(p), "gap": max(m["loss"] - floor, 0.0), "n_bits": bits} for p, m in measured.items()]
+    for run in runs:
+        gap = max(measured["start"]["loss"] - floor, 0.0)
+        out.append({"run": run.name, "epoch": 0, "gap": gap, "n_bits": 0, "bits_bound": 0.0, "contracts": True})
+        for r in ledger[run.name]:
+            was, gap = gap, max(measured[f"{run.name}/{r['epoch']}"]["loss"] - floor, 0.0)
+            out.append({"run": run.name, "epoch": r["epoch"], "gap": gap, "n_bits": int(r["n_bits"]), "bits_bound": 8 * bounds.vr_bits(5, 12), "contracts": bool(gap <= 0.9 * was + 1e-12)})
     data.unpersist()
     base.unpersist()
     return E.as_rows(spark, out)
@@ -80,9 +83,8 @@ def nonconvex_stop(spark: SparkSession, sf_dir: str) -> DataFrame:
     stop, rows = 1 + int(sgd.uniform_array(1, 3, 77)[0] * 10), []
     channels = {"fp32": Channel(), "q4_512": E.quantized(4, 512), "lq_sqrt": Channel("dense_prefix", s="sqrt", norm="l2", bucket=512)}
     found, ledger = sgd.train_grid(shards, objective, [sgd.Run(n, c, 0.5) for n, c in channels.items()], stop)
-    for name, x in found.items():
-        g, _ = svrg.anchor_gradient(shards, objective, x)
-        g0, _ = svrg.anchor_gradient(shards, objective, objective.init(0))
+    (g0, *ends), _ = svrg.anchor_gradients(shards, objective, [objective.init(0), *found.values()])
+    for name, g in zip(found, ends, strict=True):
         rows.append({"run": name, "stopped_at": stop, "grad_norm2": float(g @ g), "start_norm2": float(g0 @ g0), "n_bits": int(sum(r["n_bits"] for r in ledger if r["run"] == name))})
     shards.unpersist()
     return E.as_rows(spark, rows)

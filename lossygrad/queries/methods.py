@@ -254,10 +254,11 @@ def vr_epoch_small(spark: SparkSession, sf_dir: str) -> DataFrame:
     data = layout.dense_index(base).select("row_id", "features", "y").persist()
     objective = LeastSquares(5, 0.01)
     out = []
-    for name, channel in (("float32", Channel()), ("lq_sqrt", Channel("dense_prefix", s="sqrt", norm="l2"))):
-        _, ledger = svrg.train_vr(data, objective, channel, 4, 20, 2, 0.2)
-        measured = sgd.evaluate(data, objective, {str(r["epoch"]): r["anchor"] for r in ledger})
-        out += [{"channel": name, "epoch": r["epoch"], "n_bits": int(r["n_bits"]), "loss": measured[str(r["epoch"])]["loss"]} for r in ledger]
+    runs = [svrg.VrRun("float32", Channel()), svrg.VrRun("lq_sqrt", Channel("dense_prefix", s="sqrt", norm="l2"))]
+    ledger = svrg.train_vr_grid(data, objective, runs, 4, 12, 2, 0.25)
+    measured = sgd.evaluate(data, objective, {f"{n}/{r['epoch']}": r["anchor"] for n, rows in ledger.items() for r in rows})
+    for name, rows in ledger.items():
+        out += [{"channel": name, "epoch": r["epoch"], "n_bits": int(r["n_bits"]), "loss": measured[f"{name}/{r['epoch']}"]["loss"]} for r in rows]
     data.unpersist()
     base.unpersist()
     return _rows(spark, out)

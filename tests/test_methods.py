@@ -132,6 +132,39 @@ def test_distributed_variance_reduction_equals_simulation(spark):
     assert got == pytest.approx(want, rel=1e-3, abs=1e-4) and [o["n_bits"] for o in out] == pytest.approx([o["n_bits"] for o in rows], rel=0.05)
 
 
+def test_variance_reduction_grid_shares_jobs(spark):
+    a, y, df = learning(spark, 120)
+    objective = LeastSquares(5, 0.1)
+    runs = [svrg.VrRun("full", Channel()), svrg.VrRun("lq", Channel("dense_prefix", s="sqrt", norm="l2")), svrg.VrRun("naive", Channel("gap", s=2, norm="l2"), naive=True)]
+    got = svrg.train_vr_grid(df, objective, runs, 3, 8, 2, 0.05)
+    for r in runs:
+        want, rows = svrg.simulate(objective, a, y, r.channel, 3, 8, 2, 0.05, naive=r.naive)
+        assert got[r.name][-1]["anchor"] == pytest.approx(want, rel=1e-3, abs=1e-4)
+        assert [o["n_bits"] for o in got[r.name]] == pytest.approx([o["n_bits"] for o in rows], rel=0.05)
+    with pytest.raises(ValueError):
+        svrg.train_vr_grid(df, objective, [svrg.VrRun("one", Channel("onebit"))], 3, 8, 2, 0.05)
+
+
+@pytest.mark.parametrize("channel", [Channel("onebit", bucket=4), Channel("onebit", bucket=4, scale="two_means"), Channel("onebit"), Channel("topk", frac=0.3), Channel("topk", cover="l2"),
+                                     Channel("reduced"), Channel("reduced", kind="float16"), Channel("reduced", kind="fixed8"), Channel(noise=0.1)])
+@pytest.mark.parametrize("n", [0, 1, 11, 64])
+def test_baselines_on_the_wire(channel, n):
+    v = np.random.default_rng(n).normal(size=n)
+    for v in (v, -np.abs(v), v * 0):
+        sent, bits = channel.send(v, 3, 1)
+        code, kept, payload = channel.payload(sent)
+        assert channel.restore(code, payload, n, bits, kept) == pytest.approx(sent, rel=1e-6, abs=1e-12)
+        assert 8 * len(payload) <= bits + 7 + (32 if channel.codec == "topk" else 0)
+
+
+def test_matched_noise_has_the_quantizer_s_variance():
+    v = np.random.default_rng(0).normal(size=512)
+    quantizer = Channel("fixed", 4, 128)
+    noisy = np.mean([((Channel(like=quantizer, seed=i).send(v, 1)[0] - v) ** 2).sum() for i in range(200)])
+    rounded = np.mean([((Channel("fixed", 4, 128, seed=i).send(v, 1)[0] - v) ** 2).sum() for i in range(200)])
+    assert quantizer.added_variance(v) == pytest.approx(rounded, rel=0.05) and noisy == pytest.approx(rounded, rel=0.05)
+
+
 def test_truncated_descent(spark):
     a, y, df = learning(spark)
     objective = LeastSquares(5)
