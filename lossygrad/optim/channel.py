@@ -10,6 +10,10 @@ from lossygrad.functions.quantization import levels_from_bits
 from lossygrad.operators import kernels, wire
 
 
+#: Values of neighbouring buckets that share a message.
+GROUP = 1 << 16
+
+
 @dataclass(frozen=True)
 class Channel:
     """``codec`` float32, fixed, gap, dense_omega, dense_prefix, auto, onebit, topk or reduced.
@@ -82,8 +86,40 @@ class Channel:
                 out += [(at, min(d, first + length - at), bits) for at in range(first, first + length, d)]
         return out
 
+    @property
+    def joins_buckets(self) -> bool:
+        """Whether neighbouring buckets share a message: fixed width, scaled by largest magnitude."""
+        return self.codec == "fixed" and self.norm == "max"
+
+    def groups(self, n: int) -> list[tuple[int, int, int]]:
+        """(first, length, bits) of spans of whole buckets, of about ``GROUP`` values."""
+        out = []
+        whole = 0 if self.s is not None and self.bits == 32 else self.bits
+        for first, length, bits in self.layers or ((0, n, whole),):
+            d = self.bucket or length
+            step = length if bits == 32 else max(1, GROUP // max(d, 1)) * d
+            out += [(at, min(step, first + length - at), bits) for at in range(first, first + length, max(step, 1))]
+        return out
+
+    def _joined(self, piece: np.ndarray, first: int, bits: int, keys: tuple[int, ...]):
+        d = self.bucket or max(len(piece), 1)
+        s = self.levels(d, bits)
+        scales, sign, level = kernels.quantize_buckets(piece, d, s, (self.seed, *keys), first, self.rounding)
+        width = max(2, int(np.ceil(np.log2(s + 1))) + 1)
+        return d, s, width, scales, sign, level
+
     def parts(self, v: np.ndarray, *keys: int):
-        """(bucket number, first, length, s, codec, n_bits, scale, nnz, payload) of each bucket of a quantized vector."""
+        """(number, first, length, s, codec, n_bits, scale, nnz, payload) of each message of a quantized vector:
+        a bucket, or neighbouring ones (the scale is then the first one's)."""
+        if self.joins_buckets:
+            for b, (first, length, bits) in enumerate(self.groups(len(v))):
+                piece = v[first : first + length]
+                if bits == 32:
+                    yield b, first, length, 0, "float32", 32 * length, np.float32(0), int(np.count_nonzero(piece)), piece.astype("<f4").tobytes()
+                    continue
+                d, s, width, scales, sign, level = self._joined(piece, first, bits, keys)
+                yield b, first, length, s, "fixed", 32 * len(scales) + width * length, scales[0], int((level > 0).sum()), kernels.pack_fixed(scales, sign, level, width)
+            return
         for b, (first, length, bits) in enumerate(self.spans(len(v))):
             piece = v[first : first + length]
             if bits == 32 or self.codec == "float32":
@@ -105,6 +141,10 @@ class Channel:
             return wire.unpack_topk(payload, length, s, bool(self.cover))
         if codec == "reduced":
             return wire.unpack_reduced(payload, self.kind)
+        if self.joins_buckets:
+            d, width = self.bucket or max(length, 1), max(2, int(np.ceil(np.log2(s + 1))) + 1)
+            scales, sign, level = kernels.unpack_fixed(payload, length, d, width)
+            return np.repeat(scales.astype(float), d)[:length] * sign * level / s
         header = 3 if self.codec == "auto" else 0
         width = max(2, int(np.ceil(np.log2(s + 1))) + 1)
         scale, sign, level = kernels.decode(codec, payload, length, n_bits - header, width)
@@ -141,6 +181,15 @@ class Channel:
             sent, each = kernels.reduced(v, self.kind)
             return sent, each * n + (64 if self.kind.startswith("fixed") else 0)
         out, total = np.empty(n), 0
+        if self.joins_buckets:
+            for first, length, bits in self.groups(n):
+                piece = v[first : first + length]
+                if bits == 32:
+                    out[first : first + length], total = piece.astype(np.float32), total + 32 * length
+                    continue
+                d, s, width, scales, sign, level = self._joined(piece, first, bits, keys)
+                out[first : first + length], total = np.repeat(scales.astype(float), d)[:length] * sign * level / s, total + 32 * len(scales) + width * length
+            return out, total
         for first, length, bits in self.spans(n):
             piece = v[first : first + length]
             if bits == 32:

@@ -95,6 +95,100 @@ class Softmax:
         return (a.T @ p / len(y)).ravel() + self.l2 * x
 
 
+class SparseRows:
+    """Rows of a sparse matrix: ``at`` and ``value`` of row i lie between ``bounds[i]`` and ``bounds[i + 1]``."""
+
+    def __init__(self, bounds: np.ndarray, at: np.ndarray, value: np.ndarray):
+        self.bounds, self.at, self.value = bounds, at, value
+
+    def __len__(self) -> int:
+        return len(self.bounds) - 1
+
+    def __getitem__(self, rows) -> SparseRows:
+        picked = np.arange(len(self))[rows]
+        size = np.diff(self.bounds)[picked]
+        bounds = np.concatenate([[0], np.cumsum(size)])
+        places = np.repeat(self.bounds[picked] - bounds[:-1], size) + np.arange(bounds[-1])
+        return SparseRows(bounds, self.at[places], self.value[places])
+
+    @property
+    def owner(self) -> np.ndarray:
+        return np.repeat(np.arange(len(self)), np.diff(self.bounds))
+
+
+@dataclass(frozen=True)
+class SparseSoftmax:
+    """A softmax over hashed features, of which a row has few: work follows the rows' values, not ``dim``."""
+
+    dim: int
+    classes: int
+
+    @property
+    def n(self) -> int:
+        return self.dim * self.classes
+
+    def init(self, seed: int = 0) -> np.ndarray:
+        return np.zeros(self.n)
+
+    def scores(self, x, a: SparseRows) -> np.ndarray:
+        w = x.reshape(self.dim, self.classes)
+        return np.stack([np.bincount(a.owner, a.value * w[a.at, c], len(a)) for c in range(self.classes)], axis=1)
+
+    def loss(self, x, a, y) -> float:
+        p = _softmax(self.scores(x, a))
+        return float(-np.log(np.maximum(p[np.arange(len(y)), y.astype(int)], 1e-300)).mean())
+
+    def grad(self, x, a, y) -> np.ndarray:
+        p = _softmax(self.scores(x, a))
+        p[np.arange(len(y)), y.astype(int)] -= 1
+        return np.stack([np.bincount(a.at, a.value * p[a.owner, c], self.dim) for c in range(self.classes)], axis=1).ravel() / len(y)
+
+
+@dataclass(frozen=True)
+class SharedWindows:
+    """A convolution-like layer: one weight matrix, applied to each of ``windows`` pieces of ``dim`` values,
+    tanh, their mean, and a softmax on top."""
+
+    dim: int
+    windows: int
+    hidden: int
+    classes: int
+
+    def shapes(self) -> list[tuple[int, int]]:
+        return [(self.dim, self.hidden), (self.hidden, self.classes)]
+
+    @property
+    def n(self) -> int:
+        return sum(r * c for r, c in self.shapes())
+
+    def init(self, seed: int = 0) -> np.ndarray:
+        r = np.random.default_rng(seed)
+        return np.concatenate([r.normal(0, 1 / np.sqrt(i), i * o) for i, o in self.shapes()])
+
+    def _forward(self, x, a):
+        cut = self.dim * self.hidden
+        shared, top = x[:cut].reshape(self.dim, self.hidden), x[cut:].reshape(self.hidden, self.classes)
+        pieces = a.reshape(len(a) * self.windows, self.dim)
+        act = np.tanh(pieces @ shared)
+        return pieces, act, act.reshape(len(a), self.windows, self.hidden).mean(axis=1), top
+
+    def scores(self, x, a) -> np.ndarray:
+        *_, pooled, top = self._forward(x, a)
+        return pooled @ top
+
+    def loss(self, x, a, y) -> float:
+        p = _softmax(self.scores(x, a))
+        return float(-np.log(np.maximum(p[np.arange(len(y)), y.astype(int)], 1e-300)).mean())
+
+    def grad(self, x, a, y) -> np.ndarray:
+        pieces, act, pooled, top = self._forward(x, a)
+        p = _softmax(pooled @ top)
+        p[np.arange(len(y)), y.astype(int)] -= 1
+        d = p / len(y)
+        back = np.repeat(d @ top.T / self.windows, self.windows, axis=0) * (1 - act * act)
+        return np.concatenate([(pieces.T @ back).ravel(), (pooled.T @ d).ravel()])
+
+
 @dataclass(frozen=True)
 class Perceptron:
     """Hidden layers of ``hidden`` tanh units (``depth`` of them) and a softmax; non-convex."""

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from lossygrad.session import map_arrow
 from lossygrad.functions.uniform import _mix, uniform_array
 from lossygrad.optim.channel import Channel, State
-from lossygrad.optim.objectives import accuracy
+from lossygrad.optim.objectives import SparseRows, accuracy
 
 #: Parameters that the driver may hold and send to every worker (floats).
 DRIVER_PARAMETERS = 10_000_000
@@ -60,11 +60,16 @@ def deal(data: DataFrame, k: int) -> DataFrame:
     return dealt.persist(StorageLevel.MEMORY_AND_DISK)
 
 
-def _arrays(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    rows = batch.num_rows
-    values = batch.column("features").flatten().to_numpy(zero_copy_only=False)
-    return (batch.column("row_id").to_numpy(zero_copy_only=False), batch.column("shard").to_numpy(zero_copy_only=False),
-            values.reshape(rows, -1), batch.column("y").to_numpy(zero_copy_only=False))
+def _arrays(batch: pa.RecordBatch) -> tuple:
+    """row_id, shard, features (a matrix, or sparse rows where the column holds places and values) and y."""
+    column = batch.column("features")
+    if pa.types.is_struct(column.type):
+        at, value = column.field(0), column.field(1)
+        bounds = at.offsets.to_numpy().astype(np.int64)
+        features = SparseRows(bounds - bounds[0], at.flatten().to_numpy(zero_copy_only=False), value.flatten().to_numpy(zero_copy_only=False))
+    else:
+        features = column.flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+    return batch.column("row_id").to_numpy(zero_copy_only=False), batch.column("shard").to_numpy(zero_copy_only=False), features, batch.column("y").to_numpy(zero_copy_only=False)
 
 
 @dataclass(frozen=True)

@@ -95,6 +95,26 @@ def anchor_gradient(shards: DataFrame, objective, x: np.ndarray) -> tuple[np.nda
     return g, m
 
 
+def normal_equations(shards: DataFrame, dim: int) -> tuple[np.ndarray, np.ndarray, float, int]:
+    """Mean of a a', of a y, of y squared, and the rows' count, over all rows: one sum a task, added up by coordinate."""
+    if dim * dim > DRIVER_PARAMETERS:
+        raise ValueError("too many parameters for the driver")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        gram, cross, square, m = np.zeros((dim, dim)), np.zeros(dim), 0.0, 0
+        for batch in batches:
+            if batch.num_rows:
+                _, _, a, y = _arrays(batch)
+                gram, cross, square, m = gram + a.T @ a, cross + a.T @ y, square + float(y @ y), m + len(y)
+        flat = np.concatenate([gram.ravel(), cross, [square, m]])
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat))), pa.array(flat)], names=["coord", "value"])
+
+    rows = map_arrow(shards, run, "coord bigint, value double").groupBy("coord").agg(F.sum("value").alias("value")).orderBy("coord").collect()
+    values = np.array([r["value"] for r in rows])
+    m = max(values[-1], 1)
+    return values[: dim * dim].reshape(dim, dim) / m, values[dim * dim : -2] / m, values[-2] / m, int(values[-1])
+
+
 @dataclass(frozen=True)
 class VrRun:
     """One configuration; runs of a grid share the draws, the passes and the jobs."""

@@ -26,6 +26,13 @@ for _name, _run in {
     "breakdown_epoch": E.breakdown,
     "sequence_recurrent": E.sequence,
     "convex_levels": E.convex,
+    "convex_wide": E.convex_wide,
+    "strongly_convex": E.strongly_convex,
+    "hard_target": E.hard_target,
+    "skip_training": E.skip_training,
+    "wide_sparse": E.wide_sparse,
+    "model_depth": E.depths,
+    "two_layer": E.two_layer,
     "async_staleness": E.staleness,
     "step_and_batch": E.step_and_batch,
 }.items():

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -22,13 +22,16 @@ MAX_KINDS = 1024
 HELD_OUT = 0.25
 
 
-def trigrams(texts: DataFrame, dim: int = 1024) -> DataFrame:
+def trigrams(texts: DataFrame, dim: int = 1024, windows: int = 1, planted: Callable[[np.ndarray], np.ndarray] | None = None) -> DataFrame:
     """row_id, y, split and ``features``: hashed byte trigrams of the whole text, of unit length.
 
+    With ``windows``, those of each of so many equal pieces of the text, side by side, ``dim`` in all.
+    ``planted`` makes y from the features instead.
     ``texts``: row_id, text, y.  Copies, whole or with an edit after their first dozen words, fall on the
     same side of the split.
     """
     opening = F.array_join(F.slice(F.split(F.trim(F.lower(F.coalesce("text", F.lit("")))), r"\s+"), 1, 12), " ")
+    per = dim // windows
     rows = texts.select("row_id", "y", F.when(uniform(F.lit("split"), opening) < HELD_OUT, "test").otherwise("train").alias("split"), F.col("text").cast("binary").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -37,17 +40,63 @@ def trigrams(texts: DataFrame, dim: int = 1024) -> DataFrame:
                 b = whole.slice(at, 1024)
                 x = np.zeros((b.num_rows, dim))
                 for i, t in enumerate(b.column("text").to_pylist()):
-                    raw = np.frombuffer((t or b"").lower(), np.uint8).astype(np.int64)
-                    if len(raw) > 2:
-                        x[i] = np.bincount(((raw[:-2] * 31 + raw[1:-1]) * 131 + raw[2:]) * 2654435761 % 4294967296 % dim, minlength=dim)
-                        x[i] /= np.sqrt(x[i] @ x[i])
+                    x[i] = _unit(np.bincount(_hashed(t, per), minlength=per) for t in _pieces(t or b"", windows))
+                y = b.column("y").cast(pa.float64()) if planted is None else pa.array(planted(x))
                 flat = pa.array(x.ravel())
                 features = pa.ListArray.from_arrays(pa.array(np.arange(0, b.num_rows * dim + 1, dim), pa.int32()), flat)
-                yield pa.RecordBatch.from_arrays([b.column("row_id"), b.column("y").cast(pa.float64()), b.column("split"), features], names=["row_id", "y", "split", "features"])
+                yield pa.RecordBatch.from_arrays([b.column("row_id"), y, b.column("split"), features], names=["row_id", "y", "split", "features"])
 
     return map_arrow(rows, run, "row_id bigint, y double, split string, features array<double>")
 
 
+def _hashed(text: bytes, dim: int) -> np.ndarray:
+    """Cells of the byte trigrams of a text."""
+    raw = np.frombuffer(text.lower(), np.uint8).astype(np.int64)
+    return ((raw[:-2] * 31 + raw[1:-1]) * 131 + raw[2:]) * 2654435761 % 4294967296 % dim if len(raw) > 2 else np.zeros(0, np.int64)
+
+
+def _pieces(text: bytes, windows: int) -> list[bytes]:
+    cuts = [len(text) * i // windows for i in range(windows + 1)]
+    return [text[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+
+
+def _unit(counts) -> np.ndarray:
+    """Histograms of unit length, side by side."""
+    made = [np.asarray(c, float) for c in counts]
+    return np.concatenate([c / max(np.sqrt(c @ c), 1e-12) for c in made])
+
+
+def sparse_trigrams(texts: DataFrame, dim: int) -> DataFrame:
+    """row_id, y and ``features``: places and values of hashed byte trigrams of the whole text, of unit length."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for at in range(0, whole.num_rows, 1024):
+                b = whole.slice(at, 1024)
+                found = [np.unique(_hashed(t or b"", dim), return_counts=True) for t in b.column("text").to_pylist()]
+                bounds = pa.array(np.concatenate([[0], np.cumsum([len(p) for p, _ in found])]), pa.int32())
+                places = np.concatenate([np.zeros(0, np.int64), *(p for p, _ in found)])
+                values = np.concatenate([np.zeros(0), *(c / np.sqrt(c @ c) for _, c in found if len(c))])
+                features = pa.StructArray.from_arrays([pa.ListArray.from_arrays(bounds, pa.array(places, pa.int32())), pa.ListArray.from_arrays(bounds, pa.array(values))], names=["at", "value"])
+                yield pa.RecordBatch.from_arrays([b.column("row_id"), b.column("y").cast(pa.float64()), features], names=["row_id", "y", "features"])
+
+    rows = texts.select("row_id", "y", F.col("text").cast("binary").alias("text"))
+    return map_arrow(rows, run, "row_id bigint, y double, features struct<at: array<int>, value: array<double>>")
+
+
+def planted_classes(dim: int, classes: int, seed: int = 7) -> Callable[[np.ndarray], np.ndarray]:
+    """The class of a row is that of its largest random projection: learnable, with margins too thin to be easy."""
+    w = np.random.default_rng(seed).choice([-1.0, 1.0], (dim, classes))
+    return lambda x: ((x - 1 / np.sqrt(dim)) @ w).argmax(axis=1).astype(float)
+
+
+def planted_line(dim: int, seed: int = 7, noise: float = 0.05) -> Callable[[np.ndarray], np.ndarray]:
+    """A linear function of the row and a little noise drawn from the row itself."""
+    r = np.random.default_rng(seed)
+    w, v = r.normal(size=dim), r.normal(size=dim)
+    return lambda x: x @ w + noise * np.sin(1e4 * (x @ v))
+
+
 def language_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
     lang = F.array_position(F.array(*[F.lit(x) for x in LANGS]), F.col("lang")) - 1
     return table(spark, sf_dir, "documents").select(F.col("doc_id").alias("row_id"), "text", lang.cast("double").alias("y")).where("y >= 0")
@@ -97,4 +146,4 @@ def sequences(spark: SparkSession, sf_dir: str, steps: int = 6) -> DataFrame:
     order = Window.partitionBy("user_id").orderBy("ts", "event_id")
     past = order.rowsBetween(-steps, -1)
     marked = e.withColumn("kind", number.cast("double")).withColumn("hot", hot)
-    return marked.select(F.col("event_id").alias("row_id"), F.flatten(F.collect_list("hot").over(past)).alias("features"), F.col("kind").alias("y"), F.count("*").over(past).alias("n_")).where(F.col("n_") == steps).drop("n_")
+    return marked.select(F.col("event_id").alias("row_id"), "user_id", F.flatten(F.collect_list("hot").over(past)).alias("features"), F.col("kind").alias("y"), F.count("*").over(past).alias("n_")).where(F.col("n_") == steps).drop("n_")

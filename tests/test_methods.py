@@ -80,6 +80,44 @@ def test_simulated_lengths_equal_payloads(channel):
     assert bits == sum(p[5] for p in parts) and got == pytest.approx(sent)
 
 
+@pytest.mark.parametrize("bits", [2, 3, 4, 8])
+@pytest.mark.parametrize("d", [1, 5, 64, 200])
+def test_buckets_at_once_equal_bucket_by_bucket(bits, d):
+    v = np.random.default_rng(bits).normal(size=171) * np.repeat([1.0, 0.0, 7.0], 57)
+    s = max(1, 2 ** (bits - 1) - 1)
+    scales, sign, level = kernels.quantize_buckets(v, d, s, (3, 4), 10)
+    for b in range(len(scales)):
+        one = kernels.quantize(v[b * d : (b + 1) * d], s, "max", (3, 4), 10 + b * d)
+        assert scales[b] == one[0] and sign[b * d : (b + 1) * d].tolist() == one[1].tolist() and level[b * d : (b + 1) * d].tolist() == one[2].tolist()
+    back = kernels.unpack_fixed(kernels.pack_fixed(scales, sign, level, bits), len(v), d, bits)
+    assert back[0].tolist() == scales.tolist() and (back[1] * back[2]).tolist() == (sign * level).tolist()
+
+
+def test_sparse_softmax_equals_dense():
+    from lossygrad.optim.objectives import Softmax, SparseRows, SparseSoftmax
+
+    r = np.random.default_rng(0)
+    a = r.normal(size=(7, 12)) * (r.random((7, 12)) < 0.3)
+    y, x = r.integers(0, 3, 7).astype(float), r.normal(size=36)
+    at = [np.flatnonzero(row) for row in a]
+    rows = SparseRows(np.concatenate([[0], np.cumsum([len(p) for p in at])]), np.concatenate(at), np.concatenate([row[p] for row, p in zip(a, at, strict=True)]))
+    dense, sparse = Softmax(12, 3), SparseSoftmax(12, 3)
+    assert sparse.loss(x, rows, y) == pytest.approx(dense.loss(x, a, y)) and sparse.grad(x, rows, y) == pytest.approx(dense.grad(x, a, y))
+    use = np.array([True, False, True, True, False, False, True])
+    assert sparse.grad(x, rows[use], y[use]) == pytest.approx(dense.grad(x, a[use], y[use]))
+
+
+def test_shared_windows_gradient():
+    from lossygrad.optim.objectives import SharedWindows
+
+    r = np.random.default_rng(1)
+    o = SharedWindows(4, 3, 5, 3)
+    a, y, x = r.normal(size=(6, 12)), r.integers(0, 3, 6).astype(float), o.init(2)
+    step = 1e-6
+    numeric = [(o.loss(x + step * e, a, y) - o.loss(x - step * e, a, y)) / (2 * step) for e in np.eye(o.n)]
+    assert o.grad(x, a, y) == pytest.approx(numeric, abs=1e-6)
+
+
 def test_training_is_the_same_for_any_partitioning(spark):
     _, _, df = learning(spark)
     a, _ = sgd.train(df, LeastSquares(5), Channel("gap", s=2, norm="l2"), 4, 4, 0.05)
