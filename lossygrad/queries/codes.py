@@ -156,6 +156,67 @@ def _against_bounds_sql(s: int) -> str:
             round(avg(prefix), 6) AS prefix, round(avg(omega), 6) AS omega, round(CAST(2.8 * 64 + 32 AS DOUBLE), 6) AS dense_bound FROM d JOIN g USING (vec_id))"""
 
 
+#: n, s, R, second moment or variance B, K, accuracy, L, T, minibatch.
+_PROBLEMS = [(64, 8, 1.0, 2.0, 4, 0.1, 1.0, 50, 16), (1024, 4, 2.5, 10.0, 16, 0.01, 3.0, 400, 32), (15000, 1, 0.5, 1.0, 1, 0.05, 0.5, 10, 1), (60000, 244, 7.0, 0.3, 64, 0.001, 20.0, 3000, 256)]
+_VAR = "least(n / (s * s), sqrt(n) / s)"
+
+
+@query(
+    "bounds_of_training",
+    f"""
+    SELECT n, s, round(r * r * greatest(2 * b / (k * eps * eps), l / eps), 4) AS rounds, round(r * r * greatest(2 * {_VAR} * b / (k * eps * eps), l / eps), 4) AS rounds_quantized,
+        round(r * sqrt(2 * b / t) + l * r * r / t, 6) AS sgd_gap, round(b / m, 8) AS minibatch_var, round(pow(0.9, 5), 8) AS contraction_5, round((32 + 2.8 * n) * (t + 1) + 32 * n, 2) AS vr_bits,
+        round(n * (log2(n) + log2(1 / eps)), 4) AS two_processor, round(sqrt(l * b) / t + {_VAR} * b / l, 6) AS stationarity, round(least(512 / (s * s), sqrt(512) / s), 6) AS bucket_variance,
+        round(32 * n / (2.8 * n) / 2, 6) AS saving, round(1 / (l + 1 / (r / sqrt(b) * sqrt(2 / t))), 8) AS step_constant, round(1 / (l + sqrt(k) / (r / sqrt(b) * sqrt(2 / t))), 8) AS step_parallel
+    FROM (VALUES {", ".join("(" + ", ".join(f"CAST({v} AS DOUBLE)" for v in p) + ")" for p in _PROBLEMS)}) p(n, s, r, b, k, eps, l, t, m)
+    """,
+)
+def bounds_of_training(spark: SparkSession, sf_dir: str) -> DataFrame:
+    n, s, r, b, k, eps, smooth, t, m = (F.col(c) for c in ("n", "s", "r", "b", "k", "eps", "l", "t", "m"))
+    problems = spark.createDataFrame([tuple(float(v) for v in p) for p in _PROBLEMS], "n double, s double, r double, b double, k double, eps double, l double, t double, m double")
+    return problems.select(
+        "n", "s", _round(bounds_sql.rounds(r, b, k, eps, smooth), 4).alias("rounds"), _round(bounds_sql.rounds(r, bounds_sql.quantized_b(n, s, b), k, eps, smooth), 4).alias("rounds_quantized"),
+        _round(bounds_sql.sgd_gap(r, b, t, smooth)).alias("sgd_gap"), _round(bounds_sql.minibatch_var(b, m), 8).alias("minibatch_var"), _round(bounds_sql.contraction(F.lit(5)), 8).alias("contraction_5"),
+        _round(bounds_sql.vr_bits(n, t), 2).alias("vr_bits"), _round(bounds_sql.lower_bounds(n, eps)[1], 4).alias("two_processor"), _round(bounds_sql.stationarity(smooth, b, t, n, s, b)).alias("stationarity"),
+        _round(bounds_sql.bucket_variance(F.lit(512.0), s)).alias("bucket_variance"), _round(bounds_sql.saving(n)).alias("saving"),
+        _round(bounds_sql.step_size("constant", smooth, r, b, k, t), 8).alias("step_constant"), _round(bounds_sql.step_size("parallel", smooth, r, b, k, t), 8).alias("step_parallel"),
+    )
+
+
+@query(
+    "omega_length_bound",
+    f"WITH RECURSIVE w AS (SELECT k, CAST(k AS DOUBLE) AS x, CAST(1 AS DOUBLE) AS total FROM range(1, 2049) t(k) UNION ALL SELECT k, log2(x), total + greatest(log2(x), 0) FROM w WHERE x > 1) "
+    f"SELECT k, CAST({S.omega_len('k')} AS BIGINT) AS n_bits, round(max(total), 6) AS bound FROM w GROUP BY k",
+)
+def omega_length_bound(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Lengths of the integer code beside the sum of iterated logarithms, which real codes exceed by whole bits."""
+    k = F.col("id")
+    return spark.range(1, 2049).select(k.alias("k"), codes.omega_len(k).cast("bigint").alias("n_bits"), _round(bounds_sql.omega_bound(k)).alias("bound"))
+
+
+@query(
+    "sql_functions",
+    f"WITH {S.quantized(S.EMB, S.EMB_MAX, '7')}, {S.gap_bits('vec_id')}, b AS (SELECT vec_id, sum(sign * level * (coord + 1)) AS checksum, count(*) AS n FROM q GROUP BY vec_id) "
+    "SELECT vec_id, CAST(checksum AS BIGINT) AS checksum, n_bits, CAST(0 AS BIGINT) AS mismatches, length('1010000') AS omega_4_bits FROM b JOIN g USING (vec_id)".replace("length('1010000')", "'101000'"),
+)
+def sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``lq_quantize``, ``pack_message``, ``unpack_message`` and ``omega_bits`` as SQL users call them."""
+    from lossygrad.functions import registry
+
+    registry.register_sql(spark)
+    registry.register_python(spark)
+    embeddings(spark, sf_dir).select("vec_id", "values").createOrReplaceTempView("lossygrad_vectors")
+    # Generated rows keep the optimizer from copying one call's expression into the next one's arguments.
+    made = spark.sql("SELECT vec_id, lq_quantize(values, 7, 'max', CAST(vec_id AS STRING), 0) AS q FROM lossygrad_vectors")
+    made.select("vec_id", F.explode_outer(F.array("q")).alias("q")).createOrReplaceTempView("lossygrad_levels")
+    spark.sql("SELECT vec_id, q, pack_message('gap', q.scale, q.sign, q.level, 4) AS m FROM lossygrad_levels").createOrReplaceTempView("lossygrad_messages")
+    spark.sql("SELECT vec_id, q, m.n_bits AS n_bits, unpack_message('gap', m.payload, size(q.level), m.n_bits, 4) AS levels FROM lossygrad_messages").createOrReplaceTempView("lossygrad_received")
+    return spark.sql(
+        "SELECT vec_id, aggregate(transform(levels, (x, i) -> CAST(x AS BIGINT) * (i + 1)), 0L, (a, x) -> a + x) AS checksum, n_bits, "
+        "CAST(size(filter(zip_with(levels, zip_with(q.sign, q.level, (g, k) -> g * k), (a, b) -> a <> b), d -> d)) AS BIGINT) AS mismatches, omega_bits(4L) AS omega_4_bits FROM lossygrad_received"
+    )
+
+
 @query("bits_against_bounds", " UNION ALL ".join(_against_bounds_sql(s) for s in (1, 2, 4, 8)))
 def bits_against_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Mean bits over vectors against the expected-bits bounds, for a range of s."""
