@@ -34,9 +34,78 @@ def check_winnowing(rows, texts):
     assert Counter((repr(r["doc_id"]), r["n_chars"], r["edited_sha256"]) for r in rows) == want
 
 
+def signed(x):
+    return x - (x >> 63 << 64)
+
+
+def chained(longs):
+    """Spark's hash of several longs: each is hashed with the hash so far as its seed."""
+    h = 42
+    for x in longs:
+        h = xxhash.xxh64_intdigest((x & (1 << 64) - 1).to_bytes(8, "little"), h)
+    return h
+
+
+def brute_winnow(hashes, k, w):
+    """(hash, position) of the rightmost minimum of every window of w grams of k items."""
+    low = (1 << 38) - 1
+    if not hashes:
+        return []
+    grams = [chained(hashes[i : i + k]) & low for i in range(len(hashes) - k + 1)] or [chained(hashes) & low]
+    windows = [range(i, i + w) for i in range(len(grams) - w + 1)] or [range(len(grams))]
+    return list(dict.fromkeys(min(((grams[i], -i) for i in win)) for win in windows))
+
+
+def brute_prints(text):
+    out = []
+    for x in re.sub(r"[\x20\x09-\x0D]", " ", text.lower()).split(" "):
+        out += [x[i : i + 32] for i in range(0, len(x), 32)] if len(x) > 64 else [x] if x else []
+    kept = brute_winnow([signed(xxhash.xxh64_intdigest(x.encode(), 42)) for x in out], 5, 4)
+    if len(text) <= 320 or (len(text) <= 1200 and re.search(r"[^\x20\x09-\x0D]{16}", text)):
+        plain = re.sub(r"[\x20\x09-\x0D]+", " ", text.lower()).strip(" ")
+        low = (1 << 38) - 1
+
+        def grams(k):
+            pieces = [plain[i : i + k] for i in range(len(plain) - k + 1)] or ([plain] if plain else [])
+            return [(xxhash.xxh64_intdigest(x.encode(), 42) & low, -i) for i, x in enumerate(pieces)]
+
+        five = grams(5)
+        windows = [five[i : i + 4] for i in range(len(five) - 3)] or ([five] if five else [])
+        kept += list(dict.fromkeys(map(min, windows)))
+        kept += grams(2) if len(text) <= 15 else []
+    return kept
+
+
+def check_fingerprints(rows, texts):
+    order = sorted(texts, key=lambda x: (x[0] is None, -(x[0] or 0), x[1] or ""))
+    want = Counter()
+    for i, (d, t) in enumerate(order):
+        t, after = t or "", order[(i + 1) % len(order)][1] or ""
+        half = len(t) // 2
+        own, edited, beside = (brute_prints(x) for x in (t, t[: len(t) - half] + after[:half], after))
+
+        def near(b, a={h for h, _ in own}):
+            b = {h for h, _ in b}
+            return round(len(a & b) / len(a | b), 9) if a or b else 1.0
+
+        as_text = lambda p: " ".join(f"{h:X}@{-i}" for h, i in p)
+        want[repr(d), as_text(own), as_text(edited), near(edited), near(beside)] += 1
+    assert Counter((repr(r["doc_id"]), r["fingerprint"], r["edited_fingerprint"], round(r["near_edited"], 9), round(r["near_next"], 9)) for r in rows) == want
+
+
+def test_fingerprints_of_mixed_long_words(spark):
+    texts = ["", "a", "ab cd", " ".join(f"{'w' * 39}{i}" for i in range(10)), " ".join(f"{'w' * 39}{i}" for i in range(10)) + " " + "Z" * 70, "x" * 900, "one two three four five six seven eight nine ten " * 9,
+             "b a " * 300, "https://example.org/" + "q" * 60 + " " + "r" * 65 + " plain words follow here and there"]
+    docs = list(enumerate(texts))
+    check_fingerprints(winnowing.compare_with_edit(spark.createDataFrame(docs, "doc_id long, text string")).collect(), docs)
+    a, b = ({h for h, _ in brute_prints(texts[i])} for i in (3, 4))
+    assert a & b
+
+
 def test_winnowing_odd_documents(odd_documents, no_documents):
     rows = winnowing.compare_with_edit(odd_documents).collect()
     check_winnowing(rows, [(r["doc_id"], r["text"]) for r in odd_documents.collect()])
+    check_fingerprints(rows, [(r["doc_id"], r["text"]) for r in odd_documents.collect()])
     assert all(0 <= r["near_edited"] <= 1 and 0 <= r["near_next"] <= 1 for r in rows)
     assert winnowing.compare_with_edit(no_documents).count() == 0
 
@@ -45,6 +114,7 @@ def test_op3_on_a_table(spark, sf):
     docs = [(r["doc_id"], r["text"]) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
     rows = QUERIES["op3_winnowing"](spark, sf).collect()
     check_winnowing(rows, docs)
+    check_fingerprints(rows, docs)
     text, prints = dict(docs), defaultdict(set)
     for r in rows:
         prints[text[r["doc_id"]]].add(r["fingerprint"])
