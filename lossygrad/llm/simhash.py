@@ -21,7 +21,8 @@ Finding the links, on distinct fingerprints only:
    shared folder in every round.
 
 So neither all pairs nor any group is gathered, and nothing but row counts reaches the
-driver.
+driver.  Joins by a fingerprint or a component send their hot keys by broadcast: those that
+hold over 1 / ``HOT_KEYS`` of the rows, so at most ``HOT_KEYS`` of them.
 
 Edge cases: null or empty text has fingerprint zero and is linked like any other; equal
 rows are in one component; component_id is the smallest doc_id that isn't null, or null;
@@ -47,6 +48,8 @@ MAX_BITS = 4
 HOT_KEY = 1 << 16
 #: Fingerprints expected under one key at most, when they are spread evenly.
 KEY_ROWS = 256
+#: Most keys of a join that are hot, and so broadcast.
+HOT_KEYS = 50_000
 _FAN = 8
 #: Rows that a task indexes together, unless a single key has more.
 _INDEX_ROWS = 1 << 19
@@ -268,6 +271,17 @@ def links(fps: DataFrame, hot_key: int = HOT_KEY) -> DataFrame:
     return _search(cool).unionByName(_search(_keyed(again, 8))).distinct()
 
 
+def joined(left: DataFrame, right: DataFrame, key: str, weight: str, rows: int) -> DataFrame:
+    """Inner join on ``key``, unique in ``right``, whose ``weight`` is the key's number among ``rows`` rows of ``left``.
+
+    Keys of over ``rows / HOT_KEYS`` rows are at most ``HOT_KEYS``: these are broadcast, so a task holds no hot key.
+    """
+    hot = F.col(weight) > rows // HOT_KEYS
+    here = left.join(F.broadcast(right.where(hot).drop(weight).withColumn("hot_", F.lit(True))), key, "left")
+    rest = here.where("hot_ is null").select(*left.columns).join(right.where(~hot).drop(weight), key)
+    return here.where("hot_").drop("hot_").unionByName(rest)
+
+
 def contract(edges: DataFrame) -> DataFrame:
     """Stars (u, v) that join every node of ``edges`` (u > v) to its component's least node."""
 
@@ -278,8 +292,8 @@ def contract(edges: DataFrame) -> DataFrame:
     was = state(now)
     while was[0]:
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("least"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("least").alias("v")).distinct()
+        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("least"), F.count("*").alias("weight"))
+        large = joined(both.where("v > u"), least, "u", "weight", 2 * was[0]).select(F.col("v").alias("u"), F.col("least").alias("v")).distinct()
         large = common.cut_lineage(large)
         least = large.groupBy("u").agg(F.min("v").alias("least"))
         met = large.join(least, "u")
@@ -294,12 +308,12 @@ def contract(edges: DataFrame) -> DataFrame:
 
 def components(marked: DataFrame, row: str = "doc_id", hot_key: int = HOT_KEY) -> DataFrame:
     """``marked`` (a written table with ``fp``) with ``first``: the least ``row`` of its component."""
-    by_fp = marked.groupBy("fp").agg(F.min(row).alias("least_row"))
-    by_fp = common.cut_lineage(by_fp)
+    by_fp = common.cut_lineage(marked.groupBy("fp").agg(F.min(row).alias("least_row"), F.count("*").alias("weight")))
+    prints, rows = by_fp.agg(F.count("*"), F.coalesce(F.sum("weight"), F.lit(0))).first()
     stars = contract(links(by_fp.select("fp"), hot_key))
     named = by_fp.join(stars.select(F.col("u").alias("fp"), F.col("v").alias("root")), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    firsts = named.groupBy("root").agg(F.min("least_row").alias("first"))
-    return marked.join(named.join(firsts, "root").select("fp", "first"), "fp")
+    firsts = named.groupBy("root").agg(F.min("least_row").alias("first"), F.count("*").alias("members"))
+    return joined(marked, joined(named, firsts, "root", "members", prints).select("fp", "first", "weight"), "fp", "weight", rows)
 
 
 def near_duplicates(docs: DataFrame, hot_key: int = HOT_KEY) -> DataFrame:

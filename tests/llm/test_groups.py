@@ -464,3 +464,10 @@ def test_pipeline_edges(spark, odd_documents, no_documents, sf):
         for _, stage in corpus_pipeline.STAGES:
             docs = stage(spark, docs, sf)
         assert docs.count() >= 0
+
+
+def test_hot_keys_change_nothing(spark, sf, monkeypatch):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    want = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(docs).collect()}
+    monkeypatch.setattr(simhash, "HOT_KEYS", 2)
+    assert {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(docs).collect()} == want
