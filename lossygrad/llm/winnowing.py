@@ -13,7 +13,8 @@ In any longer text half the characters hold ``w + k - 1`` whole words of at most
 characters.  Both rules look at the text alone, and adding hashes never takes any away.
 
 Hash and position travel in one long (38 bits of hash above 25 bits of reversed
-position), so the minimum of a window is a plain ``least`` and picks the rightmost tie.
+position), so the minimum of a window is a plain ``least`` and picks the rightmost tie; a
+text may have 2^25 words, more than a string of its kind holds in practice.
 
 Edge cases: null text is empty; two empty fingerprints are alike (1.0), an empty and
 a filled one are not (0.0); repeated ids follow each other by text; a null id comes

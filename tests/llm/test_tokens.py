@@ -169,3 +169,15 @@ def test_token_file_sequences(tmp_path):
 def test_empty_tables(no_documents):
     assert packing.pack(no_documents).count() == 0
     assert token_file.encode_and_read_back(no_documents).count() == 0
+
+
+def test_shared_folder_can_be_cleared(spark, odd_documents):
+    import os
+
+    from lossygrad.llm import common
+
+    kept = common.cut_lineage(odd_documents.select("doc_id"))
+    path = kept.inputFiles()[0].removeprefix("file://").removeprefix("file:")
+    assert kept.count() == 13 and os.path.exists(path)
+    common.clear(spark)
+    assert not os.path.exists(path)
