@@ -184,10 +184,10 @@ def train_grid(shards: DataFrame, objective, runs: list[Run], rounds: int, start
 
     One job a round for all runs.  Workers count alike in the mean, whatever rows their minibatches
     have, as in the method; hashes deal shards of nearly equal size.  Parameters and carried errors pass through the driver,
-    up to ``DRIVER_PARAMETERS`` floats; beyond, keep them as tables by bucket and join.
+    up to ``DRIVER_PARAMETERS`` floats; beyond, ``optim.table`` keeps them as a table by bucket.
     """
     if objective.n * len(runs) > DRIVER_PARAMETERS:
-        raise ValueError("too many parameters for the driver; join a parameter table by bucket instead")
+        raise ValueError("too many parameters for the driver; optim.table.train_table keeps them as a table")
     versions = [[objective.init(r.seed) if start is None else start.copy()] for r in runs]
     means, carried, ledger = [np.zeros(objective.n) for _ in runs], [{} for _ in runs], []
     for t in range(rounds):

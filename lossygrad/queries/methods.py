@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from lossygrad.functions import quantization as Q
 from lossygrad.functions.uniform import uniform
 from lossygrad.operators import baselines, layers, layout, meanest, messages, quantizer
-from lossygrad.optim import gd, sgd, svrg
+from lossygrad.optim import gd, sgd, svrg, table
 from lossygrad.optim.channel import Channel
 from lossygrad.optim.objectives import LeastSquares
 from lossygrad.queries import query
@@ -204,6 +204,21 @@ for _name, _rounds, _quantize in (("fp_gradient_step", 1, False), ("cps_step", 1
         return _descent(spark, sf_dir, rounds, quantize)
 
 
+def _table_descent(spark: SparkSession, sf_dir: str, rounds: int, quantize: bool) -> DataFrame:
+    """The same rounds with the parameters as a table and rows as entries, all five in one bucket, so that they draw alike."""
+    rows = features.planted(spark, sf_dir).select(F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "features").alias("row_id"), (F.col("l_orderkey") % _WORKERS).alias("shard"), "features", "y")
+    entries = rows.select("row_id", F.posexplode_outer("features").alias("at", "value")).select("row_id", F.col("at").cast("bigint").alias("coord"), "value")
+    x = table.train_table(entries, rows.select("row_id", "shard", "y"), 5, _WORKERS, rounds, _ETA, _S if quantize else None, bucket=8, digits=9)
+    return x.select(F.posexplode_outer("values").alias("coord", "value")).select(F.col("coord").cast("bigint").alias("coord"), _round("value", 5).alias("value"))
+
+
+for _name, _rounds, _quantize in (("table_fp_step", 1, False), ("table_cps_2_rounds", 2, True)):
+
+    @query(_name, _descent_sql(_rounds, _quantize))
+    def table_descent(spark: SparkSession, sf_dir: str, rounds=_rounds, quantize=_quantize) -> DataFrame:
+        return _table_descent(spark, sf_dir, rounds, quantize)
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One compressed exchange: workers' gradients, their sparse messages' bits, and what the owners of buckets decode."""
     grads = _gradients(_dealt(spark, sf_dir), -F.col("y"))

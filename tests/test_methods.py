@@ -2,6 +2,7 @@ from __future__ import annotations
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from lossygrad.functions import bounds
 from lossygrad.operators import baselines, kernels, layers
@@ -203,6 +204,24 @@ def test_matched_noise_has_the_quantizer_s_variance():
     assert quantizer.added_variance(v) == pytest.approx(rounded, rel=0.05) and noisy == pytest.approx(rounded, rel=0.05)
 
 
+@pytest.mark.parametrize("bucket", [2, 5, 64])
+def test_parameter_table_equals_driver_parameters(spark, bucket, monkeypatch):
+    from lossygrad.optim import table
+
+    a, y, df = learning(spark, 90)
+    shards = sgd.deal(df, 3).select("row_id", "shard", "y")
+    entries = df.select("row_id", F.posexplode("features").alias("at", "value")).select("row_id", F.col("at").cast("bigint").alias("coord"), "value").where("value <> 0")
+    want, _ = sgd.train(df, LeastSquares(5), Channel(), 3, 2, 0.1)
+    got = table.train_table(entries, shards, 5, 3, 2, 0.1, bucket=bucket)
+    assert np.concatenate([r["values"] for r in got.orderBy("bucket_id").collect()]) == pytest.approx(want, rel=1e-5)
+    lossy = table.train_table(entries, shards, 5, 3, 2, 0.1, s=8, bucket=bucket)
+    x = np.concatenate([r["values"] for r in lossy.orderBy("bucket_id").collect()])
+    assert LeastSquares(5).loss(x, a, y) < LeastSquares(5).loss(np.zeros(5), a, y)
+    monkeypatch.setattr(sgd, "DRIVER_PARAMETERS", 4)
+    with pytest.raises(ValueError, match="table"):
+        sgd.train(df, LeastSquares(5), Channel(), 3, 2, 0.1)
+
+
 def test_truncated_descent(spark):
     a, y, df = learning(spark)
     objective = LeastSquares(5)

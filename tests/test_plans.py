@@ -65,3 +65,11 @@ def test_vector_readers(spark, tmp_path):
 def test_online_descent(spark, sf, tmp_path):
     online.online_descent(online.event_stream(spark, sf), str(tmp_path / "versions"))
     assert spark.read.parquet(str(tmp_path / "versions" / "version=0")).count() == 1
+
+
+def test_descent_in_tables_sends_payloads_only(spark, sf):
+    plan = plan_of(QUERIES["cps_step"](spark, sf))
+    assert plan.count("Exchange hashpartitioning(shard") <= 1 and "Exchange hashpartitioning(bucket_id" in plan
+    below = plan.split("Exchange hashpartitioning(bucket_id")[1].splitlines()[1]
+    assert "MapInArrow" in below and "payload" in below
+
