@@ -11,6 +11,7 @@ network to measure; ``wall_spread`` is the deviation of the measured rounds over
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 
@@ -346,3 +347,27 @@ def scale_messages(spark: SparkSession, sf_dir: str, copies: int = 16) -> DataFr
         )
         out = row if out is None else out.unionByName(row)
     return out
+
+
+def wire_bytes(spark: SparkSession, sf_dir: str, copies: int = 64) -> list[dict]:
+    """Shuffled bytes, by Spark's own count, of one exchange of all messages beside their bits: a column repeated
+    ``copies`` times, each with hashed offsets so that no copy compresses another (a million values at sf 0.01), 32 to 2 bits, and a sparse code."""
+    from lossygrad.operators import messages, quantizer
+
+    base = spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_orderkey", "o_totalprice")
+    long = base.crossJoin(F.broadcast(spark.range(copies).select(F.col("id").alias("vec_id")))).select("vec_id", F.col("o_orderkey").alias("coord"), (F.col("o_totalprice") - 150000.0 + F.pmod(F.xxhash64("vec_id", "o_orderkey"), F.lit(1000003)) / 7).alias("value"))
+    out = []
+    with kept(layout.bucketize_long(long, 512)) as buckets:
+        n = buckets.agg(F.sum(F.size("values"))).first()[0]
+        plans = {"float32": None, "q8": ("fixed", 8, 127, "max"), "q4": ("fixed", 4, 7, "max"), "q2": ("fixed", 2, 1, "max"), "gap_s1": ("gap", 4, 1, "l2")}
+        for name, how in plans.items():
+            if how is None:
+                sent, bits = buckets.select("vec_id", "bucket_id", F.col("values").cast("array<float>").alias("values")).repartition("bucket_id"), 32 * n
+            else:
+                codec, width, s, norm = how
+                sent = messages.by_bucket(messages.encode(quantizer.quantize(buckets, s, norm, bucket=512), codec, width))
+                bits = sent.agg(F.sum("n_bits")).first()[0]
+            began = time.perf_counter()
+            _, written = ledgers.shuffle_bytes_of(spark, lambda sent=sent: sent.write.format("noop").mode("overwrite").save())
+            out.append({"workload": "wire_bytes", "run": name, "n": n, "n_bytes": bits / 8, "shuffle_bytes": written, "bytes_a_value": written / n, "ratio": 4 * n / max(written, 1), "wall_s": time.perf_counter() - began})
+    return out

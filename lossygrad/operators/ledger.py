@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -87,9 +89,19 @@ def accuracy_gap(accuracies: DataFrame, base_run: str = "fp32") -> DataFrame:
     return accuracies.join(base, "workload").withColumn("gap", F.col("top1") - F.col("base_top1"))
 
 
-def written_shuffle_bytes(spark: SparkSession) -> int:
-    """Bytes that this application's stages have written to shuffles so far, by Spark's own count."""
+def _stages(spark: SparkSession) -> list:
     jvm, gateway = spark._jvm, spark.sparkContext._gateway
+    spark.sparkContext._jsc.sc().listenerBus().waitUntilEmpty()
     none = jvm.java.util.ArrayList()
-    stages = spark.sparkContext._jsc.sc().statusStore().stageList(none, False, False, gateway.new_array(jvm.double, 0), none)
-    return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+    found = spark.sparkContext._jsc.sc().statusStore().stageList(none, False, False, gateway.new_array(jvm.double, 0), none)
+    return [found.apply(i) for i in range(found.size())]
+
+
+def shuffle_bytes_of(spark: SparkSession, action: Callable[[], object]) -> tuple[object, int]:
+    """What ``action`` returns, and the bytes that its stages wrote to shuffles, by Spark's own count.
+
+    Spark keeps the newest stages only (``spark.ui.retainedStages``), so an action is measured as soon as it ends.
+    """
+    last = max((s.stageId() for s in _stages(spark)), default=-1)
+    result = action()
+    return result, sum(s.shuffleWriteBytes() for s in _stages(spark) if s.stageId() > last)

@@ -33,6 +33,7 @@ for _name, _run in {
     "wide_sparse": E.wide_sparse,
     "model_depth": E.depths,
     "two_layer": E.two_layer,
+    "wire_bytes": E.wire_bytes,
     "async_staleness": E.staleness,
     "step_and_batch": E.step_and_batch,
 }.items():

@@ -2,6 +2,8 @@ from __future__ import annotations
 
 import pytest
 
+from pyspark.sql import functions as F
+
 from lossygrad.operators import ledger
 
 
@@ -26,9 +28,10 @@ def test_accuracy_and_times(spark):
 
 
 def test_shuffle_bytes(spark):
-    before = ledger.written_shuffle_bytes(spark)
-    spark.range(10000).repartition(4).count()
-    assert ledger.written_shuffle_bytes(spark) > before
+    n, written = ledger.shuffle_bytes_of(spark, spark.range(10000).repartition(4).count)
+    assert n == 10000 and written > 0
+    rows = spark.range(100000).select("id", F.md5(F.col("id").cast("string")).alias("m")).repartition(4, "id")
+    assert ledger.shuffle_bytes_of(spark, lambda: rows.write.format("noop").mode("overwrite").save())[1] > 1_000_000
 
 
 def test_bits(spark):
