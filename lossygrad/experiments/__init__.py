@@ -349,9 +349,9 @@ def scale_messages(spark: SparkSession, sf_dir: str, copies: int = 16) -> DataFr
     return out
 
 
-def wire_bytes(spark: SparkSession, sf_dir: str, copies: int = 64) -> list[dict]:
+def wire_bytes(spark: SparkSession, sf_dir: str, copies: int = 16) -> list[dict]:
     """Shuffled bytes, by Spark's own count, of one exchange of all messages beside their bits: a column repeated
-    ``copies`` times, each with hashed offsets so that no copy compresses another (a million values at sf 0.01), 32 to 2 bits, and a sparse code."""
+    ``copies`` times, each with hashed offsets so that no copy compresses another (2.4 million values at sf 0.1), 32 to 2 bits, and a sparse code."""
     from lossygrad.operators import messages, quantizer
 
     base = spark.read.parquet(f"{sf_dir}/orders.parquet").select("o_orderkey", "o_totalprice")
