@@ -16,6 +16,7 @@ from lossygrad.queries import query
 from lossygrad.queries import sql as S
 from lossygrad.queries.quantizer import _round
 from lossygrad.sources import embeddings, features
+from lossygrad.sources import table as table_of
 
 _FOLD = "list_reduce(list_prepend(CAST(0 AS DOUBLE), {0}), lambda a, b: a + b)"
 
@@ -113,6 +114,38 @@ def mean_est_by_label(spark: SparkSession, sf_dir: str) -> DataFrame:
     return made.select(F.col("label").cast("bigint").alias("label"), F.col("coord").cast("bigint").alias("coord"), _round("value").alias("value"), "n_messages")
 
 
+_ORDER_BUCKETS = "SELECT o_orderkey // 512 AS vec_id, o_orderkey % 512 AS coord, o_totalprice AS value FROM orders"
+
+
+@query(
+    "mean_est_orders_buckets",
+    f"WITH {S.quantized(_ORDER_BUCKETS, f'SELECT vec_id, max(abs(value)) AS r FROM ({_ORDER_BUCKETS}) GROUP BY vec_id', '7')} "
+    "SELECT coord, round(avg(CAST(scale AS DOUBLE) * sign * level / 7), 4) AS value, round(avg(value), 4) AS exact, count(*) AS n_messages FROM q GROUP BY coord",
+)
+def mean_est_orders_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean of the buckets of a long vector, each a worker's 4-bit message, beside the exact mean."""
+    long = table_of(spark, sf_dir, "orders").select(F.floor(F.col("o_orderkey") / 512).alias("vec_id"), (F.col("o_orderkey") % 512).alias("coord"), F.col("o_totalprice").alias("value"))
+    made = quantizer.quantize_long(long, 7, "max")
+    decoded = F.col("scale").cast("double") * F.col("sign") * F.col("level") / 7
+    return made.groupBy("coord").agg(F.round(F.avg(decoded), 4).alias("value"), F.round(F.avg("value"), 4).alias("exact"), F.count("*").alias("n_messages"))
+
+
+_CENTRED = "SELECT CAST(0 AS BIGINT) AS vec_id, event_id AS coord, round(value - (SELECT round(avg(value), 2) FROM events), 4) AS value FROM events"
+
+
+@query(
+    "lq_events_centred",
+    f"WITH {S.quantized(_CENTRED, f'SELECT vec_id, max(abs(value)) AS r FROM ({_CENTRED}) GROUP BY vec_id', '7')} SELECT vec_id, coord, CAST(sign * level AS BIGINT) AS signed_level FROM q",
+)
+def lq_events_centred(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """4-bit levels of the events' values less their mean: a long vector of either sign."""
+    events = table_of(spark, sf_dir, "events").select("event_id", "value")
+    mean = events.agg(F.round(F.avg("value"), 2).alias("mean"))  # one row
+    long = events.crossJoin(F.broadcast(mean)).select(F.lit(0).cast("bigint").alias("vec_id"), F.col("event_id").alias("coord"), F.round(F.col("value") - F.col("mean"), 4).alias("value"))
+    made = quantizer.quantize_long(long, 7, "max")
+    return made.select("vec_id", "coord", (F.col("sign").cast("bigint") * F.col("level")).alias("signed_level"))
+
+
 def _frontier_sql(s: int) -> str:
     return f"""
         SELECT * FROM (WITH {S.quantized(S.EMB, S.EMB_L2, str(s))}, {S.gap_bits('vec_id')},
