@@ -24,6 +24,15 @@ So neither all pairs nor any group is gathered, and nothing but row counts reach
 driver.  Joins by a fingerprint or a component send their hot keys by broadcast: those that
 hold over 1 / ``HOT_KEYS`` of the rows, so at most ``HOT_KEYS`` of them.
 
+``one_of_each``, which filters documents, takes another setting, ``WIDE``: five-word shingles
+(each once), 256 bits, and links of at most 44 of them.  Shingle sets of Jaccard similarity
+0.8 lie 39 bits apart on average (deviation 5.7), those of 0.7 49, those of 0.5 69, and
+unrelated ones 128 (deviation 8), so chance links are out of reach at any size.  No choice of
+blocks finds all neighbours at such a distance, so keys are bits at drawn places, more
+keys the more fingerprints there are: a pair at 39 bits meets under one with a
+probability of ``MEET`` at least, nearer ones more surely.  Nodes are named by a 64-bit mix
+of the 256 bits.
+
 Edge cases: null or empty text has fingerprint zero and is linked like any other; equal
 rows are in one component; component_id is the smallest doc_id that isn't null, or null;
 an empty table gives no rows.
@@ -31,6 +40,7 @@ an empty table gives no rows.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -48,9 +58,15 @@ MAX_BITS = 4
 HOT_KEY = 1 << 16
 #: Fingerprints expected under one key at most, when they are spread evenly.
 KEY_ROWS = 256
+#: Words of a fingerprint of ``one_of_each``, its shingles' width, and the bits at which it links.
+WIDE, WIDE_SHINGLE, WIDE_BITS = 4, 5, 44
+#: Expected bits between texts whose shingle sets are 0.8 alike, and the least chance that such a pair meets.
+ALIKE_BITS, MEET = 39, 0.98
 #: Most keys of a join that are hot, and so broadcast.
 HOT_KEYS = 50_000
 _FAN = 8
+#: Columns of a wide fingerprint.
+WORDS = tuple(f"fp_{i}" for i in range(WIDE))
 #: Rows that a task indexes together, unless a single key has more.
 _INDEX_ROWS = 1 << 19
 
@@ -58,39 +74,83 @@ _INDEX_ROWS = 1 << 19
 # ---- fingerprints
 
 
-def fingerprint(text: bytes, width: int = SHINGLE, seed: int = SEED) -> int:
-    """Signed 64-bit fingerprint of a UTF-8 text."""
+def shingle_hashes(text: bytes, width: int = SHINGLE, seed: int = SEED) -> np.ndarray:
+    """XXH64 of every shingle of a UTF-8 text, in order."""
     from xxhash import xxh64_intdigest
 
     words = text.lower().split()
     n = len(words)
     if not n:
-        return 0
+        return np.zeros(0, np.uint64)
     line = b" ".join(words)
     ends = np.cumsum(np.fromiter(map(len, words), np.int64, n) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
     m = max(1, n - width + 1)
     spans = zip(starts[:m].tolist(), ends[min(width, n) - 1 :].tolist(), strict=True)
-    hashes = np.fromiter((xxh64_intdigest(line[a:b], seed) for a, b in spans), np.uint64, m).astype(">u8")
-    counts = np.zeros(64, np.int64)
-    for at in range(0, m, 1 << 14):
-        part = np.unpackbits(hashes[at : at + (1 << 14)].view(np.uint8).reshape(-1, 8), axis=1)
+    return np.fromiter((xxh64_intdigest(line[a:b], seed) for a, b in spans), np.uint64, m)
+
+
+def _majority(hashes: np.ndarray) -> np.ndarray:
+    """Big-endian words whose bits are set in over half the rows of (rows, words) ``hashes``."""
+    rows, words = hashes.shape
+    counts = np.zeros(64 * words, np.int64)
+    for at in range(0, rows, 1 << 14):
+        part = np.unpackbits(hashes[at : at + (1 << 14)].astype(">u8").view(np.uint8).reshape(-1, 8 * words), axis=1)
         counts += part.sum(axis=0, dtype=np.int64)
-    return int(np.packbits(counts * 2 > m).view(">i8")[0])
+    return np.packbits(counts * 2 > rows).view(">u8")
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    """A 64-bit finalizer: every bit depends on all bits of ``x``."""
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+_STEPS = np.arange(1, WIDE + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+
+
+def fingerprint(text: bytes, width: int = SHINGLE, seed: int = SEED) -> int:
+    """Signed 64-bit fingerprint of a UTF-8 text."""
+    return int(_majority(shingle_hashes(text, width, seed)[:, None]).view(">i8")[0])
+
+
+def wide_fingerprint(text: bytes) -> np.ndarray:
+    """256-bit fingerprint of the distinct five-word shingles of a UTF-8 text."""
+    hashes = np.unique(shingle_hashes(text, WIDE_SHINGLE))
+    return _majority(_mixed(hashes[:, None] + _STEPS)).astype(np.uint64)
+
 
+def node_names(words: list[np.ndarray]) -> np.ndarray:
+    """One 64-bit name for each row of the columns ``words``; a single column names itself."""
+    if len(words) == 1:
+        return words[0]
+    name = np.zeros(len(words[0]), np.uint64)
+    for word in words:
+        name = _mixed(name + np.uint64(0x9E3779B97F4A7C15) ^ word)
+    return name
 
-def with_fingerprints(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """``keep`` columns and ``fp``; read in one pass, without a shuffle."""
+
+def with_fingerprints(docs: DataFrame, keep: tuple[str, ...] = ("doc_id",), wide: bool = False) -> DataFrame:
+    """``keep`` columns and ``fp``, or if ``wide`` the 256 bits ``fp_0`` to ``fp_3`` and their name ``fp``; one pass, no shuffle."""
     rows = common.only(docs, *dict.fromkeys((*keep, "text")))
     out = rows.select(*keep).schema
     types = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in out)
 
+    names = ["fp", *WORDS] if wide else ["fp"]
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps = pa.array([fingerprint(t) for t in common.utf8_bytes(batch, "text")], pa.int64())
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), fps], names=[*keep, "fp"])
+            texts = common.utf8_bytes(batch, "text")
+            if wide:
+                words = list(np.array([wide_fingerprint(t) for t in texts], np.uint64).reshape(-1, WIDE).T.copy())
+                found = [node_names(words), *words]
+            else:
+                found = [np.array([fingerprint(t) for t in texts], np.int64)]
+            fps = [pa.array(x.view(np.int64)) for x in found]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), *fps], names=[*keep, *names])
 
-    return common.map_arrow(rows, run, f"{types}, fp long")
+    return common.map_arrow(rows, run, ", ".join([types, *(f"{n} long" for n in names)]))
 
 
 # ---- the index
@@ -104,10 +164,6 @@ def gray_rank(x: np.ndarray) -> np.ndarray:
     return x
 
 
-def _distance(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    return np.bitwise_count(a ^ b)
-
-
 def _unite(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
     """Joins the sets of each a and b; ``label`` points at each row's smallest known row."""
     while True:
@@ -127,27 +183,32 @@ def _unite(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
 
 
 class GrayIndex:
-    """Fingerprints of many keys, each key sorted by Gray rank under a tree of shared bits."""
+    """Fingerprints of many keys, each key sorted by Gray rank under a tree of shared bits.
+
+    A fingerprint is a row of the columns ``words``, ranked by its first.
+    """
 
-    def __init__(self, keys: np.ndarray, fps: np.ndarray):
-        order = np.lexsort((gray_rank(fps), keys))
-        self.keys, self.fps = keys[order], fps[order]
-        n = len(fps)
+    def __init__(self, keys: np.ndarray, words: list[np.ndarray]):
+        order = np.lexsort((gray_rank(words[0]), keys))
+        self.keys, self.words = keys[order], [w[order] for w in words]
+        n = len(keys)
         self.label = np.arange(n)
         first = np.flatnonzero(np.r_[True, self.keys[1:] != self.keys[:-1]]) if n else np.zeros(0, np.int64)
         sizes = np.diff(np.r_[first, n])
         self.levels: list[tuple[np.ndarray, np.ndarray]] = []  # child bounds of each node
-        self.masks, self.patterns = [np.full(n, ~np.uint64(0))], [self.fps]
-        every, some = self.fps, self.fps
+        self.masks = [[np.full(n, ~np.uint64(0))] * len(words)]
+        self.patterns = [self.words]
+        every = some = self.words
         groups = sizes
         while len(groups) and groups.max() > 1:
             counts = -(-groups // _FAN)
             place = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
             begin = np.repeat(np.cumsum(groups) - groups, counts) + place * _FAN
             end = np.minimum(begin + _FAN, np.repeat(np.cumsum(groups), counts))
-            every, some = np.bitwise_and.reduceat(every, begin), np.bitwise_or.reduceat(some, begin)
+            every = [np.bitwise_and.reduceat(x, begin) for x in every]
+            some = [np.bitwise_or.reduceat(x, begin) for x in some]
             self.levels.append((begin, end))
-            self.masks.append(~(every ^ some))
+            self.masks.append([~(x ^ y) for x, y in zip(every, some, strict=True)])
             self.patterns.append(every)
             groups = counts
 
@@ -160,13 +221,22 @@ class GrayIndex:
             out.append(np.where(low == high, low, -1))
         return out
 
+    def _near(self, level: int, left: np.ndarray, right: np.ndarray, most: int) -> tuple[np.ndarray, np.ndarray]:
+        """The pairs of nodes that differ in at most ``most`` of the bits which both share throughout."""
+        apart = np.zeros(len(left), np.uint16)
+        for mask, pattern in zip(self.masks[level], self.patterns[level], strict=True):
+            apart = apart + np.bitwise_count((pattern[left] ^ pattern[right]) & mask[left] & mask[right])
+            near = apart <= most
+            left, right, apart = left[near], right[near], apart[near]
+        return left, right
+
     def connect(self, most: int = MAX_BITS) -> None:
         """Afterwards rows of a key have one label just when links join them."""
-        n = len(self.fps)
+        n = len(self.keys)
         for step in range(1, _FAN):  # neighbours in Gray order: joins most of each cluster at once
             i = np.arange(n - step)
-            i = i[(self.keys[i] == self.keys[i + step]) & (_distance(self.fps[i], self.fps[i + step]) <= most)]
-            _unite(self.label, i, i + step)
+            i = i[self.keys[i] == self.keys[i + step]]
+            _unite(self.label, *self._near(0, i, i + step, most))
         if not self.levels:
             return
         settled = self._settled()
@@ -188,10 +258,8 @@ class GrayIndex:
             left, right = left[real], right[real]
             below = level - 1
             known = self.label if below == 0 else settled[below]
-            shared = self.masks[below][left] & self.masks[below][right]
-            near = np.bitwise_count((self.patterns[below][left] ^ self.patterns[below][right]) & shared) <= most
-            near &= (known[left] != known[right]) | (known[left] < 0)
-            left, right = left[near], right[near]
+            open_ = (known[left] != known[right]) | (known[left] < 0)
+            left, right = self._near(below, left[open_], right[open_], most)
             if not len(left):
                 continue
             if below:
@@ -201,7 +269,8 @@ class GrayIndex:
 
     def edges(self) -> tuple[np.ndarray, np.ndarray]:
         rows = np.flatnonzero(self.label != np.arange(len(self.label)))
-        return self.fps[rows], self.fps[self.label[rows]]
+        names = node_names(self.words)
+        return names[rows], names[self.label[rows]]
 
 
 # ---- distributed search
@@ -226,49 +295,85 @@ def _keyed(fps: DataFrame, m: int) -> DataFrame:
     return fps.select("fp", F.inline(F.array(*[key(i, c) for i, c in enumerate(_scheme(m))])))
 
 
-def _search(keyed: DataFrame) -> DataFrame:
+def tables_for(width: int) -> int:
+    """Keys of ``width`` drawn bits that let a pair ``ALIKE_BITS`` apart meet with a probability of ``MEET``."""
+    bits = 64 * WIDE
+    meet = math.prod((bits - ALIKE_BITS - i) / (bits - i) for i in range(width))
+    return math.ceil(math.log(1 - MEET) / math.log(1 - meet))
+
+
+def _drawn_masks(width: int) -> list[list[int]]:
+    """Masks of ``width`` of all bits, as signed words; those cut from one shuffle of the bits share none."""
+    bits, draw = 64 * WIDE, np.random.default_rng([SEED, width])
+    masks: list[list[int]] = []
+    while len(masks) < tables_for(width):
+        order = draw.permutation(bits)
+        for at in range(0, bits - width + 1, width):
+            chosen = np.zeros(bits, np.uint8)
+            chosen[order[at : at + width]] = 1
+            masks.append(np.packbits(chosen).view(">i8").tolist())
+    return masks[: tables_for(width)]
+
+
+def _wide_keyed(fps: DataFrame, width: int) -> DataFrame:
+    def key(i: int, mask: list[int]) -> Column:
+        parts = [F.col(c).bitwiseAND(F.lit(m).cast("long")) for c, m in zip(WORDS, mask, strict=True)]
+        return F.xxhash64(F.lit(i), *parts)
+
+    return fps.select(*WORDS, F.explode(F.array(*[key(i, m) for i, m in enumerate(_drawn_masks(width))])).alias("key"))
+
+
+def _search(keyed: DataFrame, words: tuple[str, ...] = ("fp",), most: int = MAX_BITS) -> DataFrame:
+    index_rows = _INDEX_ROWS // len(words)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[np.ndarray, np.ndarray]] = []
+        held: list[list[np.ndarray]] = []
         rows = 0
 
-        def found(keys: np.ndarray, fps: np.ndarray) -> pa.RecordBatch:
-            index = GrayIndex(keys, fps.view(np.uint64))
-            index.connect()
+        def found(keys: np.ndarray, *fps: np.ndarray) -> pa.RecordBatch:
+            index = GrayIndex(keys, [x.view(np.uint64) for x in fps])
+            index.connect(most)
             a, b = index.edges()
             a, b = a.view(np.int64), b.view(np.int64)
             return pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], names=["u", "v"])
 
         for batch in batches:
-            held.append((batch.column("key").to_numpy(), batch.column("fp").to_numpy()))
+            held.append([batch.column(c).to_numpy() for c in ("key", *words)])
             rows += batch.num_rows
-            if rows >= _INDEX_ROWS:
-                keys, fps = (np.concatenate(x) for x in zip(*held, strict=True))
-                last = int(np.searchsorted(keys, keys[-1]))  # rows come sorted by key
+            if rows >= index_rows:
+                columns = [np.concatenate(x) for x in zip(*held, strict=True)]
+                last = int(np.searchsorted(columns[0], columns[0][-1]))  # rows come sorted by key
                 if last:
-                    yield found(keys[:last], fps[:last])
-                held, rows = [(keys[last:], fps[last:])], len(keys) - last
+                    yield found(*(x[:last] for x in columns))
+                held, rows = [[x[last:] for x in columns]], len(columns[0]) - last
         if rows:
-            keys, fps = (np.concatenate(x) for x in zip(*held, strict=True))
-            yield found(keys, fps)
+            yield found(*(np.concatenate(x) for x in zip(*held, strict=True)))
 
-    dealt = keyed.select("key", "fp").repartition("key").sortWithinPartitions("key")
+    dealt = keyed.select("key", *words).repartition("key").sortWithinPartitions("key")
     return common.map_arrow(dealt, run, "u long, v long")
 
 
 def links(fps: DataFrame, hot_key: int = HOT_KEY) -> DataFrame:
-    """A spanning set (u > v) of the links among distinct fingerprints ``fp``."""
+    """A spanning set (u > v) of the links among distinct fingerprints ``fp``, or wide ones named ``fp``."""
     n = fps.count()
-    m = _blocks_for(n)
-    keyed = _keyed(fps, m)
-    if m == 8 or n <= hot_key:
-        return _search(keyed).distinct()
+    wide = WORDS[0] in fps.columns
+    words, most = (WORDS, WIDE_BITS) if wide else (("fp",), MAX_BITS)
+    if wide:
+        width = max(8, math.ceil(math.log2(max(1, n) / KEY_ROWS)))
+        keyed = _wide_keyed(fps, width)
+    else:
+        m = _blocks_for(n)
+        keyed = _keyed(fps, m)
+    if n <= hot_key or (not wide and m == 8):
+        return _search(keyed, words, most).distinct()
     hot = keyed.groupBy("key").count().where(F.col("count") > hot_key).select("key")
     hot = common.cut_lineage(hot)  # at most (choices x rows / hot_key) keys
     if hot.isEmpty():
-        return _search(keyed).distinct()
+        return _search(keyed, words, most).distinct()
     cool = keyed.join(hot, "key", "left_anti")
-    again = keyed.join(hot, "key", "left_semi").select("fp").distinct()
-    return _search(cool).unionByName(_search(_keyed(again, 8))).distinct()
+    again = keyed.join(hot, "key", "left_semi").select(*words).distinct()
+    again = _wide_keyed(again, width + 8) if wide else _keyed(again, 8)
+    return _search(cool, words, most).unionByName(_search(again, words, most)).distinct()
 
 
 def joined(left: DataFrame, right: DataFrame, key: str, weight: str, rows: int) -> DataFrame:
@@ -308,12 +413,13 @@ def contract(edges: DataFrame) -> DataFrame:
 
 def components(marked: DataFrame, row: str = "doc_id", hot_key: int = HOT_KEY) -> DataFrame:
     """``marked`` (a written table with ``fp``) with ``first``: the least ``row`` of its component."""
-    by_fp = common.cut_lineage(marked.groupBy("fp").agg(F.min(row).alias("least_row"), F.count("*").alias("weight")))
+    words = [c for c in WORDS if c in marked.columns]
+    by_fp = common.cut_lineage(marked.groupBy("fp").agg(F.min(row).alias("least_row"), F.count("*").alias("weight"), *[F.min(c).alias(c) for c in words]))
     prints, rows = by_fp.agg(F.count("*"), F.coalesce(F.sum("weight"), F.lit(0))).first()
-    stars = contract(links(by_fp.select("fp"), hot_key))
-    named = by_fp.join(stars.select(F.col("u").alias("fp"), F.col("v").alias("root")), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    stars = contract(links(by_fp.select("fp", *words), hot_key))
+    named = by_fp.drop(*words).join(stars.select(F.col("u").alias("fp"), F.col("v").alias("root")), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     firsts = named.groupBy("root").agg(F.min("least_row").alias("first"), F.count("*").alias("members"))
-    return joined(marked, joined(named, firsts, "root", "members", prints).select("fp", "first", "weight"), "fp", "weight", rows)
+    return joined(marked.drop(*words), joined(named, firsts, "root", "members", prints).select("fp", "first", "weight"), "fp", "weight", rows)
 
 
 def near_duplicates(docs: DataFrame, hot_key: int = HOT_KEY) -> DataFrame:
@@ -326,9 +432,9 @@ def near_duplicates(docs: DataFrame, hot_key: int = HOT_KEY) -> DataFrame:
 def one_of_each(docs: DataFrame) -> DataFrame:
     """``docs`` with one row of each component: its smallest doc_id (null last; of equal ids, any one)."""
     safe = common.guarded(docs)
-    marked = with_fingerprints(safe, tuple(safe.columns)).withColumn("row_", F.monotonically_increasing_id())
+    marked = with_fingerprints(safe, tuple(safe.columns), wide=True).withColumn("row_", F.monotonically_increasing_id())
     marked = common.cut_lineage(marked)
     order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id"), F.col("row_"))
-    ids = marked.select("fp", order.alias("place"))
+    ids = marked.select("fp", *WORDS, order.alias("place"))
     chosen = components(ids, "place").select(F.col("first.row_").alias("row_")).distinct()
     return common.restored(marked.join(chosen, "row_", "left_semi"), docs)

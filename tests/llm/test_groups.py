@@ -275,14 +275,40 @@ def brute_fingerprint(text):
     return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
 
 
-def components_of(fps):
+def brute_wide(text):
+    """256 bits: the majority of four mixes of each distinct five-word shingle's hash."""
+    words = WORDS.findall("".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or ""))
+    hashes = {xxhash.xxh64_intdigest(" ".join(words[i : i + 5]).encode(), 42) for i in range(max(1, len(words) - 4))} if words else set()
+    full = (1 << 64) - 1
+    bits = 0
+    for k in range(1, 5):
+        mixed = []
+        for h in hashes:
+            x = (h + k * 0x9E3779B97F4A7C15) & full
+            x = ((x ^ x >> 30) * 0xBF58476D1CE4E5B9) & full
+            x = ((x ^ x >> 27) * 0x94D049BB133111EB) & full
+            mixed.append(x ^ x >> 31)
+        bits = bits << 64 | sum(1 << b for b in range(64) if 2 * sum(x >> b & 1 for x in mixed) > len(mixed))
+    return bits
+
+
+def wide_rows(fps):
+    """Fingerprints of 256 bits as rows (id, fp, fp_0 .. fp_3)."""
+    words = [np.array([f >> 64 * (3 - k) & ((1 << 64) - 1) for f in fps], np.uint64) for k in range(4)]
+    return list(zip(range(len(fps)), *(x.view(np.int64).tolist() for x in (simhash.node_names(words), *words)), strict=True))
+
+
+WIDE_ROWS = "doc_id long, fp long, fp_0 long, fp_1 long, fp_2 long, fp_3 long"
+
+
+def components_of(fps, most=4):
     """Least index of each fingerprint's component, by comparing all."""
     label = list(range(len(fps)))
     changed = True
     while changed:
         changed = False
         for i in range(len(fps)):
-            low = min(label[j] for j in range(len(fps)) if bin(fps[i] ^ fps[j]).count("1") <= 4)
+            low = min(label[j] for j in range(len(fps)) if (fps[i] ^ fps[j]).bit_count() <= most)
             if low < label[i]:
                 label[i], changed = low, True
     return label
@@ -294,7 +320,7 @@ def test_simhash_odd_documents(odd_documents, no_documents):
     assert Counter((repr(r["doc_id"]), r["fingerprint"]) for r in rows) == Counter((repr(d), f"{brute_fingerprint(t):016x}") for d, t in docs)
     assert simhash.near_duplicates(no_documents).count() == 0 and simhash.one_of_each(no_documents).count() == 0
     kept = simhash.one_of_each(odd_documents)
-    assert kept.columns == odd_documents.columns and kept.count() == len(set(components_of([brute_fingerprint(t) for _, t in docs])))
+    assert kept.columns == odd_documents.columns and kept.count() == len(set(components_of([brute_wide(t) for _, t in docs], 44)))
 
 
 @pytest.mark.parametrize("hot_key", [simhash.HOT_KEY, 3])
@@ -314,6 +340,58 @@ def test_clusters_are_found_whole(spark, hot_key):
     assert [got[i] for i in range(len(fps))] == components_of(fps)
 
 
+@pytest.mark.parametrize("hot_key", [simhash.HOT_KEY, 5])
+def test_wide_clusters_are_found_whole(spark, hot_key):
+    r = np.random.default_rng(0)
+    fps = [0, (1 << 44) - 1, (1 << 90) - 1]  # the last is 46 bits from its neighbour, 90 from the first
+    for _ in range(40):
+        b = int.from_bytes(r.bytes(32), "big")
+        for _ in range(int(r.integers(1, 30))):
+            f = b
+            for bit in r.choice(256, int(r.integers(0, 18)), replace=False).tolist():
+                f ^= 1 << bit
+            fps.append(f)
+    fps = list(dict.fromkeys(fps))
+    marked = spark.createDataFrame(wide_rows(fps), WIDE_ROWS)
+    got = {x["doc_id"]: x["first"] for x in simhash.components(marked, "doc_id", hot_key).collect()}
+    assert [got[i] for i in range(len(fps))] == components_of(fps, 44)
+
+
+def test_pairs_at_the_expected_distance_meet(spark):
+    r = np.random.default_rng(2)
+    fps = []
+    for _ in range(1500):
+        f = int.from_bytes(r.bytes(32), "big")
+        flip = sum(1 << b for b in r.choice(256, simhash.ALIKE_BITS, replace=False).tolist())
+        fps += [f, f ^ flip]
+    marked = spark.createDataFrame(wide_rows(fps), WIDE_ROWS)
+    got = {x["doc_id"]: x["first"] for x in simhash.components(marked).collect()}
+    assert all(got[i] in (i, i ^ 1) for i in range(len(fps)))
+    assert sum(got[i] == got[i + 1] for i in range(0, len(fps), 2)) >= 0.97 * len(fps) / 2
+
+
+def test_similar_texts_are_in_one_class(spark, sf):
+    docs = sorted((r["doc_id"], r["text"]) for r in spark.read.parquet(f"{sf}/documents.parquet").collect())
+    marked = simhash.with_fingerprints(spark.read.parquet(f"{sf}/documents.parquet"), wide=True).persist()
+    found = {r["doc_id"]: r["first"] for r in simhash.components(marked).collect()}
+    rows = {r["doc_id"]: r for r in marked.collect()}
+    fps = [brute_wide(t) for _, t in docs]
+    assert [tuple(rows[d][c] for c in simhash.WORDS) for d, _ in docs] == [w[2:] for w in wide_rows(fps)]
+    label = components_of(fps, simhash.WIDE_BITS)
+    sets = []
+    for _, t in docs:
+        words = (t or "").lower().split()
+        sets.append({tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4))})
+    alike = met = 0
+    for i, (d, _) in enumerate(docs):
+        assert label[[x for x, _ in docs].index(found[d])] == label[i]  # never more than links reach
+        for j in range(i):
+            if min(len(sets[i]), len(sets[j])) >= 0.8 * max(len(sets[i]), len(sets[j])) and len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j]):
+                alike += 1
+                met += found[d] == found[docs[j][0]]
+    assert alike > 0 and met >= 0.97 * alike
+
+
 @pytest.mark.parametrize("blocks", [5, 6, 7, 8])
 def test_every_link_meets_under_a_key(blocks):
     r = np.random.default_rng(1)
@@ -450,7 +528,7 @@ def test_pipeline_stages(spark, sf):
         if name in ("quality_rules", "quality_classifier", "simhash_near_dedup"):
             assert docs.select("doc_id").exceptAll(before.select("doc_id")).count() == 0 and counts[-1] <= counts[-2]
         if name == "simhash_near_dedup":
-            want = {r["component_id"] for r in simhash.near_duplicates(before).collect()}
+            want = {r["first"] for r in simhash.components(simhash.with_fingerprints(before, wide=True).persist()).collect()}
             assert {r["doc_id"] for r in docs.collect()} == want and counts[-1] == len(want)
         if name == "source_mixing":
             times = Counter(r["doc_id"] for r in docs.collect())
