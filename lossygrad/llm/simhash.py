@@ -46,6 +46,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -60,6 +61,8 @@ HOT_KEY = 1 << 16
 KEY_ROWS = 256
 #: Words of a fingerprint of ``one_of_each``, its shingles' width, and the bits at which it links.
 WIDE, WIDE_SHINGLE, WIDE_BITS = 4, 5, 44
+#: Fewest drawn bits of a wide key: 2^16 x ``KEY_ROWS`` fingerprints get equally many keys each, more get more.
+WIDE_KEY = 16
 #: Expected bits between texts whose shingle sets are 0.8 alike, and the least chance that such a pair meets.
 ALIKE_BITS, MEET = 39, 0.98
 #: Most keys of a join that are hot, and so broadcast.
@@ -323,57 +326,97 @@ def _wide_keyed(fps: DataFrame, width: int) -> DataFrame:
     return fps.select(*WORDS, F.explode(F.array(*[key(i, m) for i, m in enumerate(_drawn_masks(width))])).alias("key"))
 
 
-def _search(keyed: DataFrame, words: tuple[str, ...] = ("fp",), most: int = MAX_BITS) -> DataFrame:
+def _search(keyed: DataFrame, words: tuple[str, ...] = ("fp",), most: int = MAX_BITS, hot_key: int | None = None) -> DataFrame:
+    """Links (u > v) among the rows of each key.
+
+    With ``hot_key``, rows of keys that have more rows than that are not linked but given
+    back, with their ``words`` and null u and v; a task holds no such key whole.
+    """
     index_rows = _INDEX_ROWS // len(words)
+    back = words if hot_key is not None else ()
+    schema = ", ".join(["u long, v long", *(f"{w} long" for w in back)])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[list[np.ndarray]] = []
-        rows = 0
+    def links_of(columns: list[np.ndarray]) -> pa.RecordBatch:
+        index = GrayIndex(columns[0], [x.view(np.uint64) for x in columns[1:]])
+        index.connect(most)
+        a, b = (pa.array(x.view(np.int64)) for x in index.edges())
+        ends = [pc.max_element_wise(a, b), pc.min_element_wise(a, b)]
+        return pa.RecordBatch.from_arrays([*ends, *(pa.nulls(len(a), pa.int64()) for _ in back)], names=["u", "v", *back])
 
-        def found(keys: np.ndarray, *fps: np.ndarray) -> pa.RecordBatch:
-            index = GrayIndex(keys, [x.view(np.uint64) for x in fps])
-            index.connect(most)
-            a, b = index.edges()
-            a, b = a.view(np.int64), b.view(np.int64)
-            return pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], names=["u", "v"])
+    def given_back(columns: list[np.ndarray]) -> pa.RecordBatch:
+        none = pa.nulls(len(columns[0]), pa.int64())
+        return pa.RecordBatch.from_arrays([none, none, *map(pa.array, columns[1:])], names=["u", "v", *back])
 
-        for batch in batches:
-            held.append([batch.column(c).to_numpy() for c in ("key", *words)])
-            rows += batch.num_rows
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[np.ndarray]] = []
+        rows, hot = 0, None
+
+        def settle(columns: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+            """All keys of ``columns``, each whole."""
+            if hot_key is None or not len(columns[0]):
+                yield links_of(columns)
+                return
+            starts = np.flatnonzero(np.r_[True, columns[0][1:] != columns[0][:-1]])
+            sizes = np.diff(np.r_[starts, len(columns[0])])
+            cool = np.repeat(sizes <= hot_key, sizes)
+            yield links_of([x[cool] for x in columns])
+            if not cool.all():
+                yield given_back([x[~cool] for x in columns])
+
+        for batch in batches:  # rows come sorted by key
+            part = [batch.column(c).to_numpy() for c in ("key", *words)]
+            if hot is not None:
+                same = int(np.searchsorted(part[0], hot, "right"))
+                if same:
+                    yield given_back([x[:same] for x in part])
+                part = [x[same:] for x in part]
+                if not len(part[0]):
+                    continue
+                hot = None
+            held.append(part)
+            rows += len(part[0])
             if rows >= index_rows:
                 columns = [np.concatenate(x) for x in zip(*held, strict=True)]
-                last = int(np.searchsorted(columns[0], columns[0][-1]))  # rows come sorted by key
+                last = int(np.searchsorted(columns[0], columns[0][-1]))
                 if last:
-                    yield found(*(x[:last] for x in columns))
+                    yield from settle([x[:last] for x in columns])
                 held, rows = [[x[last:] for x in columns]], len(columns[0]) - last
+                if hot_key is not None and rows > hot_key:
+                    hot = columns[0][-1]
+                    yield given_back(held[0])
+                    held, rows = [], 0
         if rows:
-            yield found(*(np.concatenate(x) for x in zip(*held, strict=True)))
+            yield from settle([np.concatenate(x) for x in zip(*held, strict=True)])
 
     dealt = keyed.select("key", *words).repartition("key").sortWithinPartitions("key")
-    return common.map_arrow(dealt, run, "u long, v long")
+    return common.map_arrow(dealt, run, schema)
+
+
+def wide_links(fps: DataFrame, hot_key: int = HOT_KEY) -> DataFrame:
+    """A spanning set (u > v) of the links found among distinct wide fingerprints; hot keys' rows are keyed anew by 8 more bits."""
+    width = max(WIDE_KEY, math.ceil(math.log2(max(1, fps.count()) / KEY_ROWS)))
+    met = common.cut_lineage(_search(_wide_keyed(fps, width), WORDS, WIDE_BITS, hot_key))
+    found = met.where("u is not null").select("u", "v")
+    again = met.where("u is null").select(*WORDS).distinct()
+    if not again.isEmpty():
+        found = found.unionByName(_search(_wide_keyed(again, width + 8), WORDS, WIDE_BITS))
+    return found.distinct()
 
 
 def links(fps: DataFrame, hot_key: int = HOT_KEY) -> DataFrame:
-    """A spanning set (u > v) of the links among distinct fingerprints ``fp``, or wide ones named ``fp``."""
+    """A spanning set (u > v) of the links among distinct fingerprints ``fp``."""
     n = fps.count()
-    wide = WORDS[0] in fps.columns
-    words, most = (WORDS, WIDE_BITS) if wide else (("fp",), MAX_BITS)
-    if wide:
-        width = max(8, math.ceil(math.log2(max(1, n) / KEY_ROWS)))
-        keyed = _wide_keyed(fps, width)
-    else:
-        m = _blocks_for(n)
-        keyed = _keyed(fps, m)
-    if n <= hot_key or (not wide and m == 8):
-        return _search(keyed, words, most).distinct()
+    m = _blocks_for(n)
+    keyed = _keyed(fps, m)
+    if m == 8 or n <= hot_key:
+        return _search(keyed).distinct()
     hot = keyed.groupBy("key").count().where(F.col("count") > hot_key).select("key")
     hot = common.cut_lineage(hot)  # at most (choices x rows / hot_key) keys
     if hot.isEmpty():
-        return _search(keyed, words, most).distinct()
+        return _search(keyed).distinct()
     cool = keyed.join(hot, "key", "left_anti")
-    again = keyed.join(hot, "key", "left_semi").select(*words).distinct()
-    again = _wide_keyed(again, width + 8) if wide else _keyed(again, 8)
-    return _search(cool, words, most).unionByName(_search(again, words, most)).distinct()
+    again = keyed.join(hot, "key", "left_semi").select("fp").distinct()
+    return _search(cool).unionByName(_search(_keyed(again, 8))).distinct()
 
 
 def joined(left: DataFrame, right: DataFrame, key: str, weight: str, rows: int) -> DataFrame:
@@ -416,7 +459,7 @@ def components(marked: DataFrame, row: str = "doc_id", hot_key: int = HOT_KEY) -
     words = [c for c in WORDS if c in marked.columns]
     by_fp = common.cut_lineage(marked.groupBy("fp").agg(F.min(row).alias("least_row"), F.count("*").alias("weight"), *[F.min(c).alias(c) for c in words]))
     prints, rows = by_fp.agg(F.count("*"), F.coalesce(F.sum("weight"), F.lit(0))).first()
-    stars = contract(links(by_fp.select("fp", *words), hot_key))
+    stars = contract((wide_links if words else links)(by_fp.select("fp", *words), hot_key))
     named = by_fp.drop(*words).join(stars.select(F.col("u").alias("fp"), F.col("v").alias("root")), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     firsts = named.groupBy("root").agg(F.min("least_row").alias("first"), F.count("*").alias("members"))
     return joined(marked.drop(*words), joined(named, firsts, "root", "members", prints).select("fp", "first", "weight"), "fp", "weight", rows)
