@@ -31,7 +31,7 @@ def stream_sliding_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("stream_distinct_events", "SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type")
 def stream_distinct_events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    got = online.drain(online.distinct_events(online.event_stream(spark, sf_dir)).select("event_id", "event_type"), "append")
+    got = online.drain_to_files(online.distinct_events(online.event_stream(spark, sf_dir)).select("event_id", "event_type"))
     return got.groupBy("event_type").agg(F.count("*").alias("n"))
 
 

@@ -26,20 +26,41 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs a stream over what there is and returns its result table."""
-    spark = stream.sparkSession
+def _place(spark: SparkSession) -> str:
+    """A new folder for one stream, shared between driver and executors."""
     _RUNS[0] += 1
-    name = f"drained_{_RUNS[0]}"
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not named and not spark.sparkContext.master.startswith("local"):
         raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
-    place = f"{named.rstrip('/')}/stream-{spark.sparkContext.applicationId}-{_RUNS[0]}" if named else tempfile.mkdtemp(prefix="lossygrad-stream-")
+    return f"{named.rstrip('/')}/stream-{spark.sparkContext.applicationId}-{_RUNS[0]}" if named else tempfile.mkdtemp(prefix="lossygrad-stream-")
+
+
+def drain(stream: DataFrame, mode: str = "complete") -> DataFrame:
+    """Runs a stream over what there is and returns its result table, which the driver holds: for small results."""
+    spark = stream.sparkSession
+    place = _place(spark)
+    name = f"drained_{_RUNS[0]}"
     q = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", place).trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.table(name)
 
 
+def drain_to_files(stream: DataFrame) -> DataFrame:
+    """As ``drain`` in append mode, for results that grow with the stream: executors write them to files, and
+    state lies in RocksDB, beside the heap."""
+    spark = stream.sparkSession
+    place = _place(spark)
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        q = stream.writeStream.outputMode("append").format("parquet").option("path", f"{place}/rows").option("checkpointLocation", f"{place}/checkpoint").trigger(availableNow=True).start()
+        q.awaitTermination()
+    finally:
+        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
+    return spark.read.schema(stream.schema).parquet(f"{place}/rows")
+
+
 def daily_rounds(events: DataFrame, delay: str = "1 hour") -> DataFrame:
     """A day of events is a round: rows, workers and the sum of the gradient's stand-in (whole thousandths)."""
     unit = F.round(F.col("value") * 1000).cast("bigint")
