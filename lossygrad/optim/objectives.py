@@ -1,8 +1,13 @@
-"""Objectives with one contract: ``loss(x, a, y)`` and ``grad(x, a, y)``, means over rows of a."""
+"""Objectives with one contract: ``loss(x, a, y)`` and ``grad(x, a, y)``, means over rows of a.
+
+Some have ``both`` (loss and gradient from one forward pass) or ``many`` (those of several parameter
+vectors over the same rows); ``losses_and_grads`` and ``measure`` use them where they are.
+"""
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from typing import ClassVar
 
 import numpy as np
 
@@ -12,6 +17,16 @@ def _softmax(z: np.ndarray) -> np.ndarray:
     return z / z.sum(axis=1, keepdims=True)
 
 
+def cross_entropy(p: np.ndarray, y: np.ndarray) -> float:
+    return float(-np.log(np.maximum(p[np.arange(len(y)), y.astype(int)], 1e-300)).mean())
+
+
+def _down(p: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """The mean loss by score, from probabilities, which it changes."""
+    p[np.arange(len(y)), y.astype(int)] -= 1
+    return p / len(y)
+
+
 @dataclass(frozen=True)
 class LeastSquares:
     """Half squared error, with an L2 penalty (ridge) if ``l2`` is positive."""
@@ -94,6 +109,16 @@ class Softmax:
         p[np.arange(len(y)), y.astype(int)] -= 1
         return (a.T @ p / len(y)).ravel() + self.l2 * x
 
+    def scores_many(self, xs, a) -> list[np.ndarray]:
+        z = a @ np.concatenate([x.reshape(self.dim, self.classes) for x in xs], axis=1)
+        return np.split(z, len(xs), axis=1)
+
+    def many(self, xs, a, y) -> list[tuple[float, np.ndarray]]:
+        probabilities = [_softmax(z) for z in self.scores_many(xs, a)]
+        losses = [cross_entropy(p, y) + self.l2 / 2 * float(x @ x) for p, x in zip(probabilities, xs, strict=True)]
+        g = a.T @ np.concatenate([_down(p, y) for p in probabilities], axis=1)
+        return [(loss, part.ravel() + self.l2 * x) for loss, part, x in zip(losses, np.split(g, len(xs), axis=1), xs, strict=True)]
+
 
 class SparseRows:
     """Rows of a sparse matrix: ``at`` and ``value`` of row i lie between ``bounds[i]`` and ``bounds[i + 1]``."""
@@ -115,6 +140,9 @@ class SparseRows:
     def owner(self) -> np.ndarray:
         return np.repeat(np.arange(len(self)), np.diff(self.bounds))
 
+    def dense(self, dim: int) -> np.ndarray:
+        return np.bincount(self.owner * dim + self.at, self.value, len(self) * dim).reshape(len(self), dim)
+
 
 @dataclass(frozen=True)
 class SparseSoftmax:
@@ -122,6 +150,8 @@ class SparseSoftmax:
 
     dim: int
     classes: int
+    #: Rows of fewer than one value in so many cells are not filled up.
+    FILLED: ClassVar[int] = 32
 
     @property
     def n(self) -> int:
@@ -143,6 +173,38 @@ class SparseSoftmax:
         p[np.arange(len(y)), y.astype(int)] -= 1
         return np.stack([np.bincount(a.at, a.value * p[a.owner, c], self.dim) for c in range(self.classes)], axis=1).ravel() / len(y)
 
+    def _slices(self, a: SparseRows) -> list[slice] | None:
+        """Rows that are filled up to matrices at a time: products of matrices are faster unless rows are very sparse."""
+        if self.dim > self.FILLED * max(len(a.at), 1) / max(len(a), 1):
+            return None
+        step = max(1, (1 << 20) // self.dim)
+        return [slice(i, i + step) for i in range(0, len(a), step)]
+
+    def scores_many(self, xs, a: SparseRows) -> list[np.ndarray]:
+        slices = self._slices(a)
+        if slices is None:
+            return [self.scores(x, a) for x in xs]
+        dense = Softmax(self.dim, self.classes)
+        found = [dense.scores_many(xs, a[i].dense(self.dim)) for i in slices]
+        return [np.concatenate(z) for z in zip(*found, strict=True)]
+
+    def many(self, xs, a: SparseRows, y) -> list[tuple[float, np.ndarray]]:
+        slices = self._slices(a)
+        if slices is None:
+            return [self._both(x, a, y) for x in xs]
+        dense, losses, total = Softmax(self.dim, self.classes), np.zeros(len(xs)), np.zeros((len(xs), self.n))
+        for i in slices:
+            for j, (loss, g) in enumerate(dense.many(xs, a[i].dense(self.dim), y[i])):
+                losses[j] += loss * len(y[i])
+                total[j] += g * len(y[i])
+        return [(float(loss) / len(y), g / len(y)) for loss, g in zip(losses, total, strict=True)]
+
+    def _both(self, x, a: SparseRows, y) -> tuple[float, np.ndarray]:
+        p, owner = _softmax(self.scores(x, a)), a.owner
+        loss = cross_entropy(p, y)
+        d = _down(p, y)
+        return loss, np.stack([np.bincount(a.at, a.value * d[owner, c], self.dim) for c in range(self.classes)], axis=1).ravel()
+
 
 @dataclass(frozen=True)
 class SharedWindows:
@@ -181,12 +243,18 @@ class SharedWindows:
         return float(-np.log(np.maximum(p[np.arange(len(y)), y.astype(int)], 1e-300)).mean())
 
     def grad(self, x, a, y) -> np.ndarray:
+        return self.both(x, a, y)[1]
+
+    def both(self, x, a, y) -> tuple[float, np.ndarray]:
         pieces, act, pooled, top = self._forward(x, a)
         p = _softmax(pooled @ top)
-        p[np.arange(len(y)), y.astype(int)] -= 1
-        d = p / len(y)
-        back = np.repeat(d @ top.T / self.windows, self.windows, axis=0) * (1 - act * act)
-        return np.concatenate([(pieces.T @ back).ravel(), (pooled.T @ d).ravel()])
+        loss = cross_entropy(p, y)
+        d = _down(p, y)
+        np.multiply(act, act, out=act)
+        np.subtract(1, act, out=act)
+        back = act.reshape(len(a), self.windows, self.hidden)
+        back *= (d @ top.T / self.windows)[:, None]
+        return loss, np.concatenate([(pieces.T @ act).ravel(), (pooled.T @ d).ravel()])
 
 
 @dataclass(frozen=True)
@@ -228,20 +296,23 @@ class Perceptron:
         return float(-np.log(np.maximum(p[np.arange(len(y)), y.astype(int)], 1e-300)).mean())
 
     def grad(self, x, a, y) -> np.ndarray:
+        return self.both(x, a, y)[1]
+
+    def both(self, x, a, y) -> tuple[float, np.ndarray]:
         *hidden, last = self._weights(x)
         acts = [a]
         for w in hidden:
             acts.append(np.tanh(acts[-1] @ w))
         p = _softmax(acts[-1] @ last)
-        p[np.arange(len(y)), y.astype(int)] -= 1
-        d = p / len(y)
+        loss = cross_entropy(p, y)
+        d = _down(p, y)
         grads = [acts[-1].T @ d]
         back = d @ last.T
         for w, out, into in zip(reversed(hidden), reversed(acts[1:]), reversed(acts[:-1]), strict=True):
             d = back * (1 - out * out)
             grads.append(into.T @ d)
             back = d @ w.T
-        return np.concatenate([g.ravel() for g in reversed(grads)])
+        return loss, np.concatenate([g.ravel() for g in reversed(grads)])
 
 
 @dataclass(frozen=True)
@@ -290,10 +361,13 @@ class Recurrent:
         return float(-np.log(np.maximum(p[np.arange(len(y)), y.astype(int)], 1e-300)).mean())
 
     def grad(self, x, a, y) -> np.ndarray:
+        return self.both(x, a, y)[1]
+
+    def both(self, x, a, y) -> tuple[float, np.ndarray]:
         h, tape, gate_w, cand_w, out_w = self._run(x, a)
         p = _softmax(h @ out_w)
-        p[np.arange(len(y)), y.astype(int)] -= 1
-        d = p / len(y)
+        loss = cross_entropy(p, y)
+        d = _down(p, y)
         d_out = h.T @ d
         dh = d @ out_w.T
         d_gate, d_cand = np.zeros_like(gate_w), np.zeros_like(cand_w)
@@ -303,12 +377,38 @@ class Recurrent:
             d_gate += both.T @ zg
             d_cand += both.T @ zc
             dh = dh * g + (zg @ gate_w.T + zc @ cand_w.T)[:, self.dim :]
-        return np.concatenate([d_gate.ravel(), d_cand.ravel(), d_out.ravel()])
+        return loss, np.concatenate([d_gate.ravel(), d_cand.ravel(), d_out.ravel()])
+
+
+def losses_and_grads(objective, xs: list[np.ndarray], a, y) -> list[tuple[float, np.ndarray]]:
+    """Loss and gradient of each parameter vector over the same rows."""
+    if hasattr(objective, "many"):
+        return objective.many(xs, a, y)
+    if hasattr(objective, "both"):
+        return [objective.both(x, a, y) for x in xs]
+    return [(objective.loss(x, a, y), objective.grad(x, a, y)) for x in xs]
+
+
+def measure(objective, xs: list[np.ndarray], a, y, ks: tuple[int, ...]) -> list[list[float]]:
+    """Loss, and accuracies where the objective has scores, of each parameter vector; scores are computed once."""
+    if not hasattr(objective, "scores"):
+        return [[objective.loss(x, a, y)] for x in xs]
+    found = objective.scores_many(xs, a) if hasattr(objective, "scores_many") else (objective.scores(x, a) for x in xs)
+    out = []
+    for x, z in zip(xs, found, strict=True):
+        loss = objective.loss(x, a, y) if isinstance(objective, Logistic) else cross_entropy(_softmax(z), y) + getattr(objective, "l2", 0.0) / 2 * float(x @ x)
+        out.append([loss, *_within(z, y, ks)])
+    return out
+
+
+def _within(scores: np.ndarray, y, ks: tuple[int, ...]) -> list[float]:
+    """Shares of rows whose class is among the k best scores."""
+    if not ks or not len(y):
+        return [float("nan")] * len(ks)
+    hits = np.argsort(-scores, axis=1, kind="stable")[:, : max(ks)] == y.astype(int)[:, None]
+    return [float(hits[:, :k].any(axis=1).mean()) for k in ks]
 
 
 def accuracy(objective, x, a, y, k: int = 1) -> float:
     """Share of rows whose class is among the k best scores."""
-    if not len(y):
-        return float("nan")
-    best = np.argsort(-objective.scores(x, a), axis=1, kind="stable")[:, :k]
-    return float((best == y.astype(int)[:, None]).any(axis=1).mean())
+    return _within(objective.scores(x, a), y, (k,))[0] if len(y) else float("nan")
