@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import pytest
+
 from test_queries import CORE
 
 
@@ -10,3 +12,10 @@ def test_distinct_events_are_counted_from_files(spark, sf):
     got = CORE.QUERIES["stream_distinct_events"](spark, sf)
     assert got.inputFiles()
     assert spark.conf.get("spark.sql.streaming.stateStore.providerClass").endswith("HDFSBackedStateStoreProvider")
+
+
+@pytest.mark.parametrize("name", [
+    "bounds_of_training",
+])
+def test_query_reads_a_table(spark, sf, name):
+    assert any("sf0.001" in f for f in CORE.QUERIES[name](spark, sf).inputFiles())
