@@ -17,6 +17,7 @@ def test_distinct_events_are_counted_from_files(spark, sf):
 @pytest.mark.parametrize("name", [
     "bounds_of_training",
     "bounds_table",
+    "cross_grid",
 ])
 def test_query_reads_a_table(spark, sf, name):
     assert any("sf0.001" in f for f in CORE.QUERIES[name](spark, sf).inputFiles())
