@@ -19,6 +19,7 @@ def test_distinct_events_are_counted_from_files(spark, sf):
     "bounds_table",
     "cross_grid",
     "layer_policy",
+    "lq_sign_zero",
 ])
 def test_query_reads_a_table(spark, sf, name):
     assert any("sf0.001" in f for f in CORE.QUERIES[name](spark, sf).inputFiles())
