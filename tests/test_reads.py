@@ -22,6 +22,7 @@ def test_distinct_events_are_counted_from_files(spark, sf):
     "lq_sign_zero",
     "lq_zero_vector",
     "omega_length_bound",
+    "omega_lengths",
 ])
 def test_query_reads_a_table(spark, sf, name):
     assert any("sf0.001" in f for f in CORE.QUERIES[name](spark, sf).inputFiles())
