@@ -23,6 +23,7 @@ def test_distinct_events_are_counted_from_files(spark, sf):
     "lq_zero_vector",
     "omega_length_bound",
     "omega_lengths",
+    "omega_strings",
 ])
 def test_query_reads_a_table(spark, sf, name):
     assert any("sf0.001" in f for f in CORE.QUERIES[name](spark, sf).inputFiles())
