@@ -50,3 +50,10 @@ def test_forms_agree():
             assert loss == pytest.approx(objective.loss(x, a_, y_)) and m[0] == pytest.approx(loss)
             assert g @ e == pytest.approx((objective.loss(x + 1e-6 * e, a_, y_) - objective.loss(x - 1e-6 * e, a_, y_)) / 2e-6, rel=1e-5, abs=1e-7)
             assert not hasattr(objective, "scores") or m[1:] == [accuracy(objective, x, a_, y_, k) for k in (1, 2)]
+
+
+def test_layer_sensitivity_keeps_rows_packed(spark, sf, monkeypatch):
+    seen = []
+    monkeypatch.setattr(E, "run_grid", lambda train, test, *a, **b: seen.append(train) or [])
+    E.layer_sensitivity(spark, sf)
+    assert len(seen) == 2 and all("counts" in t.schema["features"].dataType.names for t in seen)
