@@ -57,3 +57,15 @@ def test_layer_sensitivity_keeps_rows_packed(spark, sf, monkeypatch):
     monkeypatch.setattr(E, "run_grid", lambda train, test, *a, **b: seen.append(train) or [])
     E.layer_sensitivity(spark, sf)
     assert len(seen) == 2 and all("counts" in t.schema["features"].dataType.names for t in seen)
+
+
+def test_breakdown_keeps_rows_packed(spark, sf, monkeypatch):
+    """Sparse rows too: counts of a byte and places of two, equal to the plain ones."""
+    seen = []
+    monkeypatch.setattr(E, "run_grid", lambda train, test, *a, **b: seen.append((b["workload"], train)) or [])
+    E.breakdown(spark, sf)
+    packed = next(t for n, t in seen if n == "wide_cheap").toArrow().sort_by("row_id").combine_chunks().to_batches()[0]
+    bounds, at, value = features.unpacked_sparse(packed.column("features"))
+    plain = features.sparse_trigrams(features.language_texts(spark, sf), 1 << 14).orderBy("row_id").collect()
+    assert np.array_equal(at, np.concatenate([r["features"]["at"] for r in plain])) and np.array_equal(value, np.concatenate([r["features"]["value"] for r in plain]))
+    assert list(np.diff(bounds)) == [len(r["features"]["at"]) for r in plain]
